@@ -147,10 +147,10 @@ def oracle_sql() -> str:
     labels = " ".join(f"WHEN {t['id']} THEN '{t['label']}'" for t in ts)
     n = len(BASE_PHRASES)
     return f"""
-WITH idx(word, template, at) AS (VALUES {values}),
+WITH idx(word, template, slot) AS (VALUES {values}),
 w AS (SELECT doc_id, row_number() OVER () AS rid, regexp_extract_all(translate(coalesce(text, ''), '{string.ascii_uppercase}', '{string.ascii_lowercase}'), '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+') AS words FROM documents),
 p AS (SELECT rid, unnest(words) AS word, generate_subscripts(words, 1) - 1 AS pos FROM w),
-a AS (SELECT rid, template, pos - at AS start, bit_or(1::bigint << at) AS mask FROM p JOIN idx USING (word) GROUP BY ALL),
+a AS (SELECT rid, template, pos - slot AS start, bit_or(1::bigint << slot) AS mask FROM p JOIN idx USING (word) GROUP BY ALL),
 s AS (SELECT *, {_share("mask", ts)} AS share, CASE template {labels} END AS label FROM a WHERE mask & ({_need(ts)}) = ({_need(ts)})),
 f AS (SELECT rid, count(*) FILTER (template < {n}) AS n_base, min(start) FILTER (template < {n}) AS first_word, max(start) FILTER (template < {n}) AS last_word,
   array_to_string(list_sort(list_distinct(list(label) FILTER (template < {n}))), ',') AS base_labels,
