@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tallquant.llm import decontaminate, licenses, mtree, packing, sstable, warc_audit
+from tallquant.llm import decontaminate, licenses, mtree, packing, sstable, substring, warc_audit
 
 # Fixed values of the damage that the audit query rehearses.
 CORRUPT = (97, 13)
@@ -34,6 +34,11 @@ def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan_licenses(spark, table(spark, sf_dir, "documents"))
 
 
+def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    kept = substring.dedup_substrings(spark, table(spark, sf_dir, "documents"), width=13)
+    return kept.select("doc_id", "n_words", "n_removed", "kept_sha256")
+
+
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = decontaminate.decontaminate(spark, table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), width=10)
     return found.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
@@ -58,6 +63,7 @@ QUERIES = {
     "op1_mtree_topk": op1_mtree_topk,
     "op3_sstable_shards": op3_sstable_shards,
     "op5_license_scan": op5_license_scan,
+    "op7_substring_dedup": op7_substring_dedup,
     "op8_decontaminate": op8_decontaminate,
     "op9_warc_fixity": op9_warc_fixity,
     "op10_pack": op10_pack,
@@ -97,7 +103,17 @@ SELECT page_id, warc_file, (sum(record_octets) OVER (PARTITION BY warc_file ORDE
   CASE WHEN page_id % {MISSING[0]} = {MISSING[1]} THEN 'missing' WHEN page_id % {CORRUPT[0]} = {CORRUPT[1]} AND body <> '' THEN 'corrupt' ELSE 'ok' END AS status
 FROM s"""
 
+OP7_SQL = r"""
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+g AS (SELECT rid, doc_id, i, array_to_string(w[i : i + 12], ' ') AS gram FROM (SELECT rid, doc_id, w, unnest(generate_series(1, len(w) - 12)) AS i FROM d WHERE len(w) >= 13)),
+m AS (SELECT rid, i, doc_id > min(doc_id) OVER (PARTITION BY gram) AS gone FROM g),
+c AS (SELECT DISTINCT rid, unnest(generate_series(i, i + 12)) AS p FROM m WHERE gone),
+x AS (SELECT d.rid, unnest(w) AS word, generate_subscripts(w, 1) AS p FROM d),
+k AS (SELECT x.rid, string_agg(word, ' ' ORDER BY x.p) AS kept, count(*) AS n_kept FROM x LEFT JOIN c ON x.rid = c.rid AND x.p = c.p WHERE c.p IS NULL GROUP BY x.rid)
+SELECT doc_id, len(w)::bigint AS n_words, (len(w) - coalesce(n_kept, 0))::bigint AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM d LEFT JOIN k USING (rid)"""
+
 ORACLE_SQL = {
+    "op7_substring_dedup": OP7_SQL,
     "op1_mtree_topk": OP1_SQL,
     "op5_license_scan": licenses.oracle_sql(),
     "op8_decontaminate": OP8_SQL,
