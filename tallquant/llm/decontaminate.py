@@ -26,11 +26,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tallquant.llm.common import ALNUM_WORD, alnum_words, as_bytes, ship
+from tallquant.llm.common import ALNUM_ANY_CASE, alnum_words, as_bytes, ship
 
 FOUND = "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, item_ids array<string>, spans array<struct<start: int, end: int>>"
 _SPAN = pa.struct([("start", pa.int32()), ("end", pa.int32())])
-_WORD = re.compile(ALNUM_WORD)
+_WORD = re.compile(ALNUM_ANY_CASE)
 _AUTOMATA: dict[str, object] = {}
 
 

@@ -22,7 +22,7 @@ import string
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tallquant.llm.common import ALNUM_WORD
+from tallquant.llm.common import ALNUM_ANY_CASE, ALNUM_WORD
 
 # The base phrases of the contract and their labels.
 BASE_PHRASES = {
@@ -126,7 +126,7 @@ def scan_licenses(spark: SparkSession, docs: DataFrame) -> DataFrame:
             F.max("share").alias("score"),
         )
     )
-    counted = rows.select("doc_id", "h", F.regexp_count("text", F.lit(ALNUM_WORD.replace(r"\x3A-\x60", r"\x3A-\x40\x5B-\x60"))).cast("long").alias("n_words"))
+    counted = rows.select("doc_id", "h", F.regexp_count("text", F.lit(ALNUM_ANY_CASE)).cast("long").alias("n_words"))
     both = counted.alias("c").join(found.alias("f"), F.expr("c.doc_id <=> f.doc_id AND c.h = f.h"), "left")
     return both.select(
         "c.doc_id",
