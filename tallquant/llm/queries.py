@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tallquant.llm import decontaminate, licenses, mtree, packing, sstable, substring, warc_audit
+from tallquant.llm import decontaminate, jaccard, licenses, mtree, packing, sstable, substring, warc_audit
 
 # Fixed values of the damage that the audit query rehearses.
 CORRUPT = (97, 13)
@@ -30,6 +30,11 @@ def op3_sstable_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sstable.encode_to_shards(spark, table(spark, sf_dir, "documents"))
 
 
+def op4_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    groups = jaccard.similar_groups(spark, table(spark, sf_dir, "documents"), shingle=3, similarity=(90, 100))
+    return groups.select("doc_id", "n_shingles", "component_id")
+
+
 def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan_licenses(spark, table(spark, sf_dir, "documents"))
 
@@ -62,6 +67,7 @@ def op10_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_mtree_topk": op1_mtree_topk,
     "op3_sstable_shards": op3_sstable_shards,
+    "op4_jaccard_join": op4_jaccard_join,
     "op5_license_scan": op5_license_scan,
     "op7_substring_dedup": op7_substring_dedup,
     "op8_decontaminate": op8_decontaminate,
@@ -103,6 +109,16 @@ SELECT page_id, warc_file, (sum(record_octets) OVER (PARTITION BY warc_file ORDE
   CASE WHEN page_id % {MISSING[0]} = {MISSING[1]} THEN 'missing' WHEN page_id % {CORRUPT[0]} = {CORRUPT[1]} AND body <> '' THEN 'corrupt' ELSE 'ok' END AS status
 FROM s"""
 
+OP4_SQL = r"""
+WITH RECURSIVE w AS (SELECT row_number() OVER () AS rid, doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (SELECT DISTINCT rid, array_to_string(w[i : i + least(len(w), 3) - 1], ' ') AS g FROM (SELECT rid, w, unnest(generate_series(1, greatest(len(w) - 2, 1))) AS i FROM w WHERE len(w) > 0)),
+n AS (SELECT rid, count(*) AS n FROM s GROUP BY rid),
+o AS (SELECT a.rid AS x, b.rid AS y, count(*) AS k FROM s a JOIN s b ON a.g = b.g AND a.rid <> b.rid GROUP BY ALL),
+e AS (SELECT x, y FROM o JOIN n p ON p.rid = x JOIN n q ON q.rid = y WHERE 100 * k >= 90 * (p.n + q.n - k)),
+r(rid, other) AS (SELECT rid, rid FROM w UNION SELECT r.rid, e.y FROM r JOIN e ON e.x = r.other),
+c AS (SELECT r.rid, min(w.doc_id) AS component_id FROM r JOIN w ON w.rid = r.other GROUP BY r.rid)
+SELECT doc_id, coalesce(n, 0)::bigint AS n_shingles, component_id FROM w JOIN c USING (rid) LEFT JOIN n USING (rid)"""
+
 OP7_SQL = r"""
 WITH d AS (SELECT row_number() OVER () AS rid, doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
 g AS (SELECT rid, doc_id, i, array_to_string(w[i : i + 12], ' ') AS gram FROM (SELECT rid, doc_id, w, unnest(generate_series(1, len(w) - 12)) AS i FROM d WHERE len(w) >= 13)),
@@ -113,6 +129,7 @@ k AS (SELECT x.rid, string_agg(word, ' ' ORDER BY x.p) AS kept, count(*) AS n_ke
 SELECT doc_id, len(w)::bigint AS n_words, (len(w) - coalesce(n_kept, 0))::bigint AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM d LEFT JOIN k USING (rid)"""
 
 ORACLE_SQL = {
+    "op4_jaccard_join": OP4_SQL,
     "op7_substring_dedup": OP7_SQL,
     "op1_mtree_topk": OP1_SQL,
     "op5_license_scan": licenses.oracle_sql(),
