@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tallquant.llm import decontaminate, jaccard, licenses, mtree, packing, sstable, substring, warc_audit
+from tallquant.llm import decontaminate, hmm, jaccard, langid, licenses, mtree, packing, sstable, substring, warc_audit
 
 # Fixed values of the damage that the audit query rehearses.
 CORRUPT = (97, 13)
@@ -26,6 +26,13 @@ def op1_mtree_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mtree.top_k(spark, vectors, F.col("vec_id") % 50 == 0, k=5)
 
 
+def op2_hmm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    learns = F.crc32(F.col("doc_id").cast("string")) % 10 != 0
+    scored = hmm.score_texts(spark, table(spark, sf_dir, "documents"), learns)
+    held_out = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 10 == 0, F.lit(False))
+    return scored.select("doc_id", held_out.alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op3_sstable_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sstable.encode_to_shards(spark, table(spark, sf_dir, "documents"))
 
@@ -39,6 +46,15 @@ def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan_licenses(spark, table(spark, sf_dir, "documents"))
 
 
+def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    fold = F.crc32(F.col("doc_id").cast("string")) % 4
+    model = langid.learn(spark, docs, fold != 2)
+    found = langid.identify(spark, docs, model, keep=["doc_id"])
+    held_out = F.coalesce(fold == 2, F.lit(False))
+    return found.select("doc_id", held_out.alias("held_out"), "lang_pred", "score", "rejected")
+
+
 def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     kept = substring.dedup_substrings(spark, table(spark, sf_dir, "documents"), width=13)
     return kept.select("doc_id", "n_words", "n_removed", "kept_sha256")
@@ -66,9 +82,11 @@ def op10_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op1_mtree_topk": op1_mtree_topk,
+    "op2_hmm_score": op2_hmm_score,
     "op3_sstable_shards": op3_sstable_shards,
     "op4_jaccard_join": op4_jaccard_join,
     "op5_license_scan": op5_license_scan,
+    "op6_language_id": op6_language_id,
     "op7_substring_dedup": op7_substring_dedup,
     "op8_decontaminate": op8_decontaminate,
     "op9_warc_fixity": op9_warc_fixity,
