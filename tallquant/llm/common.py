@@ -4,17 +4,18 @@ from __future__ import annotations
 
 import gc
 import os
+import re
 import tempfile
 import uuid
-import zipfile
 from itertools import chain
-from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from tallquant.session import ship
+
 # The two word classes of the contracts.
 BLANK_WORD = r"[^\x20\x09-\x0D]+"
 ALNUM_WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -72,21 +73,6 @@ def window_hashes(words: np.ndarray, width: int, seed: int = 0) -> np.ndarray:
     return out
 
 
-def ship(spark: SparkSession) -> None:
-    """Make this package importable on executors, once for each application."""
-    sc = spark.sparkContext
-    mark = f"_tallquant_{sc.applicationId}"
-    if os.environ.get(mark):
-        return
-    root = Path(__file__).resolve().parents[1]
-    target = Path(tempfile.mkdtemp(prefix="tallquant_")) / "tallquant_src.zip"
-    with zipfile.ZipFile(target, "w") as z:
-        for p in sorted(root.rglob("*.py")):
-            z.write(p, p.relative_to(root.parent))
-    sc.addPyFile(str(target))
-    os.environ[mark] = "1"
-
-
 def shared_folder(spark: SparkSession) -> str:
     """The folder that driver and executors share (``spark.checkpoint.dir``)."""
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
@@ -167,6 +153,19 @@ def components(spark: SparkSession, edges: DataFrame, work: Workspace, tag: str
     return leaves.union(leaves.select(F.col("component").alias("node"), "component").distinct())
 
 
+_PLAIN = re.compile(rb"(?:[a-z]|\xc3[\x9f-\xb6\xb8-\xbf])+").fullmatch
+
+
+def _byte_level_table() -> dict[int, int]:
+    """Characters by which byte-level models write bytes: printable ones stand for themselves, the others follow from 256 on."""
+    printable = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    others = [b for b in range(256) if b not in printable]
+    return dict(zip(printable, printable, strict=True)) | {b: 256 + i for i, b in enumerate(others)}
+
+
+_BYTE_LEVEL = _byte_level_table()
+
+
 class WordEncoder:
     """Token ids of whole texts by a `tokenizers` file, through a cache of chunks.
 
@@ -216,6 +215,17 @@ class WordEncoder:
         for name in [n for n in names if b"\0" in n]:
             bases[name] = self.lib.encode(name.decode(), add_special_tokens=False).ids
         names = [n for n in names if b"\0" not in n]
+        for name in names:
+            k = self.known.get(name)
+            if k is not None:
+                a = self.at[k]
+                bases[name] = self.flat[a : a + self.length[k]].tolist()
+        names = [n for n in names if bases[n] is None]
+        # lower-case Latin-1 letters are one pre-token that the normaliser leaves alone: straight to the library's model
+        plain, one = [n for n in names if _PLAIN(n)], self.lib.model.tokenize
+        for name in plain:
+            bases[name] = [t.id for t in one(name.decode("latin-1").translate(_BYTE_LEVEL))]
+        names = [n for n in names if bases[n] is None]
         for start in range(0, len(names), 1024):
             some = names[start : start + 1024]
             got = self.lib.encode_batch_fast(b"\0".join(some).decode().split("\0"), add_special_tokens=False)
