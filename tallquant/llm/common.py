@@ -6,6 +6,7 @@ import gc
 import os
 import re
 import tempfile
+import time
 import uuid
 from itertools import chain
 
@@ -111,8 +112,10 @@ class Workspace:
 
 def release(spark: SparkSession) -> None:
     """Let Spark's cleaner drop shuffle files of finished jobs."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(2):  # what the first round frees may hold the last reference to a shuffle
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.3)
 
 
 def components(spark: SparkSession, edges: DataFrame, work: Workspace, tag: str = "cc") -> DataFrame:

@@ -17,7 +17,7 @@ costs one row a batch, and no pairs are formed.
 A null text has no words; a null identifier counts as larger than all others;
 rows with equal identifiers do not remove from each other; a document that
 repeats itself loses nothing; whole documents may be emptied.  Windows of equal
-128-bit hashes count as equal.
+96-bit hashes count as equal.
 """
 
 from __future__ import annotations
@@ -48,7 +48,7 @@ LAST_ID = np.iinfo(np.int64).max
 PACKED = "dest long, done boolean, blob binary"
 _NAMES, _KINDS = ["dest", "done", "blob"], [pa.int64(), pa.bool_(), pa.binary()]
 _WORD = re.compile(BLANK_WORD)
-_U8, _I8, _I4 = np.dtype("<u8"), np.dtype("<i8"), np.dtype("<i4")
+_U8, _U4, _I8, _I4 = np.dtype("<u8"), np.dtype("<u4"), np.dtype("<i8"), np.dtype("<i4")
 
 
 def choose_period(width: int) -> int:
@@ -126,20 +126,20 @@ def find_anchors(width: int, period: int, n_buckets: int):
                 pos = np.arange(len(hashes)) - first
                 good = cover[pos % period] & (pos + size <= counts[doc - a]) & (counts[doc - a] >= width)
                 hashes, doc, pos = hashes[good], doc[good], pos[good].astype(_I4)
-                order = np.argsort(hashes, kind="stable")
-                hashes, doc, pos = hashes[order], doc[order], pos[order]
                 if not len(hashes):
                     continue
-                group, starts = _groups(hashes)
+                order = np.argsort(hashes, kind="stable")
+                group, starts = _groups(hashes[order])
                 ends = np.append(starts[1:], len(hashes)) - 1
-                shared = (doc[starts] != doc[ends])[group]
+                several = (doc[order[starts]] != doc[order[ends]])[group]
+                shared, sent = np.zeros(len(hashes), dtype=bool), np.ones(len(hashes), dtype=bool)
+                shared[order] = several
+                # one place of what is shared here; every place of what one document holds, however often
+                several[starts] = False
+                sent[order] = ~several
                 rows = [(d, True, x) for d, x in _deal(_bucket(keys[doc[shared]], n_buckets), keys[doc[shared]], pos[shared])]
-                heads = hashes[starts], keys[doc[starts]], pos[starts]
-                # a document may hold an anchor several times: each place is sent
-                again = ~shared & (np.diff(np.append(starts, len(hashes)))[group] > 1)
-                again[starts] = False
-                heads = [np.concatenate((h, x[again])) for h, x in zip(heads, (hashes, keys[doc], pos), strict=True)]
-                rows += [(d, False, x) for d, x in _deal(_bucket(heads[0], n_buckets), *heads)]
+                # in the order of the texts, where keys repeat and positions rise, so that blobs compress
+                rows += [(d, False, x) for d, x in _deal(_bucket(hashes[sent], n_buckets), hashes[sent], keys[doc[sent]], pos[sent])]
                 yield _table(rows)
 
     return run
@@ -193,15 +193,15 @@ def extend(width: int, period: int, n_buckets: int):
             if len(h) < width:
                 continue
             at = np.flatnonzero(_covered(pos[a:b].astype(np.int64), reach, 1, len(h) - width + 1)).astype(_I4)
-            one, two = (window_hashes(h, width, seed)[at] for seed in (1, 2))
+            one, two = window_hashes(h, width, 1)[at], window_hashes(h, width, 2)[at].astype(_U4)
             found.append((one, two, np.full(len(at), doc_id, _I8), np.full(len(at), key, _I8), at))
         if not found:
             return pa.Table.from_batches([_table([])])
         one, two, doc, key, at = (np.concatenate(x) for x in zip(*found, strict=True))
         order = np.lexsort((doc, two, one))
-        one, two, doc, key, at = (x[order] for x in (one, two, doc, key, at))
-        group, starts = _groups(one, two)
-        later = doc > doc[starts][group]
+        group, starts = _groups(one[order], two[order])
+        later = np.zeros(len(one), dtype=bool)
+        later[order] = doc[order] > doc[order[starts]][group]
         rows = [(d, True, x) for d, x in _deal(_bucket(key[later], n_buckets), key[later], at[later])]
         rows += [(d, False, x) for d, x in _deal(_bucket(one[~later], n_buckets), *(x[~later] for x in (one, two, doc, key, at)))]
         return pa.Table.from_batches([_table(rows)])
@@ -215,7 +215,7 @@ def decide(n_buckets: int):
     def run(table: pa.Table) -> pa.Table:
         done, blobs, dests = table.column("done").to_pylist(), table.column("blob").to_pylist(), table.column("dest").to_pylist()
         rows = [(d, True, x) for d, ok, x in zip(dests, done, blobs, strict=True) if ok]
-        one, two, doc, key, at = _unpack([x for ok, x in zip(done, blobs, strict=True) if not ok], [_U8, _U8, _I8, _I8, _I4])
+        one, two, doc, key, at = _unpack([x for ok, x in zip(done, blobs, strict=True) if not ok], [_U8, _U4, _I8, _I8, _I4])
         if len(one):
             order = np.lexsort((doc, two, one))
             one, two, doc, key, at = (x[order] for x in (one, two, doc, key, at))
@@ -259,20 +259,18 @@ def remove(width: int):
     return run
 
 
-def dedup_substrings(spark: SparkSession, docs: DataFrame, *, width: int = 13, keep: list[str] | None = None, bucket_bytes: int = 8 << 20) -> DataFrame:
+def dedup_substrings(spark: SparkSession, docs: DataFrame, *, width: int = 13, keep: list[str] | None = None, bucket_bytes: int = 16 << 20) -> DataFrame:
     """``n_words, n_removed, kept_sha256, kept_text`` beside the columns that ``keep`` names."""
     work, keep, period = Workspace(spark, "substring"), keep or ["doc_id"], choose_period(width)
     total = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     n = max(64, -(-total // bucket_bytes))
     key = F.xxhash64("doc_id", "text")
     rows = docs.select(key.alias("key"), F.col("doc_id").cast("long").alias("doc_id"), "text")
-    anchors = rows.mapInArrow(find_anchors(width, period, n), PACKED)
-    shared = work.save(anchors.groupBy("dest").applyInArrow(match_anchors(n), PACKED), "shared")
+    shared = work.save(rows.mapInArrow(find_anchors(width, period, n), PACKED).groupBy("dest").applyInArrow(match_anchors(n), PACKED), "shared")
     work.free("none")
     unsigned = F.expr(f"cast(pmod(cast(key as decimal(20,0)) + case when key < 0 then 18446744073709551616BD else 0BD end, {n}BD) as long)")
     dealt = rows.withColumn("dest", unsigned)
-    windows = dealt.groupBy("dest").cogroup(shared.groupBy("dest")).applyInArrow(extend(width, period, n), PACKED)
-    flags = work.save(windows.groupBy("dest").applyInArrow(decide(n), PACKED), "flags")
+    flags = work.save(dealt.groupBy("dest").cogroup(shared.groupBy("dest")).applyInArrow(extend(width, period, n), PACKED).groupBy("dest").applyInArrow(decide(n), PACKED), "flags")
     work.free("shared")
     whole = docs.select(key.alias("key"), F.struct(*keep).alias("own"), "text").withColumn("dest", unsigned)
     schema = T.StructType([whole.schema["own"], *T._parse_datatype_string("n_words long, n_removed long, kept_sha256 string, kept_text string").fields])
