@@ -104,10 +104,10 @@ def check_loss_laws(pairs: DataFrame, tau: float) -> DataFrame:
     y1, y2 = F.col("y1"), F.col("y2")
     f = lambda z: F.sum(pinball(z, tau))
     low, high = min(tau, 1 - tau), max(tau, 1 - tau)
-    slack = 1e-9
+    slack = 1e-9 * (1.0 + F.sum(F.abs(y1)) + F.sum(F.abs(y2)))
     return pairs.agg(
         (f(y1 + y2) <= f(y1) + f(y2) + slack).alias("subadditive"),
         ((f(y1) >= low * F.sum(F.abs(y1)) - slack) & (f(y1) <= high * F.sum(F.abs(y1)) + slack)).alias("bounded_by_l1"),
-        (F.abs(f(4.0 * y1) - 4.0 * f(y1)) <= slack * (1 + f(y1))).alias("homogeneous"),
+        (F.abs(f(4.0 * y1) - 4.0 * f(y1)) <= slack).alias("homogeneous"),
         (F.abs(f(y1) - f(y2)) <= high * F.sum(F.abs(y1 - y2)) + slack).alias("lipschitz"),
     )

@@ -152,7 +152,7 @@ def skew_sql(d: int, q: float, seed: int = 3, source: str = "lineitem", row_id:
     scale = skew_noise_scale(d, q, truth)
     row_id = row_id or line_id_sql()
     u = lambda s: rnd.unit_sql(seed, f"'{s}'", "row_id")
-    values = "[" + ", ".join(repr(t) for t in truth) + "]::double[]"
+    values = "([" + ", ".join(repr(t) for t in truth) + "]::double[])"
     return f"""SELECT row_id, j, CASE WHEN o < 0.001 THEN 500.0 * e ELSE {values}[j + 1] + e END AS b FROM (
 SELECT row_id, least({d - 1}, floor(ln(1.0::double + {u("column")}::double * {q**d - 1!r}::double) / {math.log(q)!r}::double))::int AS j,
   {scale!r}::double * (-sign({u("noise")}::double - 0.5) * ln(1.0::double - 2.0 * abs({u("noise")}::double - 0.5))) AS e, {u("outlier")}::double AS o
