@@ -9,15 +9,16 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, IntegerType, LongType, StringType, StructField, StructType
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def dot_udf(x: pd.Series, beta: pd.Series) -> pd.Series:
     """Dot product of two array columns, a batch at a time."""
     return pd.Series([float(np.dot(a, b)) for a, b in zip(x, beta, strict=True)])
 
 
-@F.arrow_udf("double")
+@F.arrow_udf(DoubleType())
 def l1_norm_udf(x: pa.Array) -> pa.Array:
     """l1 norm of an array column on Arrow data."""
     ends = x.offsets.to_numpy()
@@ -25,7 +26,7 @@ def l1_norm_udf(x: pa.Array) -> pa.Array:
     return pa.array(total[ends[1:]] - total[ends[:-1]])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def weighted_quantile_udf(v: pd.Series, w: pd.Series, tau: pd.Series) -> float:
     """Grouped aggregate: smallest value whose running weight reaches tau of the total."""
     from tallquant.operators.solvers import weighted_quantile
@@ -33,14 +34,14 @@ def weighted_quantile_udf(v: pd.Series, w: pd.Series, tau: pd.Series) -> float:
     return weighted_quantile(v.to_numpy(dtype=float), w.to_numpy(dtype=float), float(tau.iloc[0]))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def pinball_sum_udf(z: pd.Series, tau: pd.Series) -> float:
     return float(np.maximum(tau * z, (tau - 1) * z).sum())
 
 
-@F.udtf(returnType="grp string, tau double, j int, beta double, n_rows long")
+@F.udtf(returnType=StructType([StructField("grp", StringType()), StructField("tau", DoubleType()), StructField("j", IntegerType()), StructField("beta", DoubleType()), StructField("n_rows", LongType())]))
 class QuantileFit:
-    """``quantile_fit(TABLE(rows) PARTITION BY grp, tau)`` over columns grp, b, x: one exact fit for each partition."""
+    """``quantile_fit(TABLE(rows) PARTITION BY (grp), tau)`` over columns grp, b, x: one exact fit for each partition."""
 
     def __init__(self):
         self.grp, self.tau, self.b, self.x = None, None, [], []
