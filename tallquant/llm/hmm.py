@@ -29,7 +29,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tallquant.llm.common import Workspace, as_bytes, blank_words, text_slices
+from tallquant.llm.common import Workspace, as_bytes, blank_words, text_slices, worker_cache
 
 SMOOTH = 0.1
 
@@ -62,7 +62,8 @@ class Lexicon:
 
 
 def ending_class(word: bytes, n_classes: int) -> int:
-    return zlib.crc32(word.decode()[-2:].encode()) % n_classes
+    """Class of a word by its last two bytes."""
+    return zlib.crc32(word[-2:]) % n_classes
 
 
 class Coder:
@@ -78,18 +79,19 @@ class Coder:
         self.log_z = np.log10(lex.class_total + SMOOTH * (lex.class_types + 1))
         self.extra = np.where(k < lex.n_symbols, 0.0, self.log_c - self.log_z[self.class_of])
 
-    def symbols(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray, list[bytes]]:
-        """Symbols with the end token, listed words (-1: not listed), and the words that are not listed."""
-        get = self.at.get
+    def symbols(self, texts: list[list[bytes]]) -> tuple[list[np.ndarray], list[np.ndarray]]:
+        """For each text: symbols with the end token, and listed words (-1: not listed)."""
+        get, n_symbols, n_classes = self.at.get, self.lex.n_symbols, self.lex.n_classes
+        words = [w for t in texts for w in t]
         index = np.fromiter([get(w, -1) for w in words], dtype=np.int64, count=len(words))
-        out = np.empty(len(words) + 1, dtype=np.int64)
-        out[-1] = self.lex.end
+        symbols = self.symbol[index] if len(self.symbol) else np.zeros(len(words), dtype=np.int64)
         other = np.flatnonzero(index < 0)
-        rare = [words[i] for i in other]
-        if len(index):
-            out[:-1] = self.symbol[index] if len(self.symbol) else 0
-            out[other] = [self.lex.n_symbols + ending_class(w, self.lex.n_classes) for w in rare]
-        return out, index, rare
+        symbols[other] = [n_symbols + zlib.crc32(words[i][-2:]) % n_classes for i in other.tolist()]
+        ends = np.cumsum([len(t) for t in texts], dtype=np.int64)
+        starts = np.concatenate(([0], ends[:-1]))
+        whole = np.insert(symbols, ends, self.lex.end)
+        cut = [whole[x + k : y + k + 1] for k, (x, y) in enumerate(zip(starts.tolist(), ends.tolist(), strict=True))]
+        return cut, [index[x:y] for x, y in zip(starts.tolist(), ends.tolist(), strict=True)]
 
 
 def lanes(texts: list[np.ndarray], n: int) -> tuple[np.ndarray, np.ndarray, list[tuple[int, int]]]:
@@ -141,7 +143,7 @@ class Chain:
                 kept[t, :a] = now
         return scale, kept
 
-    def score(self, texts: list[np.ndarray], n_lanes: int = 512) -> np.ndarray:
+    def score(self, texts: list[np.ndarray], n_lanes: int = 1024) -> np.ndarray:
         """log10 likelihood of each text."""
         if not texts:
             return np.empty(0)
@@ -150,7 +152,7 @@ class Chain:
         total = np.vstack([np.zeros((1, grid.shape[1])), total])
         return np.array([total[end, lane] - total[end - len(x), lane] for x, (lane, end) in zip(texts, where, strict=True)])
 
-    def expect(self, texts: list[np.ndarray], n_lanes: int = 512) -> tuple[np.ndarray, np.ndarray]:
+    def expect(self, texts: list[np.ndarray], n_lanes: int = 1024) -> tuple[np.ndarray, np.ndarray]:
         """Expected transitions and emissions of some texts."""
         grid, length, _ = lanes(texts, n_lanes)
         kind = np.float32
@@ -223,7 +225,8 @@ def count_words(docs: DataFrame, learns, work: Workspace, flush: int = 400_000)
 
 def build_lexicon(counts: DataFrame, *, listed: int, symbols: int, classes: int) -> Lexicon:
     """Collects the ``listed`` most frequent words and totals; the table itself stays distributed."""
-    ending = F.when(F.length("word") >= 2, F.expr("right(word, 2)")).otherwise(F.col("word"))
+    raw = F.encode("word", "UTF-8")
+    ending = F.when(F.length(raw) >= 2, F.substring(raw, -2, 2)).otherwise(raw)
     by_class = counts.where("word <> ''").groupBy(F.pmod(F.crc32(ending), F.lit(classes)).cast("int").alias("k")).agg(F.sum("c").alias("c"), F.count("*").alias("v")).collect()
     docs = counts.where("word = ''").first()
     top = counts.where("word <> ''").orderBy(F.desc("c"), "word").limit(listed).toArrow()
@@ -240,30 +243,45 @@ def build_lexicon(counts: DataFrame, *, listed: int, symbols: int, classes: int)
     return Lexicon(words, n, symbols, total, types, int(sum(r.c for r in by_class)) + n_docs, int(sum(r.v for r in by_class)) + (n_docs > 0), n_docs)
 
 
-def train(spark: SparkSession, docs: DataFrame, learns, lexicon, lex: Lexicon, *, states: int = 8, passes: int = 2, start_docs: int = 1500, start_rounds: int = 10) -> Chain:
-    """Baum-Welch: a start on a few texts, then ``passes`` over the whole corpus."""
+def _texts(column: pa.Array) -> list[np.ndarray]:
+    """Symbol arrays of a coded column."""
+    return [np.frombuffer(x, "<u2").astype(np.int64) for x in column.to_pylist()]
+
+
+def _slices(texts: list[np.ndarray], most: int = 1_200_000) -> Iterator[list[np.ndarray]]:
+    """Runs of texts with about ``most`` tokens."""
+    part, size = [], 0
+    for t in texts:
+        part.append(t)
+        size += len(t)
+        if size >= most:
+            yield part
+            part, size = [], 0
+    if part:
+        yield part
+
+
+def train(spark: SparkSession, coded: DataFrame, lex: Lexicon, *, states: int = 8, passes: int = 2, start_docs: int = 1500, start_rounds: int = 10) -> Chain:
+    """Baum-Welch over ``coded(uid, n_tokens, symbols)``: a start on a few texts, then ``passes`` over the whole corpus."""
     prior = lex.unigram()
     chain = first_chain(prior, states)
-    rows = docs.where(learns)
-    head = rows.where(F.octet_length("text").between(200, 20_000)).select("doc_id", F.encode("text", "UTF-8").alias("raw")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(start_docs).collect()
-    coder = Coder(lex)
-    texts = [coder.symbols(blank_words(bytes(r.raw), lower=True))[0] for r in head]
+    head = coded.where("n_tokens between 20 and 4000").select("symbols").orderBy(F.xxhash64("uid"), "uid").limit(start_docs).collect()
+    texts = [np.frombuffer(r.symbols, "<u2").astype(np.int64) for r in head]
     for _ in range(start_rounds if texts else 0):
         moves, emits = chain.expect(texts, 256)
         chain = maximise(moves, emits, prior)
-    del coder, texts, head
     width = states + 1
     schema = "slot int, " + ", ".join(f"e{s} double" for s in range(width))
     for _ in range(passes):
         cast = spark.sparkContext.broadcast(chain)
 
         def expect(batches: Iterator[pa.RecordBatch], cast=cast) -> Iterator[pa.RecordBatch]:
-            coder, chain = worker_coder(lexicon), cast.value
+            worker_cache("hmm chain")
+            chain = cast.value
             moves, emits = np.zeros_like(chain.move), np.zeros_like(chain.emit)
             for batch in batches:
-                raw = as_bytes(batch.column(0))
-                for a, b in text_slices(raw, 4_000_000):
-                    m, e = chain.expect([coder.symbols(blank_words(t, lower=True))[0] for t in raw[a:b]])
+                for part in _slices(_texts(batch.column(0))):
+                    m, e = chain.expect(part)
                     moves += m
                     emits += e
             some = np.flatnonzero(emits.sum(axis=1))
@@ -271,7 +289,7 @@ def train(spark: SparkSession, docs: DataFrame, learns, lexicon, lex: Lexicon, *
             slots = np.concatenate((some, -1 - np.arange(width)))
             yield pa.RecordBatch.from_arrays([pa.array(slots, pa.int32()), *(pa.array(table[:, s]) for s in range(width))], names=["slot", *(f"e{s}" for s in range(width))])
 
-        sums = rows.select("text").mapInArrow(expect, schema).groupBy("slot").agg(*[F.sum(f"e{s}").alias(f"e{s}") for s in range(width)]).collect()
+        sums = coded.select("symbols").mapInArrow(expect, schema).groupBy("slot").agg(*[F.sum(f"e{s}").alias(f"e{s}") for s in range(width)]).collect()
         moves, emits = np.zeros_like(chain.move), np.zeros_like(chain.emit)
         for r in sums:
             (emits if r.slot >= 0 else moves)[r.slot if r.slot >= 0 else -1 - r.slot] = r[1:]
@@ -279,15 +297,13 @@ def train(spark: SparkSession, docs: DataFrame, learns, lexicon, lex: Lexicon, *
     return chain
 
 
-_CODERS: dict[int, Coder] = {}
-
-
 def worker_coder(lexicon) -> Coder:
     """One coder for each broadcast lexicon and Python worker."""
-    if lexicon.id not in _CODERS:
-        _CODERS.clear()
-        _CODERS[lexicon.id] = Coder(lexicon.value)
-    return _CODERS[lexicon.id]
+    kept = worker_cache("hmm")
+    if lexicon.id not in kept:
+        kept.clear()
+        kept[lexicon.id] = Coder(lexicon.value)
+    return kept[lexicon.id]
 
 
 class SharedLexicon:
@@ -322,50 +338,60 @@ def score_texts(
     learns = F.coalesce(learns, F.lit(False))
     counts = count_words(docs, learns, work)
     work.free("none")
+    if symbols + classes >= 65_536:
+        raise ValueError("symbols are coded in two bytes")
     lex = build_lexicon(counts, listed=listed, symbols=symbols, classes=classes)
     shared = SharedLexicon(spark, lex)
-    chain = spark.sparkContext.broadcast(train(spark, docs, learns, shared, lex, states=states, passes=passes))
-    names = ["uid", "doc_id", "learned", "n_tokens", "n_known", "base", "score", "word", "tf"]
-    kinds = [pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.string(), pa.int64()]
+    lex_docs = lex.docs
+    names = ["uid", "doc_id", "learned", "n_tokens", "n_known", "base", "extra", "symbols", "word", "tf"]
+    kinds = [pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary(), pa.string(), pa.int64()]
 
-    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder, model, uid = worker_coder(shared), chain.value, TaskContext.get().partitionId() << 36
+    def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        coder, uid = worker_coder(shared), TaskContext.get().partitionId() << 36
         for batch in batches:
             ids, learned, raw = batch.column(0).to_pylist(), batch.column(1).to_pylist(), as_bytes(batch.column(2))
-            for a, b in text_slices(raw):
-                texts, known, base, extra = [], [], [], []
+            for a, b in text_slices(raw, 8_000_000):
+                known, base, extra = [], [], []
                 rare_uid, rare_word, rare_tf = [], [], []
-                for k, t in enumerate(raw[a:b]):
-                    symbols, index, rare = coder.symbols(blank_words(t, lower=True))
-                    texts.append(symbols)
+                words = [blank_words(t, lower=True) for t in raw[a:b]]
+                texts, indexes = coder.symbols(words)
+                for k, (ws, symbols, index) in enumerate(zip(words, texts, indexes, strict=True)):
                     there = index[index >= 0]
                     known.append(len(there) + (lex_docs > 0))
                     base.append(float(coder.log_c[there].sum()) + np.log10(lex_docs + SMOOTH))
                     cost = float(coder.extra[there].sum())
-                    if rare:
-                        cost -= float(coder.log_z[symbols[:-1][index < 0] - coder.lex.n_symbols].sum())
-                        tf = Counter(rare)
+                    if len(there) < len(index):
+                        other = np.flatnonzero(index < 0)
+                        cost -= float(coder.log_z[symbols[other] - coder.lex.n_symbols].sum())
+                        tf = Counter([ws[i] for i in other.tolist()])
                         rare_uid += [uid + k] * len(tf)
                         rare_word += tf.keys()
                         rare_tf += tf.values()
                     extra.append(cost)
                 n, m = b - a, len(rare_uid)
-                total = model.score(texts) + np.array(extra)
-                docs_part = [np.arange(uid, uid + n), ids[a:b], learned[a:b], [len(x) for x in texts], known, base, total, [None] * n, [None] * n]
-                yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(docs_part, kinds, strict=True)], names=names)
-                nothing = [pa.nulls(m, x) for x in kinds[1:7]]
+                part = [np.arange(uid, uid + n), ids[a:b], learned[a:b], [len(x) for x in texts], known, base, extra, [x.astype("<u2").tobytes() for x in texts], [None] * n, [None] * n]
+                yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(part, kinds, strict=True)], names=names)
+                nothing = [pa.nulls(m, x) for x in kinds[1:8]]
                 yield pa.RecordBatch.from_arrays([pa.array(rare_uid, pa.int64()), *nothing, pa.array(rare_word, pa.binary()).cast(pa.string()), pa.array(rare_tf, pa.int64())], names=names)
                 uid += n
 
-    lex_docs = lex.docs
-    schema = "uid long, doc_id long, learned boolean, n_tokens long, n_known long, base double, score double, word string, tf long"
-    parts = work.save(docs.select(F.col("doc_id").cast("long").alias("doc_id"), learns.alias("learned"), "text").mapInArrow(score, schema), "parts")
-    work.free("none")
+    # texts are coded once; training and scoring read the symbols
+    schema = "uid long, doc_id long, learned boolean, n_tokens long, n_known long, base double, extra double, symbols binary, word string, tf long"
+    parts = work.save(docs.select(F.col("doc_id").cast("long").alias("doc_id"), learns.alias("learned"), "text").mapInArrow(code, schema), "parts")
+    coded = parts.where("symbols is not null")
+    chain = spark.sparkContext.broadcast(train(spark, coded.where("learned"), lex, states=states, passes=passes))
+
+    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            total = [v for part in _slices(_texts(batch.column(6))) for v in chain.value.score(part)]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:6], pa.array(np.array(total) + batch.column(7).to_numpy())], names=["uid", "doc_id", "learned", "n_tokens", "n_known", "base", "score"])
+
+    scored = coded.select("uid", "doc_id", "learned", "n_tokens", "n_known", "base", "symbols", "extra").mapInArrow(score, "uid long, doc_id long, learned boolean, n_tokens long, n_known long, base double, score double")
     # at most ``listed`` words were told by broadcast; the others meet their counts here
     rare = parts.where("word is not null").select("uid", "word", "tf").join(counts.where("word <> ''").hint("shuffle_hash"), "word", "left")
     c = F.coalesce("c", F.lit(0))
     rare = rare.groupBy("uid").agg(F.sum(F.col("tf") * F.log10(c + SMOOTH)).alias("rare"), F.sum(F.when(c > 0, F.col("tf")).otherwise(0)).alias("rare_known"))
-    whole = parts.where("word is null").join(rare, "uid", "left")
+    whole = scored.join(rare, "uid", "left")
     zero = F.coalesce("rare", F.lit(0.0))
     z = float(np.log10(lex.tokens + SMOOTH * (lex.types + 1)))
     return whole.select(
