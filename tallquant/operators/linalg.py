@@ -56,15 +56,14 @@ def _blocks(frame: DataFrame, column: str, kernel: Callable, init: Callable, wid
     return frame.select(column).mapInArrow(run, "part long, blob binary")
 
 
-def _merge(blobs: DataFrame, join: Callable[[list[np.ndarray]], np.ndarray], shape: tuple[int, int], fan: int = 64, levels: int = 2) -> np.ndarray:
-    """Tree merge: groups of ``fan`` blobs in tasks, the few that are left on the driver."""
+def _merge(blobs: DataFrame, join: Callable[[list[np.ndarray]], np.ndarray], shape: tuple[int, int], fan: int = 1024) -> np.ndarray:
+    """Tree merge: runs of ``fan`` partitions in tasks, what is left (a thousandth of them) on the driver."""
 
     def step(table: pa.Table) -> pa.Table:
         parts = [np.frombuffer(x).reshape(shape) for x in table.column("blob").to_pylist()]
         return pa.Table.from_arrays([pa.array([table.column("part")[0].as_py()], pa.int64()), pa.array([join(parts).astype("<f8").tobytes()], pa.binary())], names=["part", "blob"])
 
-    for _ in range(levels):
-        blobs = blobs.withColumn("part", F.floor(F.col("part") / fan)).groupBy("part").applyInArrow(step, "part long, blob binary")
+    blobs = blobs.withColumn("part", F.floor(F.col("part") / fan)).groupBy("part").applyInArrow(step, "part long, blob binary")
     return join([np.frombuffer(r.blob).reshape(shape) for r in blobs.orderBy("part").collect()] or [np.zeros(shape)])
 
 

@@ -484,6 +484,14 @@ def fit_preprocess_census(spark, sf_dir):
     return spark.createDataFrame(rows, "tau double, beta array<double>, objective double, passes int, middle int, optimal boolean")
 
 
+@query()
+def fit_distributed_interior_point(spark, sf_dir):
+    from tallquant.operators.distributed_ipm import distributed_interior_point
+
+    fit = distributed_interior_point(D.supplier_design(spark, sf_dir), 0.75, most=25)
+    return spark.createDataFrame([([float(v) for v in fit.beta], fit.objective, fit.iterations)], "beta array<double>, objective double, iterations int")
+
+
 @query()
 def fit_census_all_samplers(spark, sf_dir):
     design = D.census_design(spark, sf_dir)

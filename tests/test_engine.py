@@ -201,3 +201,13 @@ def test_scan_reads_only_design_columns(spark, small):
 def test_no_cartesian_product_in_a_fit(spark, small):
     rows = L.augment(D.onehot_events(spark, small).drop("grp"))
     assert "CartesianProduct" not in plan_of(sampling.sample_rows(sampling.row_norms(rows, np.eye(6), how="exact"), 50, 1, total=1.0))
+
+
+def test_distributed_interior_point(spark, small):
+    from tallquant.operators.distributed_ipm import distributed_interior_point
+
+    design = D.census_design(spark, small)
+    exact, _ = quantreg.preprocess_exact(design, 0.75)
+    fit = distributed_interior_point(design, 0.75)
+    assert fit.objective == pytest.approx(exact.objective, rel=1e-6)
+    assert fit.iterations < 40
