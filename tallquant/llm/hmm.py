@@ -143,7 +143,7 @@ class Chain:
                 kept[t, :a] = now
         return scale, kept
 
-    def score(self, texts: list[np.ndarray], n_lanes: int = 1024) -> np.ndarray:
+    def score(self, texts: list[np.ndarray], n_lanes: int = 768) -> np.ndarray:
         """log10 likelihood of each text."""
         if not texts:
             return np.empty(0)
@@ -152,7 +152,7 @@ class Chain:
         total = np.vstack([np.zeros((1, grid.shape[1])), total])
         return np.array([total[end, lane] - total[end - len(x), lane] for x, (lane, end) in zip(texts, where, strict=True)])
 
-    def expect(self, texts: list[np.ndarray], n_lanes: int = 1024) -> tuple[np.ndarray, np.ndarray]:
+    def expect(self, texts: list[np.ndarray], n_lanes: int = 768) -> tuple[np.ndarray, np.ndarray]:
         """Expected transitions and emissions of some texts."""
         grid, length, _ = lanes(texts, n_lanes)
         kind = np.float32
@@ -224,13 +224,25 @@ def count_words(docs: DataFrame, learns, work: Workspace, flush: int = 400_000)
 
 
 def build_lexicon(counts: DataFrame, *, listed: int, symbols: int, classes: int) -> Lexicon:
-    """Collects the ``listed`` most frequent words and totals; the table itself stays distributed."""
+    """Collects at most ``listed`` words, the most frequent, and totals; the table itself stays distributed.
+
+    A word is listed if its count is so high that no more than ``listed`` words
+    reach it; the counts that occur (fewer than the root of twice the tokens) are
+    tallied to find that limit, so nothing is ordered and no task keeps more.
+    """
     raw = F.encode("word", "UTF-8")
     ending = F.when(F.length(raw) >= 2, F.substring(raw, -2, 2)).otherwise(raw)
     by_class = counts.where("word <> ''").groupBy(F.pmod(F.crc32(ending), F.lit(classes)).cast("int").alias("k")).agg(F.sum("c").alias("c"), F.count("*").alias("v")).collect()
     docs = counts.where("word = ''").first()
-    top = counts.where("word <> ''").orderBy(F.desc("c"), "word").limit(listed).toArrow()
-    words, n = [w.encode() for w in top.column("word").to_pylist()], np.array(top.column("c").to_pylist(), dtype=np.int64)
+    tally = sorted(((r.c, r.n) for r in counts.where("word <> ''").groupBy("c").agg(F.count("*").alias("n")).collect()), reverse=True)
+    least, held = None, 0
+    for c, k in tally:
+        if held + k > listed:
+            break
+        least, held = c, held + k
+    top = counts.where("word <> ''").where(F.col("c") >= F.lit(least)).toArrow() if held else None
+    pairs = sorted(zip(top.column("c").to_pylist(), top.column("word").to_pylist(), strict=True), key=lambda x: (-x[0], x[1])) if top else []
+    words, n = [w.encode() for _, w in pairs], np.array([c for c, _ in pairs], dtype=np.int64)
     symbols = min(symbols, len(words))
     total, types = np.zeros(classes, dtype=np.int64), np.zeros(classes, dtype=np.int64)
     for r in by_class:
@@ -248,7 +260,7 @@ def _texts(column: pa.Array) -> list[np.ndarray]:
     return [np.frombuffer(x, "<u2").astype(np.int64) for x in column.to_pylist()]
 
 
-def _slices(texts: list[np.ndarray], most: int = 1_200_000) -> Iterator[list[np.ndarray]]:
+def _slices(texts: list[np.ndarray], most: int = 800_000) -> Iterator[list[np.ndarray]]:
     """Runs of texts with about ``most`` tokens."""
     part, size = [], 0
     for t in texts:
@@ -265,7 +277,9 @@ def train(spark: SparkSession, coded: DataFrame, lex: Lexicon, *, states: int =
     """Baum-Welch over ``coded(uid, n_tokens, symbols)``: a start on a few texts, then ``passes`` over the whole corpus."""
     prior = lex.unigram()
     chain = first_chain(prior, states)
-    head = coded.where("n_tokens between 20 and 4000").select("symbols").orderBy(F.xxhash64("uid"), "uid").limit(start_docs).collect()
+    # about start_docs texts, by a hash of their content
+    one_in = max(1, lex.docs // start_docs)
+    head = coded.where("n_tokens between 20 and 4000").where(F.pmod(F.xxhash64("symbols"), F.lit(one_in)) == 0).select("symbols").collect()
     texts = [np.frombuffer(r.symbols, "<u2").astype(np.int64) for r in head]
     for _ in range(start_rounds if texts else 0):
         moves, emits = chain.expect(texts, 256)
@@ -350,7 +364,7 @@ def score_texts(
         coder, uid = worker_coder(shared), TaskContext.get().partitionId() << 36
         for batch in batches:
             ids, learned, raw = batch.column(0).to_pylist(), batch.column(1).to_pylist(), as_bytes(batch.column(2))
-            for a, b in text_slices(raw, 8_000_000):
+            for a, b in text_slices(raw, 4_000_000):
                 known, base, extra = [], [], []
                 rare_uid, rare_word, rare_tf = [], [], []
                 words = [blank_words(t, lower=True) for t in raw[a:b]]

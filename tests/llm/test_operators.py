@@ -159,8 +159,8 @@ def test_hmm_query(spark, small):
 
 def test_hmm_small_lists_and_edges(spark):
     texts = odd_texts()
-    scored = hmm.score_texts(spark, frame(spark, texts), F.col("doc_id") % 3 != 0, listed=20, symbols=5, classes=4).collect()
-    whole = hmm.score_texts(spark, frame(spark, texts), F.col("doc_id") % 3 != 0, listed=10_000, symbols=5, classes=4).collect()
+    scored = hmm.score_texts(spark, frame(spark, texts), F.col("doc_id") % 3 != 0, listed=150, symbols=3, classes=4).collect()
+    whole = hmm.score_texts(spark, frame(spark, texts), F.col("doc_id") % 3 != 0, listed=10_000, symbols=3, classes=4).collect()
     a, b = ({r.doc_id: r for r in x} for x in (scored, whole))
     assert len(a) == len(texts)
     for i, r in a.items():
