@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import os
 import re
@@ -271,14 +272,40 @@ class WordEncoder:
         return [ids[a:b] for a, b in zip(stops[:-1], stops[1:], strict=True)]
 
 
-_ENCODERS: dict[str, WordEncoder] = {}
+#: What a Python worker keeps between tasks, by operator.
+CACHES: dict[str, dict] = {}
+_NOW = [""]
+
+
+def worker_cache(operator: str) -> dict:
+    """The operator's cache in this worker.
+
+    Workers serve one stage after the other; one that turns to another operator
+    gives back what it kept for the last.
+    """
+    if _NOW[0] != operator:
+        for name in [n for n in CACHES if n != operator]:
+            del CACHES[name]
+        _NOW[0] = operator
+        trim()
+    return CACHES.setdefault(operator, {})
+
+
+def trim() -> None:
+    """Return freed memory to the system where the C library can."""
+    gc.collect()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
 
 
 def word_encoder(path: str) -> WordEncoder:
     """One encoder for each file and Python worker."""
-    if path not in _ENCODERS:
-        _ENCODERS[path] = WordEncoder(path)
-    return _ENCODERS[path]
+    kept = worker_cache("encoder")
+    if path not in kept:
+        kept[path] = WordEncoder(path)
+    return kept[path]
 
 
 def default_tokenizer() -> str:
@@ -288,7 +315,7 @@ def default_tokenizer() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
-def text_slices(texts: list[bytes | None], most: int = 4_000_000):
+def text_slices(texts: list[bytes | None], most: int = 3_000_000):
     """Cut a batch into runs of rows with at most ``most`` bytes (one row at least)."""
     start = total = 0
     for i, t in enumerate(texts):

@@ -26,12 +26,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tallquant.llm.common import ALNUM_ANY_CASE, alnum_words, as_bytes, ship
+from tallquant.llm.common import ALNUM_ANY_CASE, alnum_words, as_bytes, ship, worker_cache
 
 FOUND = "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, item_ids array<string>, spans array<struct<start: int, end: int>>"
 _SPAN = pa.struct([("start", pa.int32()), ("end", pa.int32())])
 _WORD = re.compile(ALNUM_ANY_CASE)
-_AUTOMATA: dict[str, object] = {}
 
 
 def item_windows(text: bytes | None, width: int, least: int = 1) -> list[tuple[str, int]]:
@@ -109,10 +108,10 @@ def decontaminate(
 
 def _scanner(items, token: str, width: int, least: int, last: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if token not in _AUTOMATA:
-            _AUTOMATA.clear()
-            _AUTOMATA[token] = build_automaton(items.value, width, least)
-        machine = _AUTOMATA[token]
+        kept = worker_cache("decontaminate")
+        if token not in kept:
+            kept[token] = build_automaton(items.value, width, least)
+        machine = kept[token]
         for batch in batches:
             texts = as_bytes(batch.column(1))
             hits, founds, counts = batch.column(2).to_pylist(), batch.column(3).to_pylist(), []

@@ -29,7 +29,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tallquant.llm.common import Workspace, as_bytes, blank_words, text_slices, worker_cache
+from tallquant.llm.common import Workspace, as_bytes, blank_words, release, text_slices, worker_cache
 
 SMOOTH = 0.1
 
@@ -351,7 +351,7 @@ def score_texts(
     work = Workspace(spark, "hmm")
     learns = F.coalesce(learns, F.lit(False))
     counts = count_words(docs, learns, work)
-    work.free("none")
+    release(spark)
     if symbols + classes >= 65_536:
         raise ValueError("symbols are coded in two bytes")
     lex = build_lexicon(counts, listed=listed, symbols=symbols, classes=classes)

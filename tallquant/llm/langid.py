@@ -5,8 +5,8 @@ dimensions and scaled to length one; what is not a letter counts as space.
 Document frequencies are counted over all documents to learn from.  Each language
 has several centroids, found by spherical k-means over at most ``sample`` of its
 documents (those of smallest hash).  The language of the nearest centroid by
-cosine wins; a text that is further from it than the documents of its length that
-it was learned from, with a margin, is rejected.
+cosine wins; a text that is further from it than any document that it was learned
+from, with a margin that is wider for short texts, is rejected.
 
 Null texts and texts without a letter are ``und``, with score 0 and rejected; so
 is every text if there is nothing to learn from.  Ties go to the smaller language
@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window
 
-from tallquant.llm.common import as_bytes, ship, text_slices
+from tallquant.llm.common import as_bytes, ship, text_slices, worker_cache
 
 _LETTERS = bytes(b if b >= 128 or 97 <= b <= 122 else b + 32 if 65 <= b <= 90 else 32 for b in range(256))
 #: Upper ends of the length bands (in trigrams) that have a rejection floor each.
@@ -122,6 +122,7 @@ def learn(spark: SparkSession, docs: DataFrame, learns, *, dims: int = 4096, cen
     rows = docs.where(learns & F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull())
 
     def frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        worker_cache("langid")
         df, n = np.zeros(dims, dtype=np.int64), 0
         for batch in batches:
             texts = as_bytes(batch.column(0))
@@ -142,8 +143,9 @@ def learn(spark: SparkSession, docs: DataFrame, learns, *, dims: int = 4096, cen
         counts = np.concatenate([trigram_counts([t.encode() for t in part.text[i : i + 128]], dims) for i in range(0, len(part), 128)])
         vectors = unit_vectors(counts, idf)
         centers = cluster(vectors, centroids)
-        best, bands = (vectors @ centers.T).max(axis=1), band_of(counts)
-        floors = [margin * float(np.quantile(best[bands == b], 0.01)) if (bands == b).any() else 0.0 for b in range(len(BANDS) + 1)]
+        best = (vectors @ centers.T).max(axis=1)
+        # the furthest document that was learned from, with a margin; few trigrams say less, so short texts get more
+        floors = [margin * float(best.min()) * (0.5 if b < 2 else 1.0) for b in range(len(BANDS) + 1)]
         return pd.DataFrame({"lang": part.lang.iloc[0], "center": [c.tolist() for c in centers], "floors": [floors] * len(centers)})
 
     fitted = rows.select("doc_id", "text", "lang").join(chosen, "doc_id").groupBy("lang").applyInPandas(fit, "lang string, center array<float>, floors array<double>").collect()

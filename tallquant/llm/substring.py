@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tallquant.llm.common import BLANK_WORD, Workspace, as_bytes, blank_words, text_slices, window_hashes, word_hashes
+from tallquant.llm.common import BLANK_WORD, Workspace, as_bytes, blank_words, release, text_slices, window_hashes, word_hashes, worker_cache
 
 # Perfect difference sets, period to remainders.
 COVERS = {
@@ -111,11 +111,12 @@ def find_anchors(width: int, period: int, n_buckets: int):
     size = width - period + 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        worker_cache("substring")
         for batch in batches:
             keys, ids, texts = batch.column(0).to_numpy(), _ids(batch.column(1)), as_bytes(batch.column(2))
             order = np.argsort(ids, kind="stable")
             keys, ids, texts = keys[order], ids[order], [texts[i] for i in order]
-            for a, b in text_slices(texts, 8_000_000):
+            for a, b in text_slices(texts, 4_000_000):
                 words = [blank_words(t) for t in texts[a:b]]
                 counts = np.array([len(w) for w in words])
                 if counts.sum() < size:
@@ -259,7 +260,7 @@ def remove(width: int):
     return run
 
 
-def dedup_substrings(spark: SparkSession, docs: DataFrame, *, width: int = 13, keep: list[str] | None = None, bucket_bytes: int = 16 << 20) -> DataFrame:
+def dedup_substrings(spark: SparkSession, docs: DataFrame, *, width: int = 13, keep: list[str] | None = None, bucket_bytes: int = 8 << 20) -> DataFrame:
     """``n_words, n_removed, kept_sha256, kept_text`` beside the columns that ``keep`` names."""
     work, keep, period = Workspace(spark, "substring"), keep or ["doc_id"], choose_period(width)
     total = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
@@ -267,7 +268,7 @@ def dedup_substrings(spark: SparkSession, docs: DataFrame, *, width: int = 13, k
     key = F.xxhash64("doc_id", "text")
     rows = docs.select(key.alias("key"), F.col("doc_id").cast("long").alias("doc_id"), "text")
     shared = work.save(rows.mapInArrow(find_anchors(width, period, n), PACKED).groupBy("dest").applyInArrow(match_anchors(n), PACKED), "shared")
-    work.free("none")
+    release(spark)
     unsigned = F.expr(f"cast(pmod(cast(key as decimal(20,0)) + case when key < 0 then 18446744073709551616BD else 0BD end, {n}BD) as long)")
     dealt = rows.withColumn("dest", unsigned)
     flags = work.save(dealt.groupBy("dest").cogroup(shared.groupBy("dest")).applyInArrow(extend(width, period, n), PACKED).groupBy("dest").applyInArrow(decide(n), PACKED), "flags")

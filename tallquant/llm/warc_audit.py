@@ -109,7 +109,7 @@ def read_replica(files: DataFrame) -> DataFrame:
                             rows = []
                     yield _rows(rows)
 
-    return files.repartition("file").mapInArrow(read, "record_id long, url string, body string, record string")
+    return files.repartition(max(1, min(files.count(), 10_000)), "file").mapInArrow(read, "record_id long, url string, body string, record string")
 
 
 def _rows(rows: list[tuple]) -> pa.RecordBatch:
