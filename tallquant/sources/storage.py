@@ -60,6 +60,7 @@ def write_partitioned(df: DataFrame, by: str, name: str) -> str:
 
 
 def write_bucketed(df: DataFrame, by: str, table: str, buckets: int = 8) -> DataFrame:
-    """A bucketed table: later joins on the key need no exchange."""
-    df.write.bucketBy(buckets, by).sortBy(by).mode("overwrite").format("parquet").saveAsTable(table)
-    return df.sparkSession.table(table)
+    """A bucketed table in a fresh path of the shared folder: later joins on the key need no exchange."""
+    name = f"{table}_{uuid.uuid4().hex[:8]}"
+    df.write.bucketBy(buckets, by).sortBy(by).option("path", scratch(df.sparkSession, name)).format("parquet").saveAsTable(name)
+    return df.sparkSession.table(name)
