@@ -96,7 +96,7 @@ class Coder:
 
 def lanes(texts: list[np.ndarray], n: int) -> tuple[np.ndarray, np.ndarray, list[tuple[int, int]]]:
     """Deal texts to lanes of about equal length: symbols (time by lane), lane lengths (falling), each text's lane and end."""
-    n = max(1, min(n, len(texts)))
+    n = max(1, min(n, len(texts), -(-sum(map(len, texts)) // max(map(len, texts), default=1))))
     heap = [(0, i) for i in range(n)]
     held: list[list[int]] = [[] for _ in range(n)]
     for k in sorted(range(len(texts)), key=lambda k: -len(texts[k])):
@@ -260,12 +260,16 @@ def _texts(column: pa.Array) -> list[np.ndarray]:
     return [np.frombuffer(x, "<u2").astype(np.int64) for x in column.to_pylist()]
 
 
-def _slices(texts: list[np.ndarray], most: int = 800_000) -> Iterator[list[np.ndarray]]:
-    """Runs of texts with about ``most`` tokens."""
+def _slices(texts: list[np.ndarray], most: int = 800_000) -> Iterator[list[int]]:
+    """Texts of like length together, about ``most`` tokens at a time: their numbers.
+
+    Lanes of like texts end at about the same time, so the grid of a run has
+    hardly more cells than tokens, however long the longest text is.
+    """
     part, size = [], 0
-    for t in texts:
-        part.append(t)
-        size += len(t)
+    for k in sorted(range(len(texts)), key=lambda k: -len(texts[k])):
+        part.append(k)
+        size += len(texts[k])
         if size >= most:
             yield part
             part, size = [], 0
@@ -294,8 +298,9 @@ def train(spark: SparkSession, coded: DataFrame, lex: Lexicon, *, states: int =
             chain = cast.value
             moves, emits = np.zeros_like(chain.move), np.zeros_like(chain.emit)
             for batch in batches:
-                for part in _slices(_texts(batch.column(0))):
-                    m, e = chain.expect(part)
+                texts = _texts(batch.column(0))
+                for part in _slices(texts):
+                    m, e = chain.expect([texts[k] for k in part])
                     moves += m
                     emits += e
             some = np.flatnonzero(emits.sum(axis=1))
@@ -397,8 +402,10 @@ def score_texts(
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            total = [v for part in _slices(_texts(batch.column(6))) for v in chain.value.score(part)]
-            yield pa.RecordBatch.from_arrays([*batch.columns[:6], pa.array(np.array(total) + batch.column(7).to_numpy())], names=["uid", "doc_id", "learned", "n_tokens", "n_known", "base", "score"])
+            texts, total = _texts(batch.column(6)), np.zeros(len(batch))
+            for part in _slices(texts):
+                total[part] = chain.value.score([texts[k] for k in part])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:6], pa.array(total + batch.column(7).to_numpy())], names=["uid", "doc_id", "learned", "n_tokens", "n_known", "base", "score"])
 
     scored = coded.select("uid", "doc_id", "learned", "n_tokens", "n_known", "base", "symbols", "extra").mapInArrow(score, "uid long, doc_id long, learned boolean, n_tokens long, n_known long, base double, score double")
     # at most ``listed`` words were told by broadcast; the others meet their counts here
