@@ -3,8 +3,8 @@
 A text is the TF-IDF vector of its letter trigrams, hashed to a fixed number of
 dimensions and scaled to length one; what is not a letter counts as space.
 Document frequencies are counted over all documents to learn from.  Each language
-has several centroids, found by spherical k-means over at most ``sample`` of its
-documents (those of smallest hash).  The language of the nearest centroid by
+has several centroids, found by spherical k-means over about ``sample`` of its documents
+(chosen by a hash; never more than twice as many).  The language of the nearest centroid by
 cosine wins; a text that is further from it than any document that it was learned
 from, with a margin that is wider for short texts, is rejected.
 
@@ -25,7 +25,6 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
-from pyspark.sql import Window
 
 from tallquant.llm.common import as_bytes, ship, text_slices, worker_cache
 
@@ -116,7 +115,8 @@ def learn(spark: SparkSession, docs: DataFrame, learns, *, dims: int = 4096, cen
     """Fit on the rows of ``docs(doc_id, text, lang)`` where the condition ``learns`` holds.
 
     ``sample`` bounds the documents of each language that centroids are fitted
-    on; document frequencies cover every row.
+    on; document frequencies cover every row.  The languages are few: their sizes
+    and centroids come to the driver.
     """
     ship(spark)
     rows = docs.where(learns & F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull())
@@ -136,10 +136,13 @@ def learn(spark: SparkSession, docs: DataFrame, learns, *, dims: int = 4096, cen
     total = counted.pop(-1, 0)
     idf = np.array([np.log((1 + total) / (1 + counted.get(j, 0))) + 0.05 for j in range(dims)], dtype=np.float32)
 
-    rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))
-    chosen = F.broadcast(rows.select("doc_id", "lang").withColumn("rank", rank).where(F.col("rank") <= sample).select("doc_id").distinct())  # at most sample rows a language
+    # about ``sample`` rows of each language, by a hash of the identifier: the scan drops the others
+    fine, sizes = 1 << 30, {r.lang: r.n for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}
+    limits = F.create_map(*[F.lit(x) for lang, n in sorted(sizes.items()) for x in (lang, int(min(fine, fine * sample // n)))]) if sizes else F.create_map(F.lit(""), F.lit(0))
+    chosen = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(fine)) < limits[F.col("lang")])
 
     def fit(part: pd.DataFrame) -> pd.DataFrame:
+        part = part.sort_values("doc_id", kind="stable").head(2 * sample)
         counts = np.concatenate([trigram_counts([t.encode() for t in part.text[i : i + 128]], dims) for i in range(0, len(part), 128)])
         vectors = unit_vectors(counts, idf)
         centers = cluster(vectors, centroids)
@@ -148,7 +151,7 @@ def learn(spark: SparkSession, docs: DataFrame, learns, *, dims: int = 4096, cen
         floors = [margin * float(best.min()) * (0.5 if b < 2 else 1.0) for b in range(len(BANDS) + 1)]
         return pd.DataFrame({"lang": part.lang.iloc[0], "center": [c.tolist() for c in centers], "floors": [floors] * len(centers)})
 
-    fitted = rows.select("doc_id", "text", "lang").join(chosen, "doc_id").groupBy("lang").applyInPandas(fit, "lang string, center array<float>, floors array<double>").collect()
+    fitted = chosen.select("doc_id", "text", "lang").groupBy("lang").applyInPandas(fit, "lang string, center array<float>, floors array<double>").collect()
     fitted.sort(key=lambda r: (r.lang, r.center))
     return Model([r.lang for r in fitted], np.array([r.center for r in fitted], dtype=np.float32).reshape(len(fitted), dims), np.array([r.floors for r in fitted]).reshape(len(fitted), len(BANDS) + 1), idf)
 
