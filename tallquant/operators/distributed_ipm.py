@@ -72,7 +72,7 @@ def _reduce(state: DataFrame, kernel: Callable[[_Block], tuple[np.ndarray, np.nd
 
 
 def distributed_interior_point(design: DataFrame, tau: float, *, tol: float = 1e-8, most: int = 60) -> Fit:
-    """Exact fit up to the tolerance on the duality gap; weights are folded into the rows."""
+    """Exact fit up to the tolerance on the duality gap, ``optimal`` if that was reached; weights are folded into the rows."""
     from tallquant.operators.quantreg import fit_ls
 
     spark, start = design.sparkSession, fit_ls(design)
@@ -84,7 +84,7 @@ def distributed_interior_point(design: DataFrame, tau: float, *, tol: float = 1e
     first = folded.select("b", "x", F.lit(1.0 - tau).alias("up"), (F.greatest(-resid, F.lit(0.0)) + tiny).alias("low"), (F.greatest(resid, F.lit(0.0)) + tiny).alias("high"))
     path = scratch(spark, "ipm")
     first.write.parquet(f"{path}/0")
-    state, total, it = spark.read.schema(STATE).parquet(f"{path}/0"), 0.0, 0
+    state, total, it, done = spark.read.schema(STATE).parquet(f"{path}/0"), 0.0, 0, False
     for it in range(1, most + 1):
 
         def newton(k: _Block) -> tuple[np.ndarray, np.ndarray]:
@@ -95,7 +95,8 @@ def distributed_interior_point(design: DataFrame, tau: float, *, tol: float = 1e
         s, _ = _reduce(state, newton, beta)
         m, rhs, xa, ones = s[: d * d].reshape(d, d), s[d * d : d * d + d], s[d * d + d : d * d + 2 * d], s[d * d + 2 * d : d * d + 3 * d]
         gap, total = s[-2], s[-1]
-        if gap <= tol * (1 + abs(total)):
+        done = bool(gap <= tol * (1 + abs(total)))
+        if done:
             break
         ask = (1 - tau) * ones - xa
         solve = lambda v: np.linalg.lstsq(m, v, rcond=None)[0]  # noqa: E731, B023
@@ -131,4 +132,4 @@ def distributed_interior_point(design: DataFrame, tau: float, *, tol: float = 1e
         state.mapInArrow(advance, STATE).write.parquet(f"{path}/{it}")
         state = spark.read.schema(STATE).parquet(f"{path}/{it}")
         beta = beta + down * turn
-    return Fit(beta, float(total), it, False)
+    return Fit(beta, float(total), it, done)

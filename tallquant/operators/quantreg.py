@@ -102,6 +102,10 @@ def local_matrix(design: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray]
     return batch_matrix(table.column("x")), table.column("b").to_numpy(), table.column("w").to_numpy()
 
 
+#: Cells of a design that the driver may hold: bounds the rough fit's sample and the fits without merging.
+DRIVER_CELLS = 10_000_000
+
+
 def preprocess_exact(design: DataFrame, tau: float, *, seed: int = 23, middle_rows: int = 200_000, rounds: int = 12, engine: str = "fast") -> tuple[Fit, dict]:
     """Exact fit of any number of rows by merging those that are surely above or below the fit.
 
@@ -109,52 +113,90 @@ def preprocess_exact(design: DataFrame, tau: float, *, seed: int = 23, middle_ro
     band around it are summed into one row above and one below.  The loss of the
     merged problem never exceeds the full loss and equals it where no merged row
     has the wrong sign, so a fit without wrong signs is optimal for all data.
+
+    At most ``middle_rows`` rows stay unmerged.  Where the band and the rows of
+    wrong sign need more, the distributed interior point solves all rows, and a
+    thin band around its solution gives the vertex; if even that band holds too
+    many rows (many equal ones), its solution stands, exact up to its tolerance.
     """
     n = design.count()
     d = len(design.select("x").first().x)
-    m = min(n, math.ceil((d * n) ** (2 / 3)) + 50 * d)
-    passes = 1
-    if n <= 4 * m:
+    m = min(n, math.ceil((d * n) ** (2 / 3)) + 50 * d, max(50 * d, DRIVER_CELLS // d))
+    if n <= 4 * m and n * d <= DRIVER_CELLS:
         x, b, w = local_matrix(design)
         return solve_weighted(x, b, w, tau), {"passes": 2, "middle": n, "n": n, "wrong": 0}
-    keep, half = None, 0.0
-    for k in range(rounds):
-        x, b, w = local_matrix(sampling.sample_uniform(design, m, seed + k, n=n, engine=engine))
-        rough = interior_point(x, b, tau, w)
-        spread = np.linalg.pinv(x.T @ x) * len(x)
-        half = min(0.45, max(half, 0.4 * m / n, 2.5 / math.sqrt(m)))
-        z = (b - x @ rough.beta) / np.sqrt(np.maximum(np.einsum("ij,jk,ik->i", x, spread, x), 1e-300))
-        low, high = np.quantile(z, max(0.0, tau - half)), np.quantile(z, min(1.0, tau + half))
-        passes += 2
-        for _ in range(4):
-            up, down, mid = _merge_rows(design, rough.beta, spread, low if tau - half > 0 else -np.inf, high if tau + half < 1 else np.inf, middle_rows)
-            passes += 1
-            if mid is None:
+    x, b, w = local_matrix(sampling.sample_uniform(design, m, seed, n=n, engine=engine))
+    rough = interior_point(x, b, tau, w)
+    spread = np.linalg.pinv(x.T @ x) * len(x)
+    size = np.sqrt(np.maximum(np.einsum("ij,jk,ik->i", x, spread, x), 1e-300))
+
+    def around_rough(half: float) -> tuple[float, float]:
+        z = (b - x @ rough.beta) / size
+        return np.quantile(z, tau - half) if tau - half > 0 else -np.inf, np.quantile(z, tau + half) if tau + half < 1 else np.inf
+
+    fit, passes, middle = _fit_merged(design, tau, rough.beta, spread, around_rough, min(0.45, max(0.4 * m / n, 2.5 / math.sqrt(m))), middle_rows, rounds)
+    passes += 3
+    if fit is None:
+        from tallquant.operators.distributed_ipm import distributed_interior_point
+
+        centre = distributed_interior_point(design, tau)
+        passes += 3 + 4 * centre.iterations
+
+        def around_centre(half: float) -> tuple[float, float]:
+            far = float(np.quantile(np.abs(b - x @ centre.beta) / size, min(1.0, 2 * half)))
+            return -far, far
+
+        fit, more, middle = _fit_merged(design, tau, centre.beta, spread, around_centre, min(0.45, 0.25 * middle_rows / n), middle_rows, rounds)
+        passes += more
+        if fit is None:
+            if not centre.optimal:
+                raise RuntimeError(f"no exact fit at level {tau}: the band overflows and the interior point did not converge")
+            fit = centre
+    return fit, {"passes": passes, "middle": middle, "n": n, "wrong": 0}
+
+
+def _fit_merged(design: DataFrame, tau: float, beta: np.ndarray, spread: np.ndarray, band, half: float, middle_rows: int, rounds: int) -> tuple[Fit | None, int, int]:
+    """The fit with rows outside ``band(half)`` around ``beta`` merged, passes and middle rows; None if the middle does not fit.
+
+    A band of too many rows is narrowed; merged rows of the wrong sign join the middle.
+    """
+    passes, past, narrowed = 0, [], 0
+    for _ in range(rounds):
+        cut = (beta, spread, *band(half), past)
+        up, down, mid, held = _merge_rows(design, cut, middle_rows)
+        passes += 1
+        if mid is None:
+            if past or narrowed == 3:
                 break
-            mx, mb, mw = mid
-            for row in (up, down):
-                if row is not None:
-                    mx, mb, mw = np.vstack([mx, row[1:]]), np.append(mb, row[0]), np.append(mw, 1.0)
-            keep = interior_point(mx, mb, tau, mw)
-            wrong, full = _check_signs(design, keep.beta, rough.beta, spread, low if tau - half > 0 else -np.inf, high if tau + half < 1 else np.inf, tau)
-            passes += 1
-            if wrong == 0:
-                return Fit(keep.beta, full, keep.iterations, True), {"passes": passes, "middle": len(mb), "n": n, "wrong": 0}
-            half = min(0.49, half * 1.6)
-            low, high = np.quantile(z, max(0.0, tau - half)), np.quantile(z, min(1.0, tau + half))
-        m = min(n, 2 * m)
-    return Fit(keep.beta if keep else rough.beta, float("nan"), 0, False), {"passes": passes, "middle": 0, "n": n, "wrong": -1}
-
-
-def _banded(beta: np.ndarray, spread: np.ndarray, low: float, high: float, b: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+            # half of the room is left to rows of the wrong sign
+            half, narrowed = half * 0.5 * middle_rows / held, narrowed + 1
+            continue
+        mx, mb, mw = mid
+        for row in (up, down):
+            if row is not None:
+                mx, mb, mw = np.vstack([mx, row[1:]]), np.append(mb, row[0]), np.append(mw, 1.0)
+        keep = interior_point(mx, mb, tau, mw)
+        wrong, full = _check_signs(design, keep.beta, cut, tau)
+        passes += 1
+        if wrong == 0:
+            return Fit(keep.beta, full, keep.iterations, True), passes, len(mb)
+        past.append(keep.beta)
+    return None, passes, 0
+
+
+def _banded(beta: np.ndarray, spread: np.ndarray, low: float, high: float, past: list[np.ndarray], b: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rows above and below the band that kept their sign at the ``past`` fits, and all others."""
     z = (b - x @ beta) / np.sqrt(np.maximum(np.einsum("ij,jk,ik->i", x, spread, x), 1e-300))
     above, below = z > high, z < low
+    for other in past:
+        r = b - x @ other
+        above, below = above & (r >= 0), below & (r <= 0)
     return above, below, ~above & ~below
 
 
-def _merge_rows(design: DataFrame, beta: np.ndarray, spread: np.ndarray, low: float, high: float, most: int):
-    """Sums of the rows above and below the band, and the rows inside; None instead if those exceed ``most``."""
-    cast = design.sparkSession.sparkContext.broadcast((beta, spread, low, high))
+def _merge_rows(design: DataFrame, cut: tuple, most: int):
+    """Sums of the rows above and below the band, the rows inside (None if those exceed ``most``) and their number."""
+    cast = design.sparkSession.sparkContext.broadcast(cut)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums: dict[int, np.ndarray] = {}
@@ -171,23 +213,24 @@ def _merge_rows(design: DataFrame, beta: np.ndarray, spread: np.ndarray, low: fl
         for side, row in sums.items():
             yield pa.RecordBatch.from_arrays([pa.array([side], pa.int32()), pa.array([row[0]]), pa.array([1.0]), pa.array([row[1:].tolist()], pa.list_(pa.float64()))], names=["side", "b", "w", "x"])
 
-    cut = design.select("b", "w", "x").mapInArrow(run, "side int, b double, w double, x array<double>").persist()
+    rows = design.select("b", "w", "x").mapInArrow(run, "side int, b double, w double, x array<double>").persist()
     try:
-        inside = cut.where("side = 0")
-        if inside.count() > most:
-            return None, None, None
-        d = len(beta)
+        inside = rows.where("side = 0")
+        held = inside.count()
+        if held > most:
+            return None, None, None, held
+        d = len(cut[0])
         merged = {}
-        for r in cut.where("side <> 0").groupBy("side").agg(F.sum("b").alias("b"), *[F.sum(F.col("x")[j]).alias(f"x{j}") for j in range(d)]).collect():
+        for r in rows.where("side <> 0").groupBy("side").agg(F.sum("b").alias("b"), *[F.sum(F.col("x")[j]).alias(f"x{j}") for j in range(d)]).collect():
             merged[r.side] = np.array(r[1:], dtype=float)
-        return merged.get(1), merged.get(-1), local_matrix(inside) if inside.count() else (np.zeros((0, d)), np.zeros(0), np.zeros(0))
+        return merged.get(1), merged.get(-1), local_matrix(inside) if held else (np.zeros((0, d)), np.zeros(0), np.zeros(0)), held
     finally:
-        cut.unpersist()
+        rows.unpersist()
 
 
-def _check_signs(design: DataFrame, beta: np.ndarray, rough: np.ndarray, spread: np.ndarray, low: float, high: float, tau: float) -> tuple[int, float]:
+def _check_signs(design: DataFrame, beta: np.ndarray, cut: tuple, tau: float) -> tuple[int, float]:
     """Merged rows whose residual at the new fit has the wrong sign, and the full loss there."""
-    cast = design.sparkSession.sparkContext.broadcast((rough, spread, low, high))
+    cast = design.sparkSession.sparkContext.broadcast(cut)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         wrong, total = 0, 0.0

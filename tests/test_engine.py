@@ -211,3 +211,13 @@ def test_distributed_interior_point(spark, small):
     fit = distributed_interior_point(design, 0.75)
     assert fit.objective == pytest.approx(exact.objective, rel=1e-6)
     assert fit.iterations < 40
+
+
+@pytest.mark.parametrize("middle_rows", [4000, 1000])
+def test_exact_fit_when_the_band_overflows(spark, medium, middle_rows):
+    design = D.census_design(spark, medium).persist()
+    want, _ = quantreg.preprocess_exact(design, 0.75)
+    fit, info = quantreg.preprocess_exact(design, 0.75, middle_rows=middle_rows)
+    design.unpersist()
+    assert fit.optimal and 0 < info["middle"] <= middle_rows + 2
+    assert fit.objective == pytest.approx(want.objective, rel=1e-9) and list(fit.beta) == pytest.approx(list(want.beta), abs=1e-7)
