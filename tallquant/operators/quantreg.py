@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import functools
 import math
 import time
 from collections.abc import Iterator
@@ -9,7 +10,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tallquant.functions import randomness as rnd
@@ -291,11 +292,21 @@ def group_quantile_exact(rows: DataFrame, key: str, value: str, weight: str, tau
     return out
 
 
+def _one_positive() -> Column:
+    """Whether a row has one nonzero, and that is positive."""
+    return (F.size(F.filter("x", lambda v: v != 0)) == 1) & (F.array_max("x") > 0)
+
+
+def onehot_cells(design: DataFrame, *keep: str) -> DataFrame:
+    """``j, t, w`` of rows with one positive nonzero: its column, the quotient it fits, and its weight."""
+    at = F.array_position(F.transform("x", lambda v: v > 0), F.lit(True)) - 1
+    rows = design.select(*keep, at.cast("int").alias("j"), "b", "w", F.array_max("x").alias("v"))
+    return rows.select(*keep, "j", (F.col("b") / F.col("v")).alias("t"), (F.col("w") * F.col("v")).alias("w"))
+
+
 def onehot_fit(design: DataFrame, tau: float, how: str = "window") -> DataFrame:
     """``j, q`` of a design whose rows have one positive nonzero: the problem splits into grouped quantiles."""
-    at = F.array_position(F.transform("x", lambda v: v > 0), F.lit(True)) - 1
-    rows = design.select(at.cast("int").alias("j"), "b", "w", F.array_max("x").alias("v")).select("j", (F.col("b") / F.col("v")).alias("t"), (F.col("w") * F.col("v")).alias("w"))
-    return group_quantile_exact(rows, "j", "t", "w", tau, how)
+    return group_quantile_exact(onehot_cells(design), "j", "t", "w", tau, how)
 
 
 # --- baselines and derived fits ---------------------------------------------------
@@ -357,21 +368,30 @@ def crossing(design: DataFrame, fits: DataFrame) -> DataFrame:
 
 
 def bootstrap_ci(design: DataFrame, taus: list[float], replicates: int = 50, level: float = 0.9, seed: int = 41, engine: str = "fast", rows: int = 200_000) -> DataFrame:
-    """Point-wise intervals from resampling n of n rows: Poisson(1) weights, one job for all replicates.
+    """Point-wise intervals from resampling n of n rows: Poisson(1) weights on every row.
 
-    A replicate is solved on an executor; designs beyond ``rows`` are first
-    reduced by the importance sample of the main algorithm, whose weights the
-    draws multiply.
+    Where every row has one positive nonzero, all replicates are grouped quantiles
+    of one job.  Else designs up to ``rows`` are solved in one task a replicate, and
+    larger ones over the cluster, one replicate after the other.
     """
-    n = design.count()
-    if n > rows:
-        design = sampled(design, "sparse_qr_qr", [float(rows)], 1, seed, engine)[0].drop("trial", "s", "p")
+    n, split = design.agg(F.count("*"), F.min(_one_positive())).first()
     draw = lambda t: rnd.poisson_one(rnd.unit(seed, F.concat(F.lit("boot"), t.cast("string")), F.col("row_id"), engine))
     copies = F.filter(F.transform(F.sequence(F.lit(0), F.lit(replicates - 1)), lambda t: F.struct(t.alias("trial"), draw(t).alias("k"))), lambda c: c["k"] > 0)
-    drawn = design.withColumn("c", F.explode(copies)).select("b", "x", (F.col("w") * F.col("c.k")).alias("w"), F.col("c.trial").alias("trial"), F.lit(float(n)).alias("s"))
-    fits = solve_grid(drawn, taus, "bootstrap")
+    drawn = lambda: design.withColumn("c", F.explode(copies)).select("b", "x", (F.col("w") * F.col("c.k")).alias("w"), F.col("c.trial").alias("trial"), F.lit(float(n)).alias("s"))
+    if split:
+        cells = onehot_cells(drawn(), "trial").withColumn("g", F.struct("trial", "j"))
+        parts = [group_quantile_exact(cells, "g", "t", "w", tau, "window" if n <= rows else "bracket").select(F.lit(tau).alias("tau"), F.col("g.j").alias("j"), F.col("q").alias("v")) for tau in taus]
+        coefs = functools.reduce(DataFrame.unionByName, parts)
+    elif n <= rows:
+        coefs = solve_grid(drawn(), taus, "bootstrap").select("tau", F.posexplode("beta").alias("j", "v"))
+    else:
+        fits = []
+        for t in range(replicates):
+            own = design.withColumn("k", draw(F.lit(t))).where("k > 0").withColumn("w", F.col("w") * F.col("k")).drop("k").persist()
+            fits += [(tau, [float(v) for v in preprocess_exact(own, tau)[0].beta]) for tau in taus]
+            own.unpersist()
+        coefs = design.sparkSession.createDataFrame(fits, "tau double, beta array<double>").select("tau", F.posexplode("beta").alias("j", "v"))
     half = (1 - level) / 2
-    coefs = fits.select("tau", F.posexplode("beta").alias("j", "v"))
     return coefs.groupBy("tau", "j").agg(F.percentile("v", half).alias("lo"), F.percentile("v", 1 - half).alias("hi"), F.percentile("v", 0.5).alias("median"), F.count("*").alias("n_rep"))
 
 

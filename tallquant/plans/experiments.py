@@ -200,7 +200,7 @@ def w10_census_curves(spark: SparkSession, sf_dir: str, taus=(0.1, 0.5, 0.9), s:
     design = (D.census_planted if planted else D.census_design)(spark, sf_dir).persist()
     fits = sampled_fits(design, ["sparse_qr_qr"], [s], list(taus), trials)
     quart = fits.select("tau", F.posexplode("beta").alias("j", "v")).groupBy("tau", "j").agg(F.percentile("v", 0.25).alias("q1"), F.percentile("v", 0.5).alias("median_fit"), F.percentile("v", 0.75).alias("q3"))
-    ci = quantreg.bootstrap_ci(design, list(taus), replicates, rows=20_000)
+    ci = quantreg.bootstrap_ci(design, list(taus), replicates)
     ls, lad = quantreg.fit_ls(design), quantreg.fit_lad(design).beta
     lines = spark.createDataFrame([(j, D.CENSUS_NAMES[j], float(ls[j]), float(lad[j])) for j in range(len(ls))], "j int, coef string, ls double, lad double")
     return metrics.inside_interval(quart, ci).join(F.broadcast(lines), "j")

@@ -221,3 +221,15 @@ def test_exact_fit_when_the_band_overflows(spark, medium, middle_rows):
     design.unpersist()
     assert fit.optimal and 0 < info["middle"] <= middle_rows + 2
     assert fit.objective == pytest.approx(want.objective, rel=1e-9) and list(fit.beta) == pytest.approx(list(want.beta), abs=1e-7)
+
+
+def interval_rows(frame):
+    return [(r.tau, r.j, r.lo, r.hi, r.median, r.n_rep) for r in frame.orderBy("tau", "j").collect()]
+
+
+def test_bootstrap_resamples_every_row_at_any_size(spark, small):
+    onehot = D.onehot_events(spark, small).drop("grp").persist()
+    assert interval_rows(quantreg.bootstrap_ci(onehot, [0.75], replicates=6, rows=300)) == interval_rows(quantreg.bootstrap_ci(onehot, [0.75], replicates=6))
+    census = D.census_design(spark, small).persist()
+    got, want = (interval_rows(quantreg.bootstrap_ci(census, [0.5], replicates=2, rows=rows)) for rows in (3000, 200_000))
+    assert [r[:2] for r in got] == [r[:2] for r in want] and np.array(got) == pytest.approx(np.array(want), abs=1e-7)
