@@ -324,11 +324,14 @@ def fit_lad(design: DataFrame) -> Fit:
     return preprocess_exact(design, 0.5)[0]
 
 
-def quantile_fit_by(design: DataFrame, taus: list[float], solver: str = "ipm", group_rows: int = 500_000, seed: int = 31) -> DataFrame:
-    """One model for each ``grp``; groups beyond ``group_rows`` are thinned by weighted uniform sampling first."""
-    sizes = design.groupBy("grp").agg(F.count("*").alias("_n"))
-    share = F.least(F.lit(1.0), F.lit(float(group_rows)) / F.col("_n"))
-    rows = design.join(F.broadcast(sizes), "grp").where(rnd.unit(seed, "group", F.col("row_id")) < share).withColumn("w", F.col("w") / share)
+def quantile_fit_by(design: DataFrame, taus: list[float], solver: str = "ipm", group_rows: int = 500_000) -> DataFrame:
+    """One model for each ``grp``, of all its rows.
+
+    Groups up to ``group_rows`` are solved in one task each.  Larger ones are
+    fitted over the cluster: by grouped quantiles where every row has one positive
+    nonzero, else by merging rows.
+    """
+    schema = "grp string, tau double, beta array<double>, objective double, rows long"
 
     def fit(part: pd.DataFrame) -> pd.DataFrame:
         x, b, w = np.array(part.x.tolist(), dtype=float), part.b.to_numpy(), part.w.to_numpy()
@@ -338,7 +341,31 @@ def quantile_fit_by(design: DataFrame, taus: list[float], solver: str = "ipm", g
             out.append((part.grp.iloc[0], tau, f.beta.tolist(), f.objective, len(b)))
         return pd.DataFrame(out, columns=["grp", "tau", "beta", "objective", "rows"])
 
-    return rows.select("grp", "b", "x", "w").groupBy("grp").applyInPandas(fit, "grp string, tau double, beta array<double>, objective double, rows long")
+    sizes = design.groupBy("grp").agg(F.count("*").alias("n"), F.max(F.size("x")).alias("d"), F.min(_one_positive()).alias("split"))
+    large = sizes.where(F.col("n") > group_rows).collect()  # at most one for every group_rows rows
+    of = lambda groups: F.coalesce(F.col("grp").isin([r.grp for r in groups if r.grp is not None]), F.lit(any(r.grp is None for r in groups)))
+    small = design.where(~of(large)) if large else design
+    fits = small.select("grp", "b", "x", "w").groupBy("grp").applyInPandas(fit, schema)
+    if not large:
+        return fits
+    rows, spark = [], design.sparkSession
+    split = [r for r in large if r.split]
+    beta = {(r.grp, tau): [float("nan")] * r.d for r in split for tau in taus}
+    for tau in taus if split else []:
+        cells = onehot_cells(design.where(of(split)), "grp").withColumn("g", F.struct("grp", "j"))
+        for q in group_quantile_exact(cells, "g", "t", "w", tau, "bracket").collect():
+            beta[q.g.grp, tau][q.g.j] = q.q
+    if split:
+        fitted = spark.createDataFrame([(g, tau, v) for (g, tau), v in beta.items()], "grp string, tau double, beta array<double>")
+        pairs = design.where(of(split)).alias("d").join(F.broadcast(fitted.alias("f")), F.expr("d.grp <=> f.grp"))
+        resid = F.col("b") - dot(F.col("x"), F.transform("beta", lambda v: F.nanvl(v, F.lit(0.0))))
+        loss = {(r.grp, r.tau): r.loss for r in pairs.groupBy("f.grp", "tau").agg(F.sum(F.col("w") * pinball(resid, F.col("tau"))).alias("loss")).collect()}
+        rows += [(r.grp, tau, beta[r.grp, tau], loss[r.grp, tau], r.n) for r in split for tau in taus]
+    for r in large:
+        for tau in taus if not r.split else []:
+            f = preprocess_exact(design.where(F.col("grp").eqNullSafe(F.lit(r.grp))), tau)[0]
+            rows.append((r.grp, tau, [float(v) for v in f.beta], float(f.objective), r.n))
+    return fits.unionByName(spark.createDataFrame(rows, schema))
 
 
 def best_of(fits: DataFrame) -> DataFrame:

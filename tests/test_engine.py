@@ -233,3 +233,15 @@ def test_bootstrap_resamples_every_row_at_any_size(spark, small):
     census = D.census_design(spark, small).persist()
     got, want = (interval_rows(quantreg.bootstrap_ci(census, [0.5], replicates=2, rows=rows)) for rows in (3000, 200_000))
     assert [r[:2] for r in got] == [r[:2] for r in want] and np.array(got) == pytest.approx(np.array(want), abs=1e-7)
+
+
+@pytest.mark.parametrize("columns", [1, 2])
+def test_large_groups_are_fitted_on_all_rows(spark, small, columns):
+    events = D.table(spark, small, "events")
+    grp = F.when(F.col("event_type") != "view", F.col("event_type"))
+    design = D.build(events, F.col("event_id"), F.col("value"), [F.lit(1.0), F.col("event_id") % 7][:columns], grp=grp).persist()
+    got, want = ({(r.grp, r.tau): r for r in quantreg.quantile_fit_by(design, [0.5, 0.75], group_rows=n).collect()} for n in (10, 500_000))
+    assert got.keys() == want.keys() and None in {g for g, _ in got}
+    for k, r in got.items():
+        assert r.rows == want[k].rows and r.objective == pytest.approx(want[k].objective, rel=1e-9)
+        assert columns > 1 or r.beta == want[k].beta
