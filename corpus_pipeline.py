@@ -28,13 +28,13 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates: the one of smallest doc_id.
 
-    Of rows that share that identifier one stays (the smallest text); documents
-    without words are no duplicates and stay.
+    Of rows of a group that share that identifier the one of smallest hash stays;
+    unrelated texts stay whatever their identifiers are, and so do documents without words.
     """
     groups = jaccard.similar_groups(spark, docs, shingle=5, similarity=(80, 100))
     first = F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "key"))
     members = groups.where("n_shingles > 0")
-    heads = members.groupBy(F.coalesce("component_id", "doc_id", "key").alias("c")).agg(first.alias("h")).select("h.key")
+    heads = members.groupBy("component").agg(first.alias("h")).select("h.key")
     stay = heads.union(groups.where("n_shingles = 0").select("key").distinct())
     keyed = docs.withColumn("tallquant_key", F.xxhash64("doc_id", "text")).withColumn("tallquant_words", F.col("text").rlike(r"[^\x20\x09-\x0D]"))
     left = keyed.join(stay.withColumnRenamed("key", "tallquant_key").hint("shuffle_hash"), "tallquant_key", "left_semi")

@@ -47,6 +47,17 @@ def test_stages_catch_planted_cases(spark, small):
     assert packed.select("doc_id").distinct().count() == some.count()
 
 
+def test_near_duplicates_keep_unrelated_texts_of_one_id(spark, small):
+    rng = random.Random(8)
+    fresh = lambda: [rng.choice("abcdefgh") + str(rng.randrange(10**6)) for _ in range(100)]
+    edited = lambda ws: " ".join([*ws[:50], "other", *ws[51:]])
+    a, b, c = fresh(), fresh(), fresh()
+    cases = [(5, " ".join(a)), (5, " ".join(b)), (6, edited(a)), (7, edited(b)), (None, " ".join(c)), (None, edited(c))]
+    docs = spark.createDataFrame([(i, t, "en", "planted", len(t)) for i, t in cases], SCHEMA)
+    kept = [(r.doc_id, r.text) for r in dict(P.STAGES)["near_duplicates"](spark, docs, small).collect()]
+    assert {k for k in kept if k[0] is not None} == {cases[0], cases[1]} and len(kept) == 3 and set(kept) & set(cases[4:])
+
+
 def test_run_on_documents(spark, small):
     out = P.run(spark, small)
     assert out.groupBy("sequence_id").agg(F.sum("length").alias("n")).where("n > 2048").count() == 0
