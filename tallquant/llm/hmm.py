@@ -277,17 +277,10 @@ def _slices(texts: list[np.ndarray], most: int = 800_000) -> Iterator[list[int]]
         yield part
 
 
-def train(spark: SparkSession, coded: DataFrame, lex: Lexicon, *, states: int = 8, passes: int = 2, start_docs: int = 1500, start_rounds: int = 10) -> Chain:
-    """Baum-Welch over ``coded(uid, n_tokens, symbols)``: a start on a few texts, then ``passes`` over the whole corpus."""
+def train(spark: SparkSession, coded: DataFrame, lex: Lexicon, *, states: int = 8, passes: int = 12) -> Chain:
+    """Baum-Welch over ``coded(symbols)``: every round is a pass over all texts."""
     prior = lex.unigram()
     chain = first_chain(prior, states)
-    # about start_docs texts, by a hash of their content
-    one_in = max(1, lex.docs // start_docs)
-    head = coded.where("n_tokens between 20 and 4000").where(F.pmod(F.xxhash64("symbols"), F.lit(one_in)) == 0).select("symbols").collect()
-    texts = [np.frombuffer(r.symbols, "<u2").astype(np.int64) for r in head]
-    for _ in range(start_rounds if texts else 0):
-        moves, emits = chain.expect(texts, 256)
-        chain = maximise(moves, emits, prior)
     width = states + 1
     schema = "slot int, " + ", ".join(f"e{s} double" for s in range(width))
     for _ in range(passes):
@@ -344,7 +337,7 @@ def score_texts(
     learns,
     *,
     states: int = 8,
-    passes: int = 2,
+    passes: int = 12,
     listed: int = 262_144,
     symbols: int = 8192,
     classes: int = 64,

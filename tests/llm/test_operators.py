@@ -139,6 +139,20 @@ def test_baum_welch_raises_likelihood():
     assert chain.score(texts).sum() > 0.75 * alone
 
 
+def test_hmm_trains_every_round_on_every_text(spark):
+    """The chain equals rounds over all texts, however many, short or long they are."""
+    rng = random.Random(9)
+    texts = [" ".join(rng.choice("abcde") for _ in range(n)) for n in [3, 4500, *[25] * 60]]
+    lex = hmm.Lexicon([c.encode() for c in "abcde"], np.array([900] * 5), 5, np.zeros(2, dtype=np.int64), np.zeros(2, dtype=np.int64), 4600, 6, 3000)
+    symbols = hmm.Coder(lex).symbols([blank_words(t.encode(), lower=True) for t in texts])[0]
+    coded = spark.createDataFrame([(i, len(x), bytearray(x.astype("<u2").tobytes())) for i, x in enumerate(symbols)], "uid long, n_tokens long, symbols binary")
+    want = hmm.first_chain(lex.unigram(), 3)
+    for _ in range(12):
+        want = hmm.maximise(*want.expect(symbols), lex.unigram())
+    got = hmm.train(spark, coded, lex, states=3)
+    assert got.move == pytest.approx(want.move, abs=1e-3) and got.emit == pytest.approx(want.emit, abs=1e-3)
+
+
 def test_hmm_query(spark, small):
     docs = {r.doc_id: r.text for r in spark.read.parquet(f"{small}/documents.parquet").collect()}
     counts = Counter()
