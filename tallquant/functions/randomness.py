@@ -65,6 +65,19 @@ def poisson_one(u: Column, most: int = 8) -> Column:
     return out.cast("int")
 
 
+def poisson(u: Column, mean: float) -> Column:
+    """Poisson count of any mean by inversion of one uniform, up to the last bit of the coin."""
+    total, k, edges = 0.0, 0, []
+    while k <= mean or 1.0 - total > 0.5 / TWO52:
+        step = math.exp(k * math.log(mean) - mean - math.lgamma(k + 1)) if mean > 0 else 1.0
+        if k > mean and total + step == total:
+            break
+        total += step
+        edges.append(total)
+        k += 1
+    return F.size(F.filter(F.array(*[F.lit(e) for e in edges[:-1]]).cast("array<double>"), lambda e: u >= e)).cast("int")
+
+
 def poisson_one_sql(u: str, most: int = 8) -> str:
     total, term, parts = 0.0, math.exp(-1.0), []
     for k in range(most):

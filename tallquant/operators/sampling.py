@@ -114,7 +114,7 @@ def sample_uniform(frame: DataFrame, s: float, seed: int, trial: int = 0, n: int
     n = n if n is not None else frame.count()
     u = rnd.unit(seed, f"{'draw' if replace else 'coin'}{trial}", F.col("row_id"), engine)
     if replace:
-        counts = rnd.poisson_one(u) if s == n else F.when(u < 1 - math.exp(-s / n), 1).otherwise(0)
+        counts = rnd.poisson_one(u) if s == n else rnd.poisson(u, s / n if n else 0.0)
         return frame.withColumn("draws", counts).where("draws > 0").withColumn("w", F.col("w") * F.col("draws") * (n / s)).drop("draws")
     p = min(1.0, s / n) if n else 0.0
     return frame.where(u < p).withColumns({"p": F.lit(p), "w": F.col("w") / F.lit(p if p else 1.0)})

@@ -245,3 +245,11 @@ def test_large_groups_are_fitted_on_all_rows(spark, small, columns):
     for k, r in got.items():
         assert r.rows == want[k].rows and r.objective == pytest.approx(want[k].objective, rel=1e-9)
         assert columns > 1 or r.beta == want[k].beta
+
+
+@pytest.mark.parametrize("share", [0.5, 3.0])
+def test_sample_with_replacement_keeps_the_total_weight(spark, share):
+    n = 40_000
+    frame = spark.range(n).select(F.col("id").alias("row_id"), F.lit(1.0).alias("w"))
+    total, most = sampling.sample_uniform(frame, share * n, 3, n=n, replace=True).agg(F.sum("w"), F.max(F.col("w") * share)).first()
+    assert total == pytest.approx(n, rel=0.03) and most > 1.5
