@@ -102,6 +102,41 @@ def test_search_edges(spark):
     assert mtree.top_k(spark, vectors.where("false"), F.lit(True)).count() == 0
 
 
+def test_search_of_repeated_rows_and_clashing_columns(spark):
+    """Repeated identifiers and rows are candidates each; an identifier asks once, with its smallest vector."""
+    rng = np.random.default_rng(3)
+    rows = [(int(i), [int(v) for v in rng.integers(-9, 9, 4)]) for i in range(60)]
+    rows += [(10, [1, 2, 3, 4])] * 3 + [(12, [1, 2, 3, 4])] * 90 + [(13, [5, 5])]
+    df = spark.createDataFrame([(i, v, 1, 2, 3.0, 0, "x") for i, v in rows], "vec_id long, v array<long>, row int, tree int, norm2 double, score int, rank string")
+    got = [tuple(r) for r in mtree.top_k(spark, df, F.col("vec_id") % 10 == 0, k=5, tree_rows=20, query_block=2).collect()]
+    want = []
+    for q in sorted({i for i, _ in rows if i % 10 == 0}):
+        a = min(v for i, v in rows if i == q)
+        scored = sorted((-sum(x * y for x, y in zip(a, b, strict=False)), i) for i, b in rows if i != q)[:5]
+        want += [(q, r + 1, i, -s) for r, (s, i) in enumerate(scored)]
+    assert sorted(got) == want
+
+
+@pytest.mark.parametrize("scale", [2**20, 2**27, 2**40])
+def test_search_of_large_components(spark, scale):
+    """Exact where a float product is not; a score beyond a long counts as the nearest long."""
+    rng = np.random.default_rng(4)
+    x = rng.integers(-scale, scale, (120, 6))
+    x[7] = x[3]
+    x[8] = x[3] + [1, 0, 0, 0, 0, -1]
+    rows = [(int(i), [int(v) for v in r]) for i, r in enumerate(x)] + [(500, [1, 1, 0, 0, 0, 0]), (510, [0, 1, 0, 0, 0, 0])]
+    df = spark.createDataFrame(rows, "vec_id long, v array<long>")
+    got = [tuple(r) for r in mtree.top_k(spark, df, F.col("vec_id") % 10 == 0, k=5, tree_rows=30).collect()]
+    want, most = [], 2**63 - 1
+    for q, a in rows:
+        if q % 10 == 0:
+            scored = sorted((-max(-most, min(most, sum(x * y for x, y in zip(a, b, strict=True)))), i) for i, b in rows if i != q)[:5]
+            want += [(q, r + 1, i, -s) for r, (s, i) in enumerate(scored)]
+    assert sorted(got) == sorted(want)
+    big = spark.createDataFrame([(0, [1e300, -1e300]), (1, [3e7, 0.5]), (50, [0.1, -0.1])], "vec_id long, embedding array<double>")
+    assert mtree.top_k(spark, mtree.integer_vectors(big), F.col("vec_id") % 50 == 0).count() == 4
+
+
 # --- 2 language model ----------------------------------------------------------------
 
 
