@@ -22,6 +22,7 @@ import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -83,7 +84,7 @@ class Coder:
         """For each text: symbols with the end token, and listed words (-1: not listed)."""
         get, n_symbols, n_classes = self.at.get, self.lex.n_symbols, self.lex.n_classes
         words = [w for t in texts for w in t]
-        index = np.fromiter([get(w, -1) for w in words], dtype=np.int64, count=len(words))
+        index = np.fromiter(map(get, words, repeat(-1)), dtype=np.int64, count=len(words))
         symbols = self.symbol[index] if len(self.symbol) else np.zeros(len(words), dtype=np.int64)
         other = np.flatnonzero(index < 0)
         symbols[other] = [n_symbols + zlib.crc32(words[i][-2:]) % n_classes for i in other.tolist()]
@@ -100,9 +101,9 @@ def lanes(texts: list[np.ndarray], n: int) -> tuple[np.ndarray, np.ndarray, list
     heap = [(0, i) for i in range(n)]
     held: list[list[int]] = [[] for _ in range(n)]
     for k in sorted(range(len(texts)), key=lambda k: -len(texts[k])):
-        size, lane = heapq.heappop(heap)
+        size, lane = heap[0]
         held[lane].append(k)
-        heapq.heappush(heap, (size + len(texts[k]), lane))
+        heapq.heapreplace(heap, (size + len(texts[k]), lane))
     held.sort(key=lambda ks: -sum(len(texts[k]) for k in ks))
     length = np.array([sum(len(texts[k]) for k in ks) for ks in held])
     grid = np.zeros((length[0] if len(length) else 0, n), dtype=np.int64)
@@ -123,61 +124,73 @@ class Chain:
     move: np.ndarray
     emit: np.ndarray  # symbol by state
 
-    def forward(self, grid: np.ndarray, length: np.ndarray, kind=np.float64, keep: bool = False) -> tuple[np.ndarray, np.ndarray | None]:
-        """Scale factors (time by lane) and, if kept, the scaled forward probabilities."""
+    def forward(self, grid: np.ndarray, length: np.ndarray) -> np.ndarray:
+        """Scale factors (time by lane) of the forward recursion; states are rows and lanes columns."""
         t_max, n = grid.shape
-        move, emit, states = self.move.astype(kind), self.emit.astype(kind), len(self.move)
-        scale = np.ones((t_max, n), dtype=kind)
-        kept = np.zeros((t_max, n, states), dtype=kind) if keep else None
-        now = np.zeros((n, states), dtype=kind)
-        now[:, -1] = 1
+        scale, now = np.ones((t_max, n)), np.zeros((len(self.move), n))
+        now[-1] = 1
+        behind, emit = np.ascontiguousarray(self.move.T), np.ascontiguousarray(self.emit.T)
         active = np.searchsorted(-length, -np.arange(t_max), side="left")
         for t in range(t_max):
             a = active[t]
-            now = now[:a] @ move
-            now *= emit[grid[t, :a]]
-            c = now.sum(axis=1)
-            now /= c[:, None]
-            scale[t, :a] = c
-            if keep:
-                kept[t, :a] = now
-        return scale, kept
-
-    def score(self, texts: list[np.ndarray], n_lanes: int = 768) -> np.ndarray:
+            now = behind @ now[:, :a]
+            now *= emit.take(grid[t, :a], axis=1, mode="clip")
+            scale[t, :a] = now.sum(axis=0)
+            now /= scale[t, :a]
+        return scale
+
+    def score(self, texts: list[np.ndarray], n_lanes: int = 1536) -> np.ndarray:
         """log10 likelihood of each text."""
         if not texts:
             return np.empty(0)
         grid, length, where = lanes(texts, n_lanes)
-        total = np.cumsum(np.log10(self.forward(grid, length)[0]), axis=0)
+        total = np.cumsum(np.log10(self.forward(grid, length)), axis=0)
         total = np.vstack([np.zeros((1, grid.shape[1])), total])
         return np.array([total[end, lane] - total[end - len(x), lane] for x, (lane, end) in zip(texts, where, strict=True)])
 
-    def expect(self, texts: list[np.ndarray], n_lanes: int = 768) -> tuple[np.ndarray, np.ndarray]:
-        """Expected transitions and emissions of some texts."""
+    def expect(self, texts: list[np.ndarray], n_lanes: int = 1536) -> tuple[np.ndarray, np.ndarray]:
+        """Expected transitions and emissions of some texts.
+
+        States are rows and lanes columns.  Emissions are taken relative to the
+        best state of their symbol, which no expectation depends on; so two steps
+        stay far inside the range of a float and every other step scales.
+        """
         grid, length, _ = lanes(texts, n_lanes)
-        kind = np.float32
-        scale, state = self.forward(grid, length, kind, keep=True)
-        t_max, n = grid.shape
-        move, emit, k = self.move.astype(kind), self.emit.astype(kind), len(self.move)
+        kind, (t_max, n), k = np.float32, grid.shape, len(self.move)
         active = np.searchsorted(-length, -np.arange(t_max), side="left")
+        scales = (np.arange(t_max) % 2 == 1) | (np.append(active[1:], 0) < active)
+        ahead_of, behind = self.move.astype(kind), np.ascontiguousarray(self.move.T, dtype=kind)
+        emit = np.ascontiguousarray((self.emit / self.emit.max(axis=1, keepdims=True)).T, dtype=kind)
+        state, factor = np.zeros((t_max, k, n), dtype=kind), {}
+        first = np.zeros((k, n), dtype=kind)
+        first[-1] = 1
+        now = first
+        for t in range(t_max):
+            a = active[t]
+            now = behind @ now[:, :a]
+            now *= emit.take(grid[t, :a], axis=1, mode="clip")
+            if scales[t]:
+                factor[t] = 1 / now.sum(axis=0)
+                now *= factor[t]
+            state[t, :, :a] = now
         moves = np.zeros((k, k))
-        back = np.ones((n, k), dtype=kind)
+        back = np.ones((k, n), dtype=kind)
         for t in range(t_max - 1, -1, -1):
             a = active[t]
-            ahead = emit[grid[t, :a]] * back[:a]
-            ahead /= scale[t, :a, None]
-            if t:
-                before = state[t - 1, :a]
-            else:
-                before = np.zeros((a, k), dtype=kind)
-                before[:, -1] = 1
-            moves += before.T @ ahead
-            state[t, :a] *= back[:a]
-            back[:a] = ahead @ move.T
+            ahead = emit.take(grid[t, :a], axis=1, mode="clip")
+            ahead *= back[:, :a]
+            if scales[t]:
+                ahead *= factor[t]
+            state[t, :, :a] *= back[:, :a]
+            before = state[t - 1, :, :a] if t else first[:, :a]
+            moves += before @ ahead.T
+            back[:, :a] = ahead_of @ ahead
         moves *= self.move
-        live = np.arange(t_max)[:, None] < length[None, :]
-        symbols, weights = grid[live], state[live]
-        emits = np.stack([np.bincount(symbols, weights=weights[:, s], minlength=len(self.emit)) for s in range(k)], axis=1)
+        flat = grid.ravel()  # cells beyond the end of a lane weigh nothing
+        emits = np.zeros(self.emit.shape)
+        for s in range(k - 1):
+            emits[:, s] = np.bincount(flat, weights=state[:, s].ravel(), minlength=len(self.emit))
+        emits[-1, -1] = len(texts)
         return moves, emits
 
 
@@ -260,7 +273,7 @@ def _texts(column: pa.Array) -> list[np.ndarray]:
     return [np.frombuffer(x, "<u2").astype(np.int64) for x in column.to_pylist()]
 
 
-def _slices(texts: list[np.ndarray], most: int = 800_000) -> Iterator[list[int]]:
+def _slices(texts: list[np.ndarray], most: int = 2_600_000) -> Iterator[list[int]]:
     """Texts of like length together, about ``most`` tokens at a time: their numbers.
 
     Lanes of like texts end at about the same time, so the grid of a run has
