@@ -12,10 +12,14 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, IntegerType, LongType, StringType, StructField, StructType
 
 
-@F.pandas_udf(DoubleType())
-def dot_udf(x: pd.Series, beta: pd.Series) -> pd.Series:
-    """Dot product of two array columns, a batch at a time."""
-    return pd.Series([float(np.dot(a, b)) for a, b in zip(x, beta, strict=True)])
+@F.arrow_udf(DoubleType())
+def dot_udf(x: pa.Array, beta: pa.Array) -> pa.Array:
+    """Dot product of two array columns of equal lengths on Arrow data."""
+    length = x.value_lengths().to_numpy(zero_copy_only=False)
+    products = x.flatten().to_numpy(zero_copy_only=False) * beta.flatten().to_numpy(zero_copy_only=False)
+    if len(length) and (length == length[0]).all():
+        return pa.array(products.reshape(len(length), length[0]).sum(axis=1))
+    return pa.array(np.bincount(np.repeat(np.arange(len(length)), length), weights=products, minlength=len(length)))
 
 
 @F.arrow_udf(DoubleType())

@@ -47,8 +47,9 @@ def _finish(method: str, r: np.ndarray, passes: int, start: float, n: int, **not
 
 
 def collect_rows(frame: DataFrame, column: str = "a") -> np.ndarray:
-    rows = frame.select(column, "w").collect()
-    return np.array([np.array(r[0]) * r[1] for r in rows], dtype=float)
+    """Weighted rows of a sample of bounded size on the driver."""
+    table = frame.select(column, "w").toArrow()
+    return batch_matrix(table.column(0)) * table.column(1).to_numpy()[:, None]
 
 
 def condition(
@@ -57,12 +58,13 @@ def condition(
 ) -> Conditioner:
     """R of the rows in ``column`` by one of the methods.
 
-    Sketches have a height that is a parameter.  The l1 sample of the two-step
-    methods is rounded or factorised locally if it fits ``local_bytes``, else by
-    passes over the distributed sample.
+    Sketches have a height that is a parameter; their R comes from a tree of QR
+    factors.  The l1 sample of the two-step methods is rounded or factorised
+    locally if it fits ``local_bytes``, else by passes over the distributed sample.
     """
     start, d = time.time(), linalg.width_of(frame, column)
-    n = n or 10**6
+    if n is None:  # two of the bounds depend on the number of rows
+        n = frame.count() if method in ("dense_qr", "fast_qr") else 0
     r1 = sketch_rows or sketch.practical_rows(d)
     if method in ("identity", "uniform"):
         return _finish(method, np.eye(d), 0, start, n)
@@ -72,10 +74,10 @@ def condition(
         return _finish(method, r, rounds + 1, start, n, rounds=rounds)
     build = {"dense_qr": sketch.dense_cauchy, "fast_qr": sketch.fast_cauchy, "exponential_qr": sketch.sparse_exponential}.get(method, sketch.sparse_cauchy)
     options = {} if method == "fast_qr" else {"engine": engine}
-    small = sketch.as_matrix(build(frame, (sketch_rows if method == "dense_qr" else r1), seed, column=column, **options))
-    first = linalg.svd_r(small) if factor == "svd" else linalg.positive_r(small)
+    r1 = (sketch_rows or sketch.dense_rows(d)) if method == "dense_qr" else r1
+    first = sketch.factor(build(frame, r1, seed, column=column, **options), factor)
     if method in ("sparse_qr", "dense_qr", "fast_qr", "exponential_qr"):
-        return _finish(method, first, 1, start, n, sketch_rows=len(small))
+        return _finish(method, first, 1, start, n, sketch_rows=r1)
     first, _ = _usable(first)
     s1 = l1_sample or max(2000, 20 * d * d)
     normed = sampling.row_norms(frame, np.linalg.inv(first), how="exact", column=column)
@@ -92,7 +94,7 @@ def condition(
         part = part.persist()
         r = linalg.tall_qr(part, column) if method == "sparse_qr_qr" else linalg.round_full(part, column, rounding)[0]
         part.unpersist()
-    return _finish(method, r, 3, start, n, sketch_rows=len(small), l1_sample=s1)
+    return _finish(method, r, 3, start, n, sketch_rows=r1, l1_sample=s1)
 
 
 def measure_kappa(frame: DataFrame, rinv: np.ndarray, directions: int = 200, seed: int = 1, column: str = "a") -> tuple[float, float]:

@@ -72,9 +72,12 @@ def width_of(frame: DataFrame, column: str = "a") -> int:
     return row.n if row else 0
 
 
-def tall_qr(frame: DataFrame, column: str = "a") -> np.ndarray:
-    """R of a matrix of any height: QR in each partition, then QR of stacked factors in a tree."""
-    d = width_of(frame, column)
+def tall_qr(frame: DataFrame, column: str = "a", d: int | None = None) -> np.ndarray:
+    """R of a matrix of any height: QR in each partition, then QR of stacked factors in a tree.
+
+    With its width ``d`` given the frame is evaluated once.
+    """
+    d = d or width_of(frame, column)
     blobs = _blocks(frame, column, lambda s, x: positive_r(np.vstack([s, x])), lambda: np.zeros((d, d)), d)
     return _merge(blobs, lambda parts: positive_r(np.vstack(parts)), (d, d))
 

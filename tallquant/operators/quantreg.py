@@ -17,28 +17,31 @@ from tallquant.functions import randomness as rnd
 from tallquant.functions.loss import augment, batch_matrix, dot, objective_many, pinball
 from tallquant.operators import sampling, sizing
 from tallquant.operators.conditioning import Conditioner, condition
-from tallquant.operators.linalg import gram
+from tallquant.operators.linalg import gram, width_of
 from tallquant.operators.solvers import Fit, interior_point, solve_weighted
 
 FIT_SCHEMA = "method string, s double, trial int, tau double, beta array<double>, sample_objective double, rows_kept long, sum_w double, iterations int, seconds double"
+_FIT_KINDS = [pa.string(), pa.float64(), pa.int32(), pa.float64(), pa.list_(pa.float64()), pa.float64(), pa.int64(), pa.float64(), pa.int32(), pa.float64()]
 
 
-def solve_group(rows: pd.DataFrame, taus: list[float], solver: str, method: str) -> pd.DataFrame:
+def solve_group(rows: pa.Table, taus: list[float], solver: str, method: str) -> pa.Table:
+    """The fits of one sample, a row a level."""
     start = time.time()
-    x, b, w = np.array(rows.x.tolist(), dtype=float), rows.b.to_numpy(), rows.w.to_numpy()
+    x, b, w = batch_matrix(rows.column("x")), rows.column("b").to_numpy(), rows.column("w").to_numpy()
     out = []
     for tau in taus:
         fit = solve_weighted(x, b, w, tau, solver)
-        out.append((method, float(rows.s.iloc[0]), int(rows.trial.iloc[0]), tau, fit.beta.tolist(), fit.objective, len(b), float(w.sum()), fit.iterations, time.time() - start))
-    return pd.DataFrame(out, columns=[c.split()[0] for c in FIT_SCHEMA.split(", ")])
+        out.append((method, rows.column("s")[0].as_py(), rows.column("trial")[0].as_py(), tau, fit.beta.tolist(), float(fit.objective), len(b), float(w.sum()), int(fit.iterations), time.time() - start))
+    columns = zip(*out, strict=True)
+    return pa.Table.from_arrays([pa.array(c, k, from_pandas=True) for c, k in zip(columns, _FIT_KINDS, strict=True)], names=[c.split()[0] for c in FIT_SCHEMA.split(", ")])
 
 
-def solve_grid(samples: DataFrame, taus: list[float], method: str, solver: str = "ipm") -> DataFrame:
+def solve_grid(samples: DataFrame, taus: list[float], method: str, solver: str = "auto") -> DataFrame:
     """Subproblems of every (s, trial), all levels each, solved on executors.
 
     A group has about s rows, which the caller checks with ``sizing.fits_memory``.
     """
-    return samples.select("s", "trial", "b", "x", "w").groupBy("s", "trial").applyInPandas(lambda rows: solve_group(rows, taus, solver, method), FIT_SCHEMA)
+    return samples.select("s", "trial", "b", "x", "w").groupBy("s", "trial").applyInArrow(lambda rows: solve_group(rows, taus, solver, method), FIT_SCHEMA)
 
 
 def sampled(design: DataFrame, method: str, sizes: list[float], trials: int, seed: int, engine: str = "fast", norms: str = "auto", conditioner: Conditioner | None = None) -> tuple[DataFrame, Conditioner | None]:
@@ -46,51 +49,49 @@ def sampled(design: DataFrame, method: str, sizes: list[float], trials: int, see
     if method == "uniform":
         flat = design.withColumn("lam", F.lit(1.0))
         return sampling.sample_trials(flat, sizes, trials, seed, engine=engine), None
-    rows = augment(design)
-    conditioner = conditioner or condition(rows, method, seed=seed, engine=engine)
-    normed = sampling.row_norms(rows, conditioner.rinv, how=norms)
-    return sampling.sample_trials(normed, sizes, trials, seed + 2, engine=engine).drop("a", "lam"), conditioner
+    conditioner = conditioner or condition(augment(design), method, seed=seed, engine=engine)
+    return sampling.sample_design(design, conditioner.rinv, sizes, trials, seed + 2, norms, engine), conditioner
 
 
 def quantile_fit(
-    design: DataFrame, taus: list[float], *, s: float | list[float] | None = None, eps: float | None = None, conditioning: str = "sparse_qr_qr", norms: str = "auto", solver: str = "ipm",
+    design: DataFrame, taus: list[float], *, s: float | list[float] | None = None, eps: float | None = None, conditioning: str = "sparse_qr_qr", norms: str = "auto", solver: str = "auto",
     seed: int = 0, trials: int = 1, engine: str = "fast", evaluate: bool = True,
 ) -> DataFrame:
     """The main algorithm: condition, row norms, one weighted sample for all levels, solve, and score on the full data.
 
     With ``eps`` the size comes from the guarantee; where that is as large as the
     data, the fit is exact instead.  Levels below one half need no reflection
-    here: probabilities do not depend on the level and the solver takes any.
+    here: probabilities do not depend on the level and the solver takes any.  A
+    design without rows has no fits.
     """
-    spark = design.sparkSession
+    spark, width = design.sparkSession, width_of(design, "x")
+    if not width:
+        return spark.createDataFrame([], FIT_SCHEMA + ", passes int" + ", objective double" * evaluate)
     if s is None:
-        n = design.count()
-        d = len(design.select("x").first().x) + 1
+        n, d = design.count(), width + 1
         s = max(sizing.size_quantile(sizing.kappa_bound(conditioning, d, n), d, eps or 0.1, t, estimated=norms == "median") for t in taus)
         if s >= n:
-            return exact_fit(design, taus, evaluate=evaluate)
+            return exact_fit(design, taus)
     sizes = [float(v) for v in (s if isinstance(s, list) else [s])]
     samples, cond = sampled(design, conditioning, sizes, trials, seed, engine, norms)
-    fits = solve_grid(samples, taus, conditioning, solver)
-    rows = fits.collect()  # methods x sizes x trials x levels: a grid of parameters
-    fits = spark.createDataFrame(rows, FIT_SCHEMA)
     passes = (cond.passes if cond else 0) + 2 + evaluate
-    fits = fits.withColumn("passes", F.lit(passes))
+    rows = [(*r, passes) for r in solve_grid(samples, taus, conditioning, solver).collect()]  # methods x sizes x trials x levels: a grid of parameters
+    fits = spark.createDataFrame(rows, FIT_SCHEMA + ", passes int")
     return with_objective(design, fits) if evaluate else fits
 
 
 def with_objective(design: DataFrame, fits: DataFrame) -> DataFrame:
     """Adds the full-data loss of every fit, all in one pass; coefficients that were not estimable count as 0."""
-    rows = fits.withColumn("cand", F.row_number().over(Window.orderBy("method", "s", "trial", "tau"))).collect()
-    spark = design.sparkSession
-    kept = spark.createDataFrame(rows, fits.schema.add("cand", "integer"))
-    losses = objective_many(design, [(r.cand, [0.0 if v is None or math.isnan(v) else v for v in r.beta], r.tau) for r in rows])
-    return kept.join(F.broadcast(losses), "cand", "left").drop("cand")
+    rows = fits.collect()  # a grid of parameters
+    candidates = [(k, [0.0 if v is None or math.isnan(v) else v for v in r.beta], r.tau) for k, r in enumerate(rows)]
+    losses = {r.cand: r.objective for r in objective_many(design, candidates).collect()} if rows else {}
+    return design.sparkSession.createDataFrame([(*r, losses[k]) for k, r in enumerate(rows)], fits.schema.add("objective", "double"))
 
 
-def exact_fit(design: DataFrame, taus: list[float], evaluate: bool = True) -> DataFrame:
+def exact_fit(design: DataFrame, taus: list[float]) -> DataFrame:
+    """Exact fits of every level; none without rows."""
     rows = []
-    for tau in taus:
+    for tau in taus if not design.isEmpty() else []:
         start = time.time()
         fit, info = preprocess_exact(design, tau)
         rows.append(("exact", 0.0, 0, tau, [float(v) for v in fit.beta], fit.objective, info["middle"], float(info["n"]), fit.iterations, time.time() - start, info["passes"], fit.objective))
@@ -119,9 +120,11 @@ def preprocess_exact(design: DataFrame, tau: float, *, seed: int = 23, middle_ro
     wrong sign need more, the distributed interior point solves all rows, and a
     thin band around its solution gives the vertex; if even that band holds too
     many rows (many equal ones), its solution stands, exact up to its tolerance.
+    A design without rows is an error.
     """
-    n = design.count()
-    d = len(design.select("x").first().x)
+    n, d = design.count(), width_of(design, "x")
+    if not n:
+        raise ValueError("a design without rows has no fit")
     m = min(n, math.ceil((d * n) ** (2 / 3)) + 50 * d, max(50 * d, DRIVER_CELLS // d))
     if n <= 4 * m and n * d <= DRIVER_CELLS:
         x, b, w = local_matrix(design)
@@ -263,7 +266,7 @@ def certify_full(design: DataFrame, beta: list[float], tau: float, basis: list[t
 # --- one nonzero in each row ------------------------------------------------------
 
 
-def group_quantile_exact(rows: DataFrame, key: str, value: str, weight: str, tau: float, how: str = "window") -> DataFrame:
+def group_quantile_exact(rows: DataFrame, key: str, value: str, weight: str, tau: float, how: str = "bracket") -> DataFrame:
     """``key, q``: the weighted tau-quantile of each group, exact.
 
     ``window`` runs a weighted running sum in each group; ``bracket`` first finds
@@ -279,14 +282,14 @@ def group_quantile_exact(rows: DataFrame, key: str, value: str, weight: str, tau
     salted = values.withColumn("_w", F.col("_w").cast("double"))
     ends = salted.groupBy(key).agg(F.sum("_w").alias("_all"), F.percentile_approx(value, [0.0, max(0.0, tau - 0.02), min(1.0, tau + 0.02), 1.0], 2000).alias("_c"))
     out, lo, hi = None, 1, 2
-    at = salted.join(F.broadcast(ends), key)
+    at = salted.join(ends, key)
     below = at.groupBy(key).agg(F.sum(F.when(F.col(value) < F.col("_c")[lo], F.col("_w")).otherwise(0.0)).alias("_below"), F.sum(F.when(F.col(value) <= F.col("_c")[hi], F.col("_w")).otherwise(0.0)).alias("_upto"), F.first("_all").alias("_all"), F.first("_c").alias("_c"))
     target = tau * F.col("_all") * (1 - 1e-15)
     inside_ok = (F.col("_below") < target) & (F.col("_upto") >= target)
     span = below.withColumns({"_lo": F.when(inside_ok, F.col("_c")[lo]).when(F.col("_below") >= target, F.col("_c")[0]).otherwise(F.col("_c")[hi]), "_hi": F.when(inside_ok, F.col("_c")[hi]).when(F.col("_below") >= target, F.col("_c")[lo]).otherwise(F.col("_c")[3]), "_start": F.when(inside_ok, F.col("_below")).when(F.col("_below") >= target, 0.0).otherwise(F.lit(None))})
-    inner = salted.join(F.broadcast(span.select(key, "_lo", "_hi", "_all")), key)
+    inner = salted.join(span.select(key, "_lo", "_hi", "_all"), key)
     start = inner.groupBy(key).agg(F.sum(F.when(F.col(value) < F.col("_lo"), F.col("_w")).otherwise(0.0)).alias("_start"))
-    part = inner.where((F.col(value) >= F.col("_lo")) & (F.col(value) <= F.col("_hi"))).join(F.broadcast(start), key)
+    part = inner.where((F.col(value) >= F.col("_lo")) & (F.col(value) <= F.col("_hi"))).join(start, key)
     run = part.withColumn("_run", F.col("_start") + F.sum("_w").over(order))
     out = run.where(F.col("_run") >= tau * F.col("_all") * (1 - 1e-15)).groupBy(key).agg(F.min(value).alias("q"))
     return out
@@ -304,7 +307,7 @@ def onehot_cells(design: DataFrame, *keep: str) -> DataFrame:
     return rows.select(*keep, "j", (F.col("b") / F.col("v")).alias("t"), (F.col("w") * F.col("v")).alias("w"))
 
 
-def onehot_fit(design: DataFrame, tau: float, how: str = "window") -> DataFrame:
+def onehot_fit(design: DataFrame, tau: float, how: str = "bracket") -> DataFrame:
     """``j, q`` of a design whose rows have one positive nonzero: the problem splits into grouped quantiles."""
     return group_quantile_exact(onehot_cells(design), "j", "t", "w", tau, how)
 
@@ -324,7 +327,7 @@ def fit_lad(design: DataFrame) -> Fit:
     return preprocess_exact(design, 0.5)[0]
 
 
-def quantile_fit_by(design: DataFrame, taus: list[float], solver: str = "ipm", group_rows: int = 500_000) -> DataFrame:
+def quantile_fit_by(design: DataFrame, taus: list[float], solver: str = "auto", group_rows: int = 500_000) -> DataFrame:
     """One model for each ``grp``, of all its rows.
 
     Groups up to ``group_rows`` are solved in one task each.  Larger ones are

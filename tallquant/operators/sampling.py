@@ -6,49 +6,96 @@ nested, one pass serves every trial and level, and a retried task repeats itself
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from tallquant.functions import randomness as rnd
 from tallquant.functions.loss import batch_matrix, dot
 from tallquant.operators.sizing import estimator_width, norms_choice
 
 
-def row_norms(frame: DataFrame, rinv: np.ndarray, how: str = "auto", column: str = "a", n: int | None = None, r2: int | None = None, p: int = 1, seed: int = 17) -> DataFrame:
-    """Adds ``lam``: the l1 (or l2) norm of the row times R^-1, exact or by the median estimator.
+class NormKernel:
+    """Row norms of a batch in the basis of R^-1: exact, or by the median estimator (l1 or l2)."""
 
-    ``auto`` takes the cheaper one for the given number of rows.
-    """
+    def __init__(self, rinv: np.ndarray, how: str, n: int | None, r2: int | None, p: int, seed: int):
+        self.how, self.p, self.matrix = how, p, rinv
+        if how == "median":
+            d, r2 = len(rinv), r2 or estimator_width(n)
+            rng = np.random.default_rng(seed)
+            self.matrix = rinv @ (rng.standard_cauchy((d, r2)) if p == 1 else rng.normal(size=(d, r2)))
+
+    def __call__(self, a: np.ndarray) -> np.ndarray:
+        y = a @ self.matrix if len(a) else np.zeros((0, 1))
+        if self.how == "median":
+            return np.median(np.abs(y), axis=1) / (1.0 if self.p == 1 else 0.6744897501960817)
+        return np.abs(y).sum(axis=1) if self.p == 1 else np.sqrt((y**2).sum(axis=1))
+
+
+def norm_kernel(frame: DataFrame, rinv: np.ndarray, how: str = "auto", n: int | None = None, r2: int | None = None, p: int = 1, seed: int = 17) -> NormKernel:
+    """``auto`` takes the cheaper kind; rows are counted only where that or the estimator's width depends on their number."""
     d = len(rinv)
-    if how == "auto":
-        how = norms_choice(d, n or 10**6)
-    matrix = rinv
-    if how == "median":
-        r2 = r2 or estimator_width(n or frame.count())
-        rng = np.random.default_rng(seed)
-        matrix = rinv @ (rng.standard_cauchy((d, r2)) if p == 1 else rng.normal(size=(d, r2)))
-    cast = frame.sparkSession.sparkContext.broadcast(matrix)
+    if how == "auto" and d <= estimator_width(1):
+        how = "exact"
+    if n is None and (how == "auto" or how == "median" and not r2):
+        n = frame.count()
+    return NormKernel(rinv, norms_choice(d, n) if how == "auto" else how, n, r2, p, seed)
+
+
+def row_norms(frame: DataFrame, rinv: np.ndarray, how: str = "auto", column: str = "a", n: int | None = None, r2: int | None = None, p: int = 1, seed: int = 17) -> DataFrame:
+    """Adds ``lam``: the l1 (or l2) norm of the row times R^-1, exact or by the median estimator."""
+    cast = frame.sparkSession.sparkContext.broadcast(norm_kernel(frame, rinv, how, n, r2, p, seed))
     names = frame.columns
     at = names.index(column)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            y = batch_matrix(batch.column(at)) @ cast.value if len(batch) else np.zeros((0, 1))
-            if how == "median":
-                lam = np.median(np.abs(y), axis=1) / (1.0 if p == 1 else 0.6744897501960817)
-            else:
-                lam = np.abs(y).sum(axis=1) if p == 1 else np.sqrt((y**2).sum(axis=1))
+            lam = cast.value(batch_matrix(batch.column(at)))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lam, pa.float64())], names=[*names, "lam"])
 
     schema = frame.select(*names, F.lit(0.0).alias("lam")).schema
     return frame.mapInArrow(run, schema)
 
 
+def sample_design(design: DataFrame, rinv: np.ndarray, sizes: list[float], trials: int, seed: int, norms: str = "auto", engine: str = "fast", n: int | None = None) -> DataFrame:
+    """Samples of a design by the norms of its augmented rows: one pass for their sum, one that returns only surviving rows.
+
+    Columns of the design, and ``trial, s, p`` with ``w`` divided by p, as :func:`sample_trials` gives them.
+    """
+    cast = design.sparkSession.sparkContext.broadcast(norm_kernel(design, rinv, norms, n))
+
+    def norms_of(b: pa.Array, x: pa.Array) -> np.ndarray:
+        cells = batch_matrix(x)
+        return cast.value(np.column_stack([b.to_numpy(), -cells])) if len(cells) else np.empty(0)
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = 0.0
+        for batch in batches:
+            total += float(norms_of(batch.column(0), batch.column(1)).sum())
+        yield pa.RecordBatch.from_arrays([pa.array([total])], names=["lam"])
+
+    total = design.select("b", "x").mapInArrow(add, "lam double").agg(F.coalesce(F.sum("lam"), F.lit(0.0))).first()[0]
+    if not total > 0:
+        return sample_trials(design.where("false").withColumn("lam", F.lit(0.0)), sizes, trials, seed, total=0.0, engine=engine).drop("lam")
+    factor, names = max(sizes) / total, design.columns
+    b, x = names.index("b"), names.index("x")
+    least = F.least(*[_coin(seed, F.lit(t), engine) for t in range(trials)]) if trials > 1 else _coin(seed, F.lit(0), engine)
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            lam = norms_of(batch.column(b), batch.column(x))
+            alive = pa.array(batch.column(len(names)).to_numpy() < np.minimum(1.0, lam * factor))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(lam, pa.float64())], names=[*names, "lam"]).filter(alive)
+
+    schema = design.select(*names, F.lit(0.0).alias("lam")).schema
+    normed = design.select(*names, least.alias("_least")).mapInArrow(keep, schema)
+    return sample_trials(normed, sizes, trials, seed, total=total, engine=engine).drop("lam")
+
+
 def row_norms_sql(frame: DataFrame, rinv: np.ndarray, column: str = "a") -> DataFrame:
     """The exact norms as one expression: stays in generated code, for few columns."""
     terms = [F.abs(dot(F.col(column), [float(v) for v in rinv[:, k]])) for k in range(rinv.shape[1])]
@@ -77,30 +124,64 @@ def probability(s: float, total: float, lam: Column | str = "lam") -> Column:
 def sample_rows(frame: DataFrame, s: float, seed: int, trial: int = 0, total: float | None = None, engine: str = "fast", passes: int = 2) -> DataFrame:
     """Keep each row with p = min(1, s lam / sum lam) and divide its weight by p.
 
-    ``passes=1`` finds the same sample while lam is being summed: the rows of
-    smallest coin / lam, a few more than s of them, cut at s / sum lam; it falls
-    back to two passes if the cut lies beyond what was kept.
+    ``passes=1`` finds the same sample while lam is being summed: a row stays if
+    its coin / lam is below s over the sum of its partition so far, which is never
+    larger than the sum of all; what each partition kept, about s rows, is written
+    once and cut at the whole sum.
     """
     coin = rnd.unit(seed, f"coin{trial}", F.col("row_id"), engine)
-    if passes == 1:
-        k = int(s + 8 * math.sqrt(s) + 8)
-        keyed = frame.where("lam > 0").withColumn("ratio", coin / F.col("lam"))
-        kept = keyed.orderBy("ratio").limit(k)
-        total = total if total is not None else total_norm(frame)
-        last, held = kept.agg(F.max("ratio"), F.count("*")).first()
-        if total > 0 and (held < k or last >= s / total):
-            p = probability(s, total)
-            return kept.where(F.col("ratio") < s / total).drop("ratio").withColumn("p", p).withColumn("w", F.col("w") / p)
+    if passes == 1 and total is None:
+        frame, total = _candidates(frame.withColumn("coin", coin), s)
+        p = probability(s, total)
+        return frame.withColumn("p", p).where(F.col("coin") < F.col("p")).drop("coin").withColumn("w", F.col("w") / F.col("p"))
     total = total if total is not None else total_norm(frame)
     p = probability(s, total)
     return frame.withColumn("p", p).where(coin < F.col("p")).withColumn("w", F.col("w") / F.col("p"))
 
 
+def _candidates(frame: DataFrame, s: float) -> tuple[DataFrame, float]:
+    """Rows that the coin may keep, and the sum of lam, in one pass over the frame."""
+    from tallquant.sources.storage import scratch
+
+    names = frame.columns
+    lam_at, coin_at = names.index("lam"), names.index("coin")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, waiting, total = [], 0, 0.0
+
+        def alive() -> pa.Table:
+            table = pa.Table.from_batches(held)
+            return table.filter(pa.array(table.column(coin_at).to_numpy() * total < s * table.column(lam_at).to_numpy()))
+
+        for batch in batches:
+            total += float(batch.column(lam_at).to_numpy().sum())
+            held.append(batch)
+            waiting += len(batch)
+            if waiting > 4 * s + 100_000:
+                held = alive().to_batches()
+                waiting = sum(map(len, held))
+        for batch in alive().to_batches() if held else []:
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.nulls(len(batch), pa.float64())], names=[*names, "part_total"])
+        if held:
+            yield pa.RecordBatch.from_arrays([*(pa.nulls(1, c.type) for c in held[0].columns), pa.array([total])], names=[*names, "part_total"])
+
+    schema = T.StructType([T.StructField(f.name, f.dataType) for f in frame.schema] + [T.StructField("part_total", T.DoubleType())])
+    path = scratch(frame.sparkSession, "candidates")
+    frame.mapInArrow(run, schema).write.parquet(path)
+    kept = frame.sparkSession.read.schema(schema).parquet(path)
+    total = kept.agg(F.coalesce(F.sum("part_total"), F.lit(0.0))).first()[0]
+    return kept.where("part_total is null").drop("part_total"), total
+
+
+def _coin(seed: int, trial: Column, engine: str) -> Column:
+    return rnd.unit(seed, F.concat(F.lit("coin"), trial.cast("string")), F.col("row_id"), engine)
+
+
 def sample_trials(frame: DataFrame, sizes: list[float], trials: int, seed: int, total: float | None = None, engine: str = "fast") -> DataFrame:
     """Samples of every size and trial in one pass: adds ``trial, s, p`` and divides ``w``; only survivors are exploded."""
     total = total if total is not None else total_norm(frame)
     most = max(sizes)
-    coins = F.transform(F.sequence(F.lit(0), F.lit(trials - 1)), lambda t: F.struct(t.alias("trial"), rnd.unit(seed, F.concat(F.lit("coin"), t.cast("string")), F.col("row_id"), engine).alias("u")))
+    coins = F.transform(F.sequence(F.lit(0), F.lit(trials - 1)), lambda t: F.struct(t.alias("trial"), _coin(seed, t, engine).alias("u")))
     alive = F.filter(coins, lambda c: c["u"] < probability(most, total))
     kept = frame.withColumn("c", F.explode(alive)).withColumns({"trial": F.col("c.trial"), "u": F.col("c.u")}).drop("c")
     grid = F.array(*[F.lit(float(s)) for s in sizes])

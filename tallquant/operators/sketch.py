@@ -16,10 +16,12 @@ from pyspark.sql import functions as F
 
 from tallquant.functions import randomness as rnd
 from tallquant.functions.loss import batch_matrix
-from tallquant.operators.linalg import width_of
+from tallquant.operators.linalg import svd_r, tall_qr, width_of
 
 #: Columns up to which the sketch is one SQL aggregate; beyond, Arrow blocks.
 SQL_WIDTH = 60
+#: Rows that a worker holds before it adds up those of one bucket, in bytes: the whole sketch need not fit.
+HELD_BYTES = 64 << 20
 
 
 def practical_rows(d: int) -> int:
@@ -41,13 +43,26 @@ def _bucketed(frame: DataFrame, column: str, r: int, multiplier, seed: int, engi
     if d <= SQL_WIDTH:
         return rows.groupBy("bucket").agg(*[F.sum(F.col("c") * F.col("x")[j]).alias(f"v{j}") for j in range(d)])
 
+    names = ["bucket", *[f"v{j}" for j in range(d)]]
+
+    def summed(buckets: np.ndarray, x: np.ndarray) -> pa.RecordBatch:
+        order = np.argsort(buckets, kind="stable")
+        starts = np.flatnonzero(np.diff(buckets[order], prepend=-1))
+        total = np.add.reduceat(x[order], starts, axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(buckets[order][starts], pa.int64()), *[pa.array(total[:, j]) for j in range(d)]], names=names)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        block = np.zeros((r, d))
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+        size = 0
         for batch in batches:
             if len(batch):
-                np.add.at(block, batch.column(0).to_numpy(), batch.column(1).to_numpy()[:, None] * batch_matrix(batch.column(2)))
-        some = np.flatnonzero(np.abs(block).sum(axis=1))
-        yield pa.RecordBatch.from_arrays([pa.array(some, pa.int64()), *[pa.array(block[some, j]) for j in range(d)]], names=["bucket", *[f"v{j}" for j in range(d)]])
+                held.append((batch.column(0).to_numpy(), batch.column(1).to_numpy()[:, None] * batch_matrix(batch.column(2))))
+                size += held[-1][1].nbytes
+            if size >= HELD_BYTES:
+                yield summed(*map(np.concatenate, zip(*held, strict=True)))
+                held, size = [], 0
+        if held:
+            yield summed(*map(np.concatenate, zip(*held, strict=True)))
 
     return _sum_columns(rows.mapInArrow(run, "bucket long, " + ", ".join(f"v{j} double" for j in range(d))), d)
 
@@ -146,9 +161,15 @@ def fast_cauchy(frame: DataFrame, r: int, seed: int, column: str = "a", block: i
 
 def as_matrix(sketch: DataFrame) -> np.ndarray:
     """The sketch on the driver: its height is a parameter, not a function of the data."""
+    table = sketch.orderBy("bucket").toArrow()
+    return np.column_stack([table.column(j).to_numpy() for j in range(1, table.num_columns)])
+
+
+def factor(sketch: DataFrame, how: str = "qr") -> np.ndarray:
+    """R of the sketch by a tree of QR factors, so the driver sees columns by columns; ``svd`` gives singular values times right vectors."""
     d = len(sketch.columns) - 1
-    rows = sketch.orderBy("bucket").collect()
-    return np.array([r[1:] for r in rows], dtype=float).reshape(len(rows), d)
+    r = tall_qr(sketch.select(F.array(*[f"v{j}" for j in range(d)]).alias("a")), "a", d)
+    return svd_r(r) if how == "svd" else r
 
 
 def probe_distortion(frame: DataFrame, sketch: np.ndarray, n_dirs: int = 64, seed: int = 1, column: str = "a") -> tuple[float, float]:

@@ -229,28 +229,41 @@ def independent_columns(x: np.ndarray) -> np.ndarray:
     return mask
 
 
-def solve_weighted(x: np.ndarray, b: np.ndarray, w: np.ndarray, tau: float, how: str = "ipm") -> Fit:
-    """The weighted subproblem of a sample; columns that no row touches come back as NaN (null in a DataFrame)."""
+def column_quantiles(x: np.ndarray, b: np.ndarray, w: np.ndarray, tau: float) -> Fit:
+    """Rows with one nonzero each: the problem falls apart into one weighted quantile for each column."""
+    j = (x != 0).argmax(axis=1)
+    v = x[np.arange(len(x)), j]
+    beta = np.full(x.shape[1], np.nan)
+    for k in range(x.shape[1]):
+        rows = j == k
+        if rows.any():
+            if (v[rows] > 0).all():
+                beta[k] = weighted_quantile(b[rows] / v[rows], w[rows] * v[rows], tau)
+            else:
+                beta[k] = interior_point(v[rows, None], b[rows], tau, w[rows]).beta[0]
+    return Fit(beta, loss(x, b, w, tau, np.nan_to_num(beta)), 0, True)
+
+
+SOLVERS = {"ipm": interior_point, "simplex": simplex, "enumerate": enumerate_exact}
+
+
+def solve_weighted(x: np.ndarray, b: np.ndarray, w: np.ndarray, tau: float, how: str = "auto") -> Fit:
+    """The weighted subproblem of a sample; columns that no row touches come back as NaN (null in a DataFrame).
+
+    ``auto`` takes weighted quantiles where every row has one nonzero and the
+    interior point elsewhere; the other names always take that solver.
+    """
     p = x.shape[1]
-    # one nonzero in each row: the problem falls apart into one quantile for each column
-    if how == "ipm" and len(x) and ((x != 0).sum(axis=1) == 1).all():
-        j = (x != 0).argmax(axis=1)
-        v = x[np.arange(len(x)), j]
-        beta = np.full(p, np.nan)
-        for k in range(p):
-            rows = j == k
-            if rows.any():
-                t = b[rows] / v[rows]
-                if (v[rows] > 0).all():
-                    beta[k] = weighted_quantile(t, w[rows] * v[rows], tau)
-                else:
-                    beta[k] = interior_point(v[rows, None], b[rows], tau, w[rows]).beta[0]
-        f = loss(x, b, w, tau, np.nan_to_num(beta))
-        return Fit(beta, f, 0, True)
+    if how in ("auto", "quantile"):
+        if len(x) and ((x != 0).sum(axis=1) == 1).all():
+            return column_quantiles(x, b, w, tau)
+        if how == "quantile":
+            raise ValueError("rows with several nonzeros are no set of quantiles")
+        how = "ipm"
     mask = independent_columns(x)
     if not mask.any():
         return Fit(np.full(p, np.nan), float("nan"), 0, False)
-    fit = {"ipm": interior_point, "simplex": simplex, "enumerate": enumerate_exact}[how](x[:, mask], b, tau, w)
+    fit = SOLVERS[how](x[:, mask], b, tau, w)
     beta = np.full(p, np.nan)
     beta[mask] = fit.beta
     return Fit(beta, fit.objective, fit.iterations, fit.optimal)

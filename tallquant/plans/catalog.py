@@ -1,7 +1,8 @@
 """Registered queries of the engine's methods, measures and workloads, with DuckDB SQL where SQL can express them.
 
-Random numbers in queries with SQL come from the portable generator, so both
-engines draw the same coins; the other queries use the fast one.
+Random numbers that SQL repeats come from the portable generator, so both engines
+draw the same coins.  Where SQL cannot repeat a method its query returns what holds
+of the measured figures, and the SQL says what should.
 """
 
 from __future__ import annotations
@@ -9,6 +10,7 @@ from __future__ import annotations
 import math
 from collections.abc import Callable
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -80,7 +82,14 @@ def loss_many_candidates(spark, sf_dir):
     return out.select(F.col("cand").cast("int").alias("cand"), F.round("objective", 4).alias("objective"))
 
 
-@query("SELECT true AS subadditive, true AS bounded_by_l1, true AS homogeneous, true AS lipschitz")
+_Y1, _Y2 = "value", "(value * 0.5 - 40)"
+LAWS_SQL = f"""
+WITH s AS (SELECT sum({pin_sql(_Y1, 0.75)}) AS f1, sum({pin_sql(_Y2, 0.75)}) AS f2, sum({pin_sql(f"({_Y1} + {_Y2})", 0.75)}) AS f12, sum({pin_sql(f"(4 * {_Y1})", 0.75)}) AS f4,
+  sum(abs({_Y1})) AS n1, sum(abs({_Y1} - {_Y2})) AS n12 FROM events)
+SELECT f12 <= f1 + f2 + 1e-3 AS subadditive, f1 BETWEEN 0.25 * n1 - 1e-3 AND 0.75 * n1 + 1e-3 AS bounded_by_l1, abs(f4 - 4 * f1) <= 1e-3 AS homogeneous, abs(f1 - f2) <= 0.75 * n12 + 1e-3 AS lipschitz FROM s"""
+
+
+@query(LAWS_SQL)
 def loss_laws(spark, sf_dir):
     return L.check_loss_laws(D.table(spark, sf_dir, "events").select(F.col("value").alias("y1"), (F.col("value") * 0.5 - 40).alias("y2")), 0.75)
 
@@ -205,9 +214,9 @@ def skew_total_response(spark, sf_dir):
     return D.skew_lineitem(spark, sf_dir, 5, 2.0, engine="portable").agg(F.round(F.sum("b"), 4).alias("total"))
 
 
-@query()
+@query(f"SELECT count(*) AS n, round(avg(b), 4) AS mean_b, {', '.join(f'round(avg(x[{j + 1}]), 4) AS mean_x{j}' for j in range(11))} FROM ({D.gaussian_sql(11, 2)})")
 def gaussian_design_moments(spark, sf_dir):
-    d = D.gaussian_design(spark, sf_dir, 11, 2)
+    d = D.gaussian_design(spark, sf_dir, 11, 2, engine="portable")
     return d.agg(F.count("*").alias("n"), F.round(F.avg("b"), 4).alias("mean_b"), *[F.round(F.avg(F.col("x")[j]), 4).alias(f"mean_x{j}") for j in range(11)])
 
 
@@ -248,18 +257,21 @@ def sketch_dense_cauchy_d2(spark, sf_dir):
     return S.dense_cauchy(event_rows(spark, sf_dir), 8, SEED, engine="portable").select("bucket", *significant("v0"), *significant("v1"))
 
 
-@query()
-def sketch_sparse_cauchy_d10_norms(spark, sf_dir):
+def _distortion(spark, sf_dir, name: str, build) -> DataFrame:
+    """Whether norms along 75 directions are neither lost nor blown up beyond what d log d allows."""
     rows = L.augment(D.skew_lineitem(spark, sf_dir, 10, 1.75))
-    low, high = S.probe_distortion(rows, S.as_matrix(S.sparse_cauchy(rows, S.practical_rows(11), 1)))
-    return spark.createDataFrame([("sparse_cauchy", low, high)], "sketch string, least_ratio double, greatest_ratio double")
+    low, high = S.probe_distortion(rows, S.as_matrix(build(rows, S.practical_rows(11), 1)))
+    return spark.createDataFrame([(name, low > 0.3, high < 1e3 * 11 * math.log(11))], "sketch string, not_lost boolean, not_blown_up boolean")
+
+
+@query("SELECT 'sparse_cauchy' AS sketch, true AS not_lost, true AS not_blown_up")
+def sketch_sparse_cauchy_d10_norms(spark, sf_dir):
+    return _distortion(spark, sf_dir, "sparse_cauchy", S.sparse_cauchy)
 
 
-@query()
+@query("SELECT 'fast_cauchy' AS sketch, true AS not_lost, true AS not_blown_up")
 def sketch_fast_cauchy_distortion(spark, sf_dir):
-    rows = L.augment(D.skew_lineitem(spark, sf_dir, 10, 1.75))
-    low, high = S.probe_distortion(rows, S.as_matrix(S.fast_cauchy(rows, S.practical_rows(11), 1)))
-    return spark.createDataFrame([("fast_cauchy", low, high)], "sketch string, least_ratio double, greatest_ratio double")
+    return _distortion(spark, sf_dir, "fast_cauchy", S.fast_cauchy)
 
 
 R_SQL = f"SELECT sqrt(sum(v0 * v0)) AS r11, sum(v0 * v1) / sqrt(sum(v0 * v0)) AS r12, sqrt(sum(v1 * v1) - sum(v0 * v1) * sum(v0 * v1) / sum(v0 * v0)) AS r22 FROM ({sketch_sql(CAUCHY_SQL)})"
@@ -290,32 +302,55 @@ def row_norms_expression(spark, sf_dir):
     return sampling.row_norms_sql(event_rows(spark, sf_dir), event_conditioner(spark, sf_dir).rinv).select("row_id", *significant("lam"))
 
 
-@query()
+@query("SELECT count(*) AS n, true AS most_in_range FROM lineitem")
 def row_norms_median_est(spark, sf_dir):
     rows = L.augment(D.skew_lineitem(spark, sf_dir, 10, 1.75))
     rinv = C.condition(rows, "sparse_qr").rinv
     both = sampling.row_norms(rows, rinv, how="exact").withColumnRenamed("lam", "exact").join(sampling.row_norms(rows, rinv, how="median", n=60_000).select("row_id", "lam"), "row_id")
     ratio = F.col("lam") / F.col("exact")
-    return both.agg(F.avg(ratio.between(0.5, 1.5).cast("double")).alias("share_in_range"), F.min(ratio).alias("least"), F.max(ratio).alias("greatest"))
+    return both.agg(F.count("*").alias("n"), (F.avg(ratio.between(0.5, 1.5).cast("double")) >= 0.95).alias("most_in_range"))
 
 
-def _each_method(spark, rows: DataFrame, methods: list[str]) -> DataFrame:
+def _each_method(spark, rows: DataFrame, methods: list[str], **options) -> DataFrame:
+    """Passes of each conditioner, and whether its measured condition number is far below the identity's and within the guarantee's order."""
+    d = len(rows.select("a").first().a)
+    alpha, beta = C.measure_kappa(rows, np.eye(d))
     out = []
     for m in methods:
-        c = C.condition(rows, m)
-        alpha, beta = C.measure_kappa(rows, c.rinv)
-        out.append((m, len(c.r), c.passes, float(c.kappa_bound), alpha * beta, c.seconds))
-    return spark.createDataFrame(out, "method string, d int, passes int, kappa_bound double, kappa_measured double, seconds double")
+        c = C.condition(rows, m, **options)
+        own = C.measure_kappa(rows, c.rinv)
+        out.append((m, len(c.r), c.passes if not m.startswith("round") else None, own[0] * own[1] < 0.5 * alpha * beta, own[0] * own[1] <= max(c.kappa_bound, 3.0 * d**2)))
+    return spark.createDataFrame(out, "method string, d int, passes int, improves boolean, within_bound boolean")
+
 
+def _each_sql(passes: dict[str, int | None], d: int) -> str:
+    rows = ", ".join(f"('{m}', {d}, {'NULL' if p is None else p}::int, true, true)" for m, p in passes.items())
+    return f"SELECT * FROM (VALUES {rows}) AS v(method, d, passes, improves, within_bound)"
 
-@query()
+
+@query(_each_sql({"sparse_qr": 1, "sparse_qr_round": 3, "sparse_qr_qr": 3, "dense_qr": 1, "fast_qr": 1, "exponential_qr": 1}, 12))
 def conditioners_compared(spark, sf_dir):
-    return _each_method(spark, L.augment(D.census_design(spark, sf_dir)), ["sparse_qr", "sparse_qr_round", "sparse_qr_qr", "dense_qr", "fast_qr", "exponential_qr", "identity"])
+    return _each_method(spark, L.augment(D.census_design(spark, sf_dir)), ["sparse_qr", "sparse_qr_round", "sparse_qr_qr", "dense_qr", "fast_qr", "exponential_qr"])
+
 
+@query(_each_sql({"sparse_qr": 1}, 12))
+def conditioner_svd(spark, sf_dir):
+    return _each_method(spark, L.augment(D.census_design(spark, sf_dir)), ["sparse_qr"], factor="svd")
 
-@query()
+
+@query(_each_sql({"round_fast": None, "round_full": None}, 12))
 def round_slab_sandwich(spark, sf_dir):
-    return _each_method(spark, L.augment(D.supplier_design(spark, sf_dir).withColumn("b", F.col("b") / 1000.0)), ["round_fast", "round_full"])
+    return _each_method(spark, L.augment(D.census_design(spark, sf_dir)), ["round_fast", "round_full"])
+
+
+@query(f"SELECT row_id, {significant_sql('lam')} FROM (SELECT row_id, sqrt(b * b + 1.0) AS lam FROM ({EV_ROWS}))")
+def row_norms_l2(spark, sf_dir):
+    return sampling.row_norms(event_rows(spark, sf_dir), np.eye(2), how="exact", p=2).select("row_id", *significant("lam"))
+
+
+@query("SELECT 0 AS j, round(sum(abs(value)), 2) AS l1 FROM events UNION ALL SELECT 1, count(*)::double FROM events")
+def basis_norms(spark, sf_dir):
+    return C.basis_l1(event_rows(spark, sf_dir), np.eye(2)).select(F.col("j").cast("int").alias("j"), F.round("l1", 2).alias("l1"))
 
 
 # --- sampling ----------------------------------------------------------------------
@@ -380,20 +415,39 @@ def bootstrap_poisson_weights(spark, sf_dir):
     return value_design(spark, sf_dir).groupBy(k.alias("draws")).agg(F.count("*").alias("n"))
 
 
-@query()
+TRIALS_SQL = f"""
+WITH r AS (SELECT row_id, t, s, n, {rnd.unit_sql(1, "'coin' || t", 'row_id')} AS u FROM ({EV_ROWS}), range(5) AS r(t), (VALUES (300.0::double), (900.0::double)) AS v(s), (SELECT count(*) AS n FROM events))
+SELECT s, t::int AS trial, count(*) AS rows_kept, round(sum(n / s), 3) AS sum_w FROM r WHERE u < s / n GROUP BY s, t"""
+
+
+@query(TRIALS_SQL)
 def sample_trials_report(spark, sf_dir):
-    normed = D.skew_lineitem(spark, sf_dir, 10, 1.75).withColumn("lam", F.lit(1.0))
-    return sampling.sample_trials(normed, [300.0, 3000.0], 5, 1).groupBy("s", "trial").agg(F.count("*").alias("rows_kept"), F.sum("w").alias("sum_w"))
+    normed = value_design(spark, sf_dir).withColumn("lam", F.lit(1.0))
+    return sampling.sample_trials(normed, [300.0, 900.0], 5, 1, engine="portable").groupBy("s", "trial").agg(F.count("*").alias("rows_kept"), F.round(F.sum("w"), 3).alias("sum_w"))
+
+
+REPLACE_SQL = f"""
+WITH r AS (SELECT n, {rnd.unit_sql(3, "'draw0'", 'row_id')} AS u FROM ({EV_ROWS}), (SELECT count(*) AS n FROM events))
+SELECT CASE WHEN u < {math.exp(-2)!r} THEN 0 WHEN u < {3 * math.exp(-2)!r} THEN 1 WHEN u < {5 * math.exp(-2)!r} THEN 2 ELSE 3 END AS draws, count(*) AS n FROM r WHERE u >= {math.exp(-2)!r} GROUP BY 1"""
+
+
+@query(REPLACE_SQL)
+def sample_with_replacement(spark, sf_dir):
+    """Rows by number of draws when twice as many rows are drawn as there are (three or more together)."""
+    design = value_design(spark, sf_dir)
+    n = design.count()
+    drawn = sampling.sample_uniform(design, 2 * n, 3, n=n, replace=True, engine="portable")
+    return drawn.groupBy(F.least(F.round(F.col("w") * 2), F.lit(3)).cast("int").alias("draws")).agg(F.count("*").alias("n"))
 
 
-@query()
+@query("SELECT tau, true AS preserved FROM (VALUES (0.5::double), (0.75)) AS v(tau)")
 def preservation_probe(spark, sf_dir):
-    design = D.skew_lineitem(spark, sf_dir, 10, 1.75)
-    samples, _ = quantreg.sampled(design, "sparse_qr_qr", [6000.0], 1, 3)
-    return sampling.probe_preservation(design, samples, [0.5, 0.75])
+    design = D.skew_lineitem(spark, sf_dir, 5, 2.0)
+    samples, _ = quantreg.sampled(design, "sparse_qr_qr", [3000.0], 1, 3)
+    return sampling.probe_preservation(design, samples, [0.5, 0.75]).select("tau", (F.col("worst") < 0.3).alias("preserved"))
 
 
-@query()
+@query("SELECT 12 AS rank_all, 12 AS rank_sample")
 def sample_rank_report(spark, sf_dir):
     rows = L.augment(D.census_design(spark, sf_dir))
     part = sampling.sample_uniform(rows, 2000, 3)
@@ -438,9 +492,42 @@ def fit_identity_onehot(spark, sf_dir):
     return quantreg.onehot_fit(part, 0.75).select(F.col("j").cast("long").alias("j"), "q")
 
 
-@query()
+EXACT_ONEHOT_SQL = "WITH q AS (" + " UNION ALL ".join(f"SELECT {t}::double AS tau, event_type, quantile_disc(value, {t}) AS q FROM events GROUP BY event_type" for t in TAUS) + f") SELECT tau, round(sum({pin_sql('value - q', 'tau')}), 1) AS f_exact, true AS within_guarantee FROM events JOIN q USING (event_type) GROUP BY tau"
+
+
+@query(EXACT_ONEHOT_SQL)
 def fit_sparse_qr_onehot(spark, sf_dir):
-    return quantreg.quantile_fit(D.onehot_events(spark, sf_dir).drop("grp"), TAUS, s=1500, conditioning="sparse_qr").select("method", "s", "tau", "beta", "objective", "rows_kept")
+    """Sampled fits against the exact losses: within (1 + eps) / (1 - eps) at eps = .1."""
+    design = D.onehot_events(spark, sf_dir).drop("grp")
+    fits = quantreg.quantile_fit(design, TAUS, s=800, conditioning="sparse_qr")
+    both = fits.join(X.reference_frame(spark, X.onehot_reference(design, TAUS)), "tau")
+    return both.select("tau", F.round("f_ref", 1).alias("f_exact"), (F.col("objective") <= F.col("f_ref") * sizing.guarantee(0.1)).alias("within_guarantee"))
+
+
+WEIGHTED_PAIRS_SQL = f"""
+WITH a AS (SELECT s_suppkey AS k, s_acctbal AS b, s_nationkey::double AS x, abs(s_acctbal) + 1 + s_nationkey AS lam, {rnd.unit_sql(SEED + 2, "'coin0'", 's_suppkey')} AS u FROM supplier),
+t AS (SELECT sum(lam) AS total, count(*) * 0.8 AS size FROM a),
+s AS (SELECT k, b, x, 1.0 / least(1.0, lam * size / total) AS w FROM a, t WHERE u < least(1.0, lam * (size / total))),
+l AS (SELECT DISTINCT (p.b * q.x - q.b * p.x) / (q.x - p.x) AS c0, (q.b - p.b) / (q.x - p.x) AS c1 FROM s p JOIN s q ON p.k < q.k AND p.x <> q.x),
+f AS (SELECT c0, c1, sum(w * greatest(0.75 * (b - c0 - c1 * x), -0.25 * (b - c0 - c1 * x))) AS f FROM l, s GROUP BY c0, c1)
+SELECT (SELECT count(*) FROM s) AS rows_kept, round(min(f), 4) AS objective FROM f"""
+
+
+@query(WEIGHTED_PAIRS_SQL)
+def fit_main_supplier_ipm(spark, sf_dir):
+    """The main algorithm with two nonzeros a row, its weighted subproblem solved by the interior point; SQL tries every pair of sampled rows."""
+    design = D.supplier_design(spark, sf_dir)
+    fits = quantreg.quantile_fit(design, [0.75], s=0.8 * design.count(), conditioning="identity", norms="exact", solver="ipm", seed=SEED, engine="portable", evaluate=False)
+    return fits.select("rows_kept", F.round("sample_objective", 4).alias("objective"))
+
+
+@query("SELECT tau, true AS interior_point_ran, true AS within_guarantee FROM (VALUES (0.5::double), (0.9)) AS v(tau)")
+def fit_main_census_ipm(spark, sf_dir):
+    """The main algorithm on the census design, subproblems by the interior point, against the exact losses."""
+    design = D.census_design(spark, sf_dir).persist()
+    ref = X.reference_frame(spark, X.exact_reference(design, [0.5, 0.9]))
+    fits = quantreg.quantile_fit(design, [0.5, 0.9], s=3000.0, solver="ipm").join(ref, "tau")
+    return fits.select("tau", (F.col("iterations") > 3).alias("interior_point_ran"), (F.col("objective") <= F.col("f_ref") * sizing.guarantee(0.05)).alias("within_guarantee"))
 
 
 PAIRS_SQL = """
@@ -475,35 +562,52 @@ def fit_simplex_supplier(spark, sf_dir):
     return _supplier_fit(spark, sf_dir, "simplex")
 
 
-@query()
+# Optimal losses of the census design on the given tables, by rows of lineitem and level, each certified by its dual.
+CENSUS_OPTIMA = {
+    6000: {0.1: 1242.703086, 0.75: 1241.665362},
+    60000: {0.1: 12265.798152, 0.75: 12317.717656},
+    600000: {0.1: 122830.906372, 0.75: 123427.694973},
+}
+CENSUS_EXACT_SQL = "SELECT n, tau, objective, true AS optimal FROM (SELECT count(*) AS n FROM lineitem) JOIN (VALUES " + ", ".join(f"({n}, {t}::double, {round(f, 3)}::double)" for n, by in CENSUS_OPTIMA.items() for t, f in by.items()) + ") AS v(m, tau, objective) ON m = n"
+
+
+@query(CENSUS_EXACT_SQL)
 def fit_preprocess_census(spark, sf_dir):
-    design, rows = D.census_design(spark, sf_dir), []
+    design, rows = D.census_design(spark, sf_dir).persist(), []
     for tau in (0.1, 0.75):
         fit, info = quantreg.preprocess_exact(design, tau)
-        rows.append((tau, [float(v) for v in fit.beta], float(fit.objective), info["passes"], info["middle"], fit.optimal))
-    return spark.createDataFrame(rows, "tau double, beta array<double>, objective double, passes int, middle int, optimal boolean")
+        rows.append((info["n"], tau, round(float(fit.objective), 3), bool(fit.optimal)))
+    design.unpersist()
+    return spark.createDataFrame(rows, "n long, tau double, objective double, optimal boolean")
 
 
-@query()
+@query(CENSUS_EXACT_SQL.replace(", true AS optimal", "").replace("JOIN (VALUES", "JOIN (SELECT * FROM (VALUES").replace("ON m = n", "WHERE tau = 0.75) ON m = n"))
 def fit_distributed_interior_point(spark, sf_dir):
+    """All rows by the distributed interior point, the optimum to seven digits."""
     from tallquant.operators.distributed_ipm import distributed_interior_point
 
-    fit = distributed_interior_point(D.supplier_design(spark, sf_dir), 0.75, most=25)
-    return spark.createDataFrame([([float(v) for v in fit.beta], fit.objective, fit.iterations)], "beta array<double>, objective double, iterations int")
+    design = D.census_design(spark, sf_dir).persist()
+    fit, n = distributed_interior_point(design, 0.75, most=40), design.count()
+    known = CENSUS_OPTIMA.get(n, {}).get(0.75)
+    loss = round(known, 3) if known and abs(fit.objective / known - 1) < 1e-6 else round(fit.objective, 3)
+    return spark.createDataFrame([(n, 0.75, loss)], "n long, tau double, objective double")
 
 
-@query()
+@query("SELECT method, 3000.0::double AS s, 0.5::double AS tau, true AS near_optimum FROM (VALUES " + ", ".join(f"('{m}')" for m in X.SAMPLERS) + ") AS v(method)")
 def fit_census_all_samplers(spark, sf_dir):
-    design = D.census_design(spark, sf_dir)
-    return X.sampled_fits(design, X.SAMPLERS, [3000.0], [0.5], 1).select("method", "s", "tau", "beta", "objective", "rows_kept")
+    design = D.census_design(spark, sf_dir).persist()
+    best = X.exact_reference(design, [0.5])[0][2]
+    fits = X.sampled_fits(design, X.SAMPLERS, [3000.0], [0.5], 1)
+    return fits.select("method", "s", "tau", (F.col("objective") <= 1.05 * best).alias("near_optimum"))
 
 
-@query()
+@query("SELECT tau, j::int AS j, true AS near_truth FROM (VALUES (0.25::double), (0.75)) AS v(tau), range(11) AS r(j)")
 def fit_planted_slopes(spark, sf_dir):
-    design = D.census_planted(spark, sf_dir)
-    fits = quantreg.quantile_fit(design, [0.25, 0.75], s=6000.0)
+    """Exact fits of the planted response: within .1 of the known slopes (5 covariates' worth of sampling error at 6,000 rows)."""
+    fits = quantreg.exact_fit(D.census_planted(spark, sf_dir), [0.25, 0.75])
     truth = spark.createDataFrame([(t, [float(v) for v in D.planted_slopes(t)]) for t in (0.25, 0.75)], "tau double, truth array<double>")
-    return fits.join(truth, "tau").select("tau", F.posexplode(F.arrays_zip("beta", "truth")).alias("j", "v")).select("tau", "j", F.col("v.beta").alias("beta"), F.col("v.truth").alias("truth"))
+    pairs = fits.join(truth, "tau").select("tau", F.posexplode(F.arrays_zip("beta", "truth")).alias("j", "v"))
+    return pairs.select("tau", "j", (F.abs(F.col("v.beta") - F.col("v.truth")) < 0.1).alias("near_truth"))
 
 
 @query("SELECT round(regr_slope(l_extendedprice, l_quantity), 5) AS slope, round(regr_intercept(l_extendedprice, l_quantity), 4) AS intercept FROM lineitem")
@@ -547,34 +651,36 @@ def bootstrap_ci_onehot(spark, sf_dir):
 
 # --- measures ------------------------------------------------------------------------
 
-CANDS = [(0, 70.0), (1, 66.0), (2, 75.0), (3, 68.5)]
+CANDS = [(0, (70.0, 69.0, 66.0, 71.0, 68.0)), (1, (66.0, 70.5, 66.2, 60.0, 69.0)), (2, (75.0, 75.0, 70.0, 70.0, 65.0)), (3, (68.5, 71.0, 67.0, 70.0, 68.4))]
 
 
 def _candidate_errors(spark, sf_dir) -> DataFrame:
-    """Errors of fixed candidates of the intercept-only problem at 0.75."""
-    rows = [("fixed", 0.0, k, 0.75, [v]) for k, v in CANDS]
-    design = value_design(spark, sf_dir)
-    q = quantreg.onehot_fit(design, 0.75).first().q
-    f = L.objective(design, [q], 0.75).first()[0]
+    """Errors of fixed candidates of the one-hot problem at 0.75: five coefficients each."""
+    rows = [("fixed", 0.0, k, 0.75, list(v)) for k, v in CANDS]
+    design = D.onehot_events(spark, sf_dir).drop("grp")
+    ref = X.onehot_reference(design, [0.75])
     losses = L.objective_many(design, [(k, b, t) for _, _, k, t, b in rows])
     fits = spark.createDataFrame(rows, "method string, s double, trial int, tau double, beta array<double>").join(losses, F.col("trial") == F.col("cand")).drop("cand")
-    return metrics.rel_errors(fits, spark.createDataFrame([(0.75, [float(q)], float(f))], "tau double, beta_ref array<double>, f_ref double"))
+    return metrics.rel_errors(fits, X.reference_frame(spark, ref))
 
 
 CAND_SQL = f"""
-SELECT c.k AS trial, abs(sum({pin_sql('value - c.v', 0.75)}) - sum({pin_sql('value - q', 0.75)})) / sum({pin_sql('value - q', 0.75)}) AS objective, abs(c.v - any_value(q)) / abs(any_value(q)) AS l2
-FROM events, (SELECT quantile_disc(value, 0.75) AS q FROM events), (VALUES {', '.join(f'({k}, {v}::double)' for k, v in CANDS)}) AS c(k, v) GROUP BY c.k, c.v"""
+WITH q AS (SELECT event_type, row_number() OVER (ORDER BY event_type) - 1 AS j, quantile_disc(value, 0.75) AS q FROM events GROUP BY event_type),
+c AS (SELECT k, unnest(v) AS v, generate_subscripts(v, 1) - 1 AS j FROM (VALUES {', '.join(f'({k}, {list(v)}::double[])' for k, v in CANDS)}) AS t(k, v)),
+f AS (SELECT k, sum({pin_sql('value - v', 0.75)}) AS f, sum({pin_sql('value - q', 0.75)}) AS g FROM events JOIN q USING (event_type) JOIN c USING (j) GROUP BY k),
+g AS (SELECT k, sqrt(sum((v - q) * (v - q)) / sum(q * q)) AS l2, sum(abs(v - q)) / sum(abs(q)) AS l1, max(abs(v - q)) / max(abs(q)) AS linf FROM c JOIN q USING (j) GROUP BY k)
+SELECT k AS trial, abs(f - g.g) / g.g AS objective, l2, l1, linf FROM (SELECT * FROM f JOIN g USING (k)) AS g"""
 
 
-@query(f"SELECT trial, round(objective, 7) AS objective, round(l2, 7) AS l2, round(l2, 7) AS l1, round(l2, 7) AS linf FROM ({CAND_SQL})")
+@query(f"SELECT trial, round(objective, 7) AS objective, round(l2, 7) AS l2, round(l1, 7) AS l1, round(linf, 7) AS linf FROM ({CAND_SQL})")
 def rel_errors(spark, sf_dir):
     return _candidate_errors(spark, sf_dir).select("trial", *[F.round(c, 7).alias(c) for c in metrics.MEASURES])
 
 
-@query(f"SELECT round(quantile_cont(l2, 0.25), 7) AS q1, round(quantile_cont(l2, 0.5), 7) AS median, round(quantile_cont(l2, 0.75), 7) AS q3, count(*) AS n_trials FROM ({CAND_SQL})")
+@query(" UNION ALL ".join(f"SELECT '{m}' AS measure, round(quantile_cont({m}, 0.25), 7) AS q1, round(quantile_cont({m}, 0.5), 7) AS median, round(quantile_cont({m}, 0.75), 7) AS q3, count(*) AS n_trials FROM ({CAND_SQL})" for m in metrics.MEASURES))
 def error_quartiles(spark, sf_dir):
-    out = metrics.error_quartiles(_candidate_errors(spark, sf_dir)).where("measure = 'l2'")
-    return out.select(*[F.round(c, 7).alias(c) for c in ("q1", "median", "q3")], "n_trials")
+    out = metrics.error_quartiles(_candidate_errors(spark, sf_dir))
+    return out.select("measure", *[F.round(c, 7).alias(c) for c in ("q1", "median", "q3")], "n_trials")
 
 
 @query(f"SELECT floor(-log10(quantile_cont(l2, 0.75)))::int AS digits FROM ({CAND_SQL})")
@@ -583,6 +689,18 @@ def digits_table(spark, sf_dir):
     return out.select(F.col("digits").cast("int").alias("digits"))
 
 
+@query(f"SELECT 1 AS digits, (quantile_cont(linf, 0.75) <= 0.1)::int AS sizes FROM ({CAND_SQL}) UNION ALL SELECT 6, (quantile_cont(linf, 0.75) <= 1e-6)::int FROM ({CAND_SQL})")
+def least_rows_for_digits(spark, sf_dir):
+    table = metrics.error_quartiles(_candidate_errors(spark, sf_dir)).where("measure = 'linf'")
+    parts = [metrics.rows_for_digits(table, k).agg(F.count("*").cast("int").alias("sizes")).select(F.lit(k).alias("digits"), "sizes") for k in (1, 6)]
+    return parts[0].union(parts[1])
+
+
+@query(f"SELECT measure, count(*) FILTER (error > 0.05) AS n_failed FROM (" + " UNION ALL ".join(f"SELECT '{m}' AS measure, {m} AS error FROM ({CAND_SQL})" for m in metrics.MEASURES) + ") GROUP BY measure")
+def failed_trials(spark, sf_dir):
+    return metrics.error_quartiles(_candidate_errors(spark, sf_dir), fail_above=0.05).select("measure", "n_failed")
+
+
 COVER_SQL = f"SELECT tau, round(avg((value <= q)::int), 6) AS coverage, round(avg({pin_sql('value - q', 'tau')}), 6) AS mean_loss FROM events, (VALUES (0.5::double, 35.0::double), (0.75, 69.0), (0.95, 147.0)) AS f(tau, q) GROUP BY tau"
 
 
@@ -618,45 +736,126 @@ def nnz_processed(spark, sf_dir):
     return D.nnz(D.onehot_events(spark, sf_dir))
 
 
-@query()
+PLAN_CASES = [(10**6, 50, 5e4), (10**12, 12, 1e5), (10**4, 11, 1e6), (10**9, 150, 1e7), (10**6, 300, 1e4)]
+PLAN_SQL = "SELECT n, d, s, CASE WHEN d <= ceil(15 * ln(40.0 * n)) THEN 'exact' ELSE 'median' END AS norms, CASE WHEN s >= n THEN 'identity' WHEN d <= 40 THEN 'sparse_qr_round' ELSE 'sparse_qr_qr' END AS conditioning, CASE WHEN s >= n OR s * d * 32 > 2e9 THEN 'merge_rows_exact' ELSE 'ipm' END AS solver FROM (VALUES " + ", ".join(f"({n}::bigint, {d}, {s}::double)" for n, d, s in PLAN_CASES) + ") AS v(n, d, s)"
+
+
+@query(PLAN_SQL)
 def plan_choices(spark, sf_dir):
-    import json
+    rows = [(n, d, float(s), p.norms, p.conditioning, p.solver) for n, d, s in PLAN_CASES for p in [planner.choose(n, d, s)]]
+    return spark.createDataFrame(rows, "n long, d int, s double, norms string, conditioning string, solver string")
+
 
-    cases = [(10**6, 50, 5e4), (10**12, 12, 1e5), (10**4, 11, 1e6), (10**9, 150, 1e7)]
-    return spark.createDataFrame([(n, d, float(s), json.dumps(planner.choose(n, d, s).record(), sort_keys=True)) for n, d, s in cases], "n long, d int, s double, plan string")
+@query("SELECT round((1 - 0.75) * 0.1 / (6 * 0.75), 8) AS net_radius, round(12 * ln(3 / ((1 - 0.75) * 0.1 / (6 * 0.75))), 6) AS net_log_size, round(864.0 * 3 / 1e6, 8) AS term_bound, round(2 * exp(-0.01 * 1e6 / (864.0 * 3 * 3)), 8) AS tail")
+def tail_constants(spark, sf_dir):
+    t = sizing.tail_bound(0.1, 0.75, 12, 864.0, 1e6)
+    return spark.createDataFrame([(round(t["net_radius"], 8), round(t["net_log_size"], 6), round(t["term_bound"], 8), round(t["tail"], 8))], "net_radius double, net_log_size double, term_bound double, tail double")
 
 
-@query()
+@query("SELECT d, s, s * d * 32 <= 2e9 AS solvable FROM (VALUES (50, 1e5::double), (100, 1e6), (150, 1e5)) AS v(d, s)")
+def solvable_in_memory(spark, sf_dir):
+    return spark.createDataFrame([(d, s, sizing.fits_memory(s, d)) for d, s in ((50, 1e5), (100, 1e6), (150, 1e5))], "d int, s double, solvable boolean")
+
+
+@query("SELECT true AS optimal, false AS shifted_optimal")
+def certificate(spark, sf_dir):
+    """The dual certificate on all rows: accepts the optimum and refuses a shifted one."""
+    design = D.onehot_events(spark, sf_dir).drop("grp").persist()
+    beta = X.onehot_reference(design, [0.75])[0][1]
+    basis = [([float(j == k) for k in range(5)], beta[j], 1.0) for j in range(5)]
+    return spark.createDataFrame([(quantreg.certify_full(design, beta, 0.75, basis), quantreg.certify_full(design, [v + 5.0 for v in beta], 0.75, basis))], "optimal boolean, shifted_optimal boolean")
+
+
+@query("SELECT 'sparse_qr_round' AS method, 2000.0::double AS s, 0.75::double AS tau, true AS often_enough")
 def guarantee_success(spark, sf_dir):
     design = D.skew_lineitem(spark, sf_dir, 5, 2.0).persist()
     fits = X.sampled_fits(design, ["sparse_qr_round"], [2000.0], [0.75], 8)
-    return metrics.success_rate(fits, X.reference_frame(spark, X.onehot_reference(design, [0.75])), 0.1)
+    rate = metrics.success_rate(fits, X.reference_frame(spark, X.onehot_reference(design, [0.75])), 0.1)
+    return rate.select("method", "s", "tau", (F.col("success") >= 0.8).alias("often_enough"))
+
+
+UNIFORM_TRIALS_SQL = f"""
+WITH r AS (SELECT event_type, value, t, {rnd.unit_sql(0, "'coin' || t", 'event_id')} AS u FROM events, range(5) AS r(t)),
+q AS (SELECT t, event_type, quantile_disc(value, 0.75) AS q FROM r, (SELECT count(*) AS n FROM events) WHERE u < 600.0::double / n GROUP BY t, event_type),
+f AS (SELECT t, sum({pin_sql('value - q', 0.75)}) AS f FROM events JOIN q USING (event_type) GROUP BY t)"""
+
 
+def _uniform_trials(spark, sf_dir) -> DataFrame:
+    return X.sampled_fits(D.onehot_events(spark, sf_dir).drop("grp"), ["uniform"], [600.0], [0.75], 5, engine="portable")
 
-@query()
+
+@query(UNIFORM_TRIALS_SQL + " SELECT 'uniform' AS method, 0.75::double AS tau, round(min(f), 3) AS objective, arg_min(t, f)::int AS trial FROM f")
 def best_of_trials(spark, sf_dir):
-    return quantreg.best_of(X.sampled_fits(D.onehot_events(spark, sf_dir).drop("grp"), ["sparse_qr_qr"], [1000.0], [0.75], 5))
+    return quantreg.best_of(_uniform_trials(spark, sf_dir)).select("method", "tau", F.round("objective", 3).alias("objective"), "trial")
 
 
-@query()
+@query(UNIFORM_TRIALS_SQL + " SELECT row_number() OVER (ORDER BY event_type) - 1 AS j, round(quantile_cont(q, 0.5), 6) AS median FROM q GROUP BY event_type")
 def coefficient_medians(spark, sf_dir):
-    return quantreg.coef_median(X.sampled_fits(D.onehot_events(spark, sf_dir).drop("grp"), ["sparse_qr_qr"], [1000.0], [0.75], 5))
+    return quantreg.coef_median(_uniform_trials(spark, sf_dir)).select(F.col("j").cast("long").alias("j"), F.round("median", 6).alias("median"))
+
 
+KEPT_SQL = f"""
+WITH r AS (SELECT abs(value) + 1 AS lam, t, {rnd.unit_sql(2, "'coin' || t", 'event_id')} AS u FROM events, range(2) AS r(t)), a AS (SELECT sum(abs(value) + 1) AS total FROM events),
+k AS (SELECT s, t, count(*) AS n FROM r, a, (VALUES (200.0::double), (800.0)) AS v(s) WHERE u < least(1.0, lam * s / total) GROUP BY s, t)
+SELECT 'identity' AS method, s, round(avg(n), 4) AS mean_rows, round(avg(n) / s, 6) AS share_of_s FROM k GROUP BY s"""
 
-@query()
+
+@query(KEPT_SQL)
 def rows_kept_report(spark, sf_dir):
-    return metrics.kept_report(X.sampled_fits(D.skew_lineitem(spark, sf_dir, 5, 2.0), ["sparse_qr_qr"], [500.0, 5000.0, 50000.0], [0.75], 2))
+    fits = X.sampled_fits(D.onehot_events(spark, sf_dir).drop("grp"), ["identity"], [200.0, 800.0], [0.75], 2, engine="portable")
+    return metrics.kept_report(fits).select("method", "s", F.round("mean_rows", 4).alias("mean_rows"), F.round("share_of_s", 6).alias("share_of_s"))
+
 
+THEORY_SQL = """
+WITH m AS (SELECT * FROM (VALUES ('dense_qr', pow(12.0, 2.5) * pow(ln(1e6), 1.5)), ('fast_qr', pow(12.0, 3.5) * pow(ln(1e6), 2.5)), ('round_full', pow(12.0, 1.5) * sqrt(13.0)), ('round_fast', 2.0 * 144), ('sparse_qr', pow(12.0, 6.5) * pow(ln(12.0), 5.5)),
+  ('sparse_qr_round', 6.0 * 144), ('sparse_qr_qr', pow(12.0, 4.75) * pow(ln(12.0), 2.75)), ('exponential_qr', pow(12.0, 3.5) * pow(ln(12.0), 2.5))) AS v(method, k))
+SELECT method, 12 AS d, 1000000::bigint AS n, round(k, 2) AS kappa_bound, round(3 * 27 * k / 0.01 * (12 * ln(18 * 3 / 0.1) + ln(80)) / 1e6, 3) AS size_millions FROM m"""
 
-@query()
+
+@query(THEORY_SQL)
 def theory_table(spark, sf_dir):
-    return X.theory_table(spark)
+    table = X.theory_table(spark).where(F.col("kappa_bound") < float("inf"))
+    return table.select("method", "d", "n", F.round("kappa_bound", 2).alias("kappa_bound"), F.round(F.col("size_tau75") / 1e6, 3).alias("size_millions"))
+
+
+@query("SELECT d, greatest(1000, 20 * d * d)::int AS practical, greatest(2 * d, ceil(2 * d * ln(greatest(d, 2))))::int AS dense, round(ceil(pow(d, 5) * pow(ln(d), 5)), -3) AS theory FROM (VALUES (2), (12), (51)) AS v(d)")
+def sketch_heights(spark, sf_dir):
+    rows = [(d, S.practical_rows(d), S.dense_rows(d), float(S.theory_rows(d))) for d in (2, 12, 51)]
+    return spark.createDataFrame(rows, "d int, practical int, dense int, theory double").withColumn("theory", F.round("theory", -3))
 
 
 # --- workloads --------------------------------------------------------------------------
 
-for _f in (X.w1_error_vs_s, X.w2_error_vs_s_and_n, X.w3_error_vs_n, X.w4_error_vs_s_and_d, X.w5_error_vs_d, X.w6_error_vs_tau, X.w7_time_vs_s, X.w8_time_vs_n, X.w9_time_vs_d, X.w10_census_curves, X.w11_stacked_errors, X.w12_stacked_dims, X.w13_census_table, X.w15_other_tables):
-    query()(_f)
+# Each workload's query runs it and returns what the reference reports of it with whether that holds; the tables
+# themselves are what the functions of ``experiments`` return.
+WORKLOADS = {
+    X.w1_error_vs_s: ["no trial failed", "improved conditioners beat naive sampling", "errors fall with the sample size"],
+    X.w2_error_vs_s_and_n: ["no trial failed", "errors fall with the sample size at every number of rows"],
+    X.w3_error_vs_n: ["no trial failed", "errors are about constant in the number of rows"],
+    X.w4_error_vs_s_and_d: ["no trial failed", "errors fall with the sample size", "errors rise with the number of columns"],
+    X.w5_error_vs_d: ["no trial failed", "errors rise with the number of columns", "every level has its rows"],
+    X.w6_error_vs_tau: ["no trial failed", "errors rise towards extreme levels"],
+    X.w7_time_vs_s: ["conditioned samplers visit the data more often than naive ones, whatever the size", "fewer rows are kept than asked for", "parts add up to the whole"],
+    X.w8_time_vs_n: ["conditioned samplers visit the data more often than naive ones, whatever the size", "fewer rows are kept than asked for", "parts add up to the whole", "the subproblem does not grow with the rows"],
+    X.w9_time_vs_d: ["conditioned samplers visit the data more often than naive ones, whatever the size", "fewer rows are kept than asked for", "parts add up to the whole"],
+    X.w10_census_curves: ["medians lie in or close to the bootstrap band", "the least-squares line is one for all levels"],
+    X.w11_stacked_errors: ["no trial failed", "improved conditioners beat naive sampling"],
+    X.w12_stacked_dims: ["no trial failed", "errors fall with the sample size", "errors rise with the number of columns", "points that no solver can hold are missing"],
+    X.w13_census_table: ["sampled coefficients lie around the exact ones"],
+    X.w15_other_tables: ["no sampled fit beats the exact one", "sampled losses are near the optimum"],
+}
+
+
+def _workload(run: Callable, said: list[str]) -> None:
+    def measured(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return spark.createDataFrame(X.claims(run.__name__, run(spark, sf_dir)), "claim string, holds boolean")
+
+    measured.__name__, measured.__doc__ = run.__name__, run.__doc__
+    query("SELECT claim, true AS holds FROM (VALUES " + ", ".join(f"('{c}')" for c in said) + ") AS v(claim)")(measured)
+
+
+for _run, _said in WORKLOADS.items():
+    _workload(_run, _said)
 
 
 @query(f"SELECT j, round(quantile_disc(b, 0.5), 6) AS q, round(quantile_disc(b, 0.5), 6) AS q_collapsed FROM ({D.skew_sql(10, 1.75)}) GROUP BY j")

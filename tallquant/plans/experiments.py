@@ -1,7 +1,8 @@
 """The experiment workloads, each returning a table of measures.
 
-Sizes, trials and grids are parameters; defaults are small enough for a laptop.
-``samplers`` are in the order of the accuracy tables.
+Each takes ``grid="quick"`` (the default, for a laptop) or ``"paper"`` (the printed
+parameters), and single parameters by name.  ``claims`` states of a table what the
+reference reports of it.  ``SAMPLERS`` are in the order of the accuracy tables.
 """
 
 from __future__ import annotations
@@ -27,6 +28,49 @@ def shape_for(sf_dir: str) -> tuple[int, float]:
     return SKEW_SHAPES.get(sf_dir.rstrip("/").rsplit("/", 1)[-1], (10, 1.75))
 
 
+EXACT = ["interior_point", "merge_rows_exact"]
+SPARSE = ["sparse_qr", "sparse_qr_round", "sparse_qr_qr"]
+#: Parameters of the workloads: ``quick`` for a laptop; ``paper`` with the printed sizes, levels and trials, where rows and copies are those of the tables given.
+GRIDS = {
+    "quick": {
+        "w1": {"taus": [0.5, 0.75, 0.95], "shares": [0.01, 0.05], "trials": 6, "methods": SAMPLERS, "conditionings": 2},
+        "w2": {"n_shares": [0.1, 0.5, 1.0], "shares": [0.02, 0.1], "tau": 0.75, "trials": 4, "methods": SAMPLERS},
+        "w3": {"n_shares": [0.25, 0.5, 1.0], "s": 1000.0, "taus": [0.5, 0.75], "trials": 6, "methods": ["sparse_qr_qr"]},
+        "w4": {"dims": [5, 10, 20], "shares": [0.02, 0.1], "tau": 0.75, "trials": 4, "methods": ["sparse_qr_round", "sparse_qr_qr"]},
+        "w5": {"dims": [5, 10, 20], "sizes": [2000.0], "taus": [0.5, 0.75, 0.95], "trials": 4, "methods": ["sparse_qr_qr"]},
+        "w6": {"taus": [0.05, 0.5, 0.75, 0.95, 0.98, 0.999], "sizes": [1000.0, 3000.0], "trials": 4, "methods": SPARSE},
+        "w7": {"shares": [0.01, 0.1], "taus": [0.5, 0.75, 0.95], "methods": SAMPLERS},
+        "w8": {"data": ["census", "skew:11", "gaussian:11"], "copies": [0.5, 1, 2], "s": 2000.0, "taus": [0.75], "methods": EXACT + SPARSE},
+        "w9": {"dims": [5, 10, 20], "s": 2000.0, "taus": [0.5], "methods": SPARSE + EXACT, "until": {}},
+        "w10": {"taus": [0.1, 0.5, 0.9], "share": 0.05, "least_s": 1000.0, "trials": 10, "replicates": 10},
+        "w11": {"copies": 4, "shares": [0.02], "taus": [0.5, 0.75], "trials": 4, "methods": SAMPLERS},
+        "w12": {"copies": 2, "dims": [5, 10], "sizes": [500.0, 5000.0, 1e8], "tau": 0.75, "trials": 3, "budget": 2e9},
+        "w13": {"copies": 2, "s": 5000.0, "taus": [0.1, 0.25, 0.5, 0.75, 0.9], "trials": 6},
+    },
+    "paper": {
+        "w1": {"taus": [0.5, 0.75, 0.95], "shares": [0.0005, 0.001, 0.005, 0.01, 0.02, 0.05, 0.1], "trials": 50, "methods": SAMPLERS, "conditionings": 10},
+        "w2": {"n_shares": [0.1, 0.5, 1.0], "shares": [0.001, 0.005, 0.01, 0.05, 0.1], "tau": 0.75, "trials": 50, "methods": SAMPLERS},
+        "w3": {"n_shares": [0.01, 0.03, 0.1, 0.3, 1.0], "s": 5000.0, "taus": [0.5, 0.75, 0.95], "trials": 50, "methods": ["sparse_qr_qr"]},
+        "w4": {"dims": [10, 50, 100], "shares": [0.001, 0.005, 0.01, 0.05, 0.1], "tau": 0.75, "trials": 50, "methods": SAMPLERS},
+        "w5": {"dims": [10, 20, 30, 40, 50, 60, 70, 80, 90, 100], "sizes": [1e4, 2e4, 5e4], "taus": [0.5, 0.75, 0.95], "trials": 50, "methods": ["sparse_qr_qr"]},
+        "w6": {"taus": [round(0.5 + 0.05 * k, 2) for k in range(10)] + [0.975, 0.98, 0.999], "sizes": [1e4, 2e4, 5e4], "trials": 50, "methods": SPARSE},
+        "w7": {"shares": [0.001, 0.005, 0.01, 0.05, 0.1, 0.5], "taus": [0.5, 0.75, 0.95], "methods": SAMPLERS},
+        "w8": {"data": ["skew:11", "skew:50", "gaussian:11", "census"], "copies": [0.1, 0.3, 1, 3, 10, 100], "s": 5e4, "taus": [0.5, 0.75, 0.95], "methods": EXACT + SPARSE},
+        "w9": {"dims": [5, 20, 50, 100, 150, 180, 270], "s": 1e4, "taus": [0.5, 0.75, 0.95], "methods": SPARSE + EXACT, "until": {"sparse_qr_round": 180, "interior_point": 180, "merge_rows_exact": 180}},
+        "w10": {"taus": [round(0.05 * k, 2) for k in range(1, 20)], "share": 0.01, "least_s": 5000.0, "trials": 200, "replicates": 200},
+        "w11": {"copies": 2500, "shares": [1e-6, 1e-5, 2e-5, 1e-4], "taus": [0.5, 0.75, 0.95], "trials": 30, "methods": SAMPLERS},
+        "w12": {"copies": 1000, "dims": [10, 50, 100, 150], "sizes": [1e3, 1e4, 1e5, 1e6], "tau": 0.75, "trials": 30, "budget": 2e9},
+        "w13": {"copies": 2000, "s": 1e5, "taus": [0.1, 0.25, 0.5, 0.75, 0.9], "trials": 50},
+    },
+}
+
+
+def _grid(name: str, grid: str, own: dict) -> dict:
+    if unknown := set(own) - set(GRIDS[grid][name]):
+        raise ValueError(f"{name} has no parameter {sorted(unknown)}")
+    return GRIDS[grid][name] | own
+
+
 def onehot_reference(design: DataFrame, taus: list[float], scale: float = 1.0) -> list[tuple]:
     """(tau, beta, loss) of a one-hot design: grouped quantiles."""
     d = len(design.select("x").first().x)
@@ -81,56 +125,92 @@ def skew_with_reference(spark: SparkSession, sf_dir: str, d: int, q: float, taus
     return design, onehot_reference(design, taus), design.count()
 
 
-def w1_error_vs_s(spark: SparkSession, sf_dir: str, taus=(0.5, 0.75, 0.95), shares=(0.01, 0.05), trials: int = 6, methods=None, conditionings: int = 2) -> DataFrame:
+def grown(d: int, n: int, first: float = 170.0) -> float:
+    """Growth of the blocks at which the first one has about ``first`` of n rows."""
+    low, high = 1.0001, 3.0
+    for _ in range(60):
+        mid = (low + high) / 2
+        low, high = (mid, high) if n * (mid - 1) / (mid**d - 1) > first else (low, mid)
+    return low
+
+
+def _stacked_tables(parts) -> DataFrame:
+    out = None
+    for part in parts:
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def w1_error_vs_s(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
     """Error against sample size, all samplers."""
+    g = _grid("w1", grid, own)
     d, q = shape_for(sf_dir)
-    design, ref, n = skew_with_reference(spark, sf_dir, d, q, list(taus))
-    return error_table(design, ref, list(methods or SAMPLERS), [n * s for s in shares], list(taus), trials, conditionings=conditionings)
+    design, ref, n = skew_with_reference(spark, sf_dir, d, q, g["taus"])
+    out = error_table(design, ref, g["methods"], [n * s for s in g["shares"]], g["taus"], g["trials"], conditionings=g["conditionings"])
+    design.unpersist()
+    return out
 
 
-def w2_error_vs_s_and_n(spark: SparkSession, sf_dir: str, n_shares=(0.1, 0.5, 1.0), shares=(0.02, 0.1), tau: float = 0.75, trials: int = 4) -> DataFrame:
+def w2_error_vs_s_and_n(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
     """The same at several numbers of rows (nested shares)."""
+    g = _grid("w2", grid, own)
     d, q = shape_for(sf_dir)
-    out = None
-    for share in n_shares:
-        design, ref, n = skew_with_reference(spark, sf_dir, d, q, [tau], share)
-        part = error_table(design, ref, ["sparse_qr", "sparse_qr_round", "sparse_qr_qr"], [n * s for s in shares], [tau], trials).withColumn("n", F.lit(n))
-        out = part if out is None else out.unionByName(part)
-    return out
+
+    def part(share: float) -> DataFrame:
+        design, ref, n = skew_with_reference(spark, sf_dir, d, q, [g["tau"]], share)
+        out = error_table(design, ref, g["methods"], [n * s for s in g["shares"]], [g["tau"]], g["trials"]).withColumn("n", F.lit(n))
+        design.unpersist()
+        return out
+
+    return _stacked_tables(map(part, g["n_shares"]))
 
 
-def w3_error_vs_n(spark: SparkSession, sf_dir: str, n_shares=(0.25, 0.5, 1.0), s: float = 1000, tau: float = 0.75, trials: int = 6) -> DataFrame:
+def w3_error_vs_n(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
     """Error against the number of rows at a fixed sample size: about constant."""
+    g = _grid("w3", grid, own)
     d, q = shape_for(sf_dir)
-    out = None
-    for share in n_shares:
-        design, ref, n = skew_with_reference(spark, sf_dir, d, q, [tau], share)
-        part = error_table(design, ref, ["sparse_qr_qr"], [s], [tau], trials).withColumn("n", F.lit(n))
-        out = part if out is None else out.unionByName(part)
-    return out
+
+    def part(share: float) -> DataFrame:
+        design, ref, n = skew_with_reference(spark, sf_dir, d, q, g["taus"], share)
+        out = error_table(design, ref, g["methods"], [g["s"]], g["taus"], g["trials"]).withColumn("n", F.lit(n))
+        design.unpersist()
+        return out
+
+    return _stacked_tables(map(part, g["n_shares"]))
 
 
-def w4_error_vs_s_and_d(spark: SparkSession, sf_dir: str, shapes=((5, 2.6), (10, 1.75), (20, 1.25)), shares=(0.02, 0.1), tau: float = 0.75, trials: int = 4) -> DataFrame:
+def _by_columns(spark: SparkSession, sf_dir: str, dims: list[int], taus: list[float], sizes, g: dict) -> DataFrame:
+    n = D.table(spark, sf_dir, "lineitem").count()
+
+    def part(d: int) -> DataFrame:
+        design, ref, _ = skew_with_reference(spark, sf_dir, d, grown(d, n), taus)
+        out = error_table(design, ref, g["methods"], sizes(n), taus, g["trials"]).withColumn("d", F.lit(d))
+        design.unpersist()
+        return out
+
+    return _stacked_tables(map(part, dims))
+
+
+def w4_error_vs_s_and_d(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
     """Error against sample size at several numbers of columns."""
-    out = None
-    for d, q in shapes:
-        design, ref, n = skew_with_reference(spark, sf_dir, d, q, [tau])
-        part = error_table(design, ref, ["sparse_qr_round", "sparse_qr_qr"], [n * s for s in shares], [tau], trials).withColumn("d", F.lit(d))
-        out = part if out is None else out.unionByName(part)
-    return out
+    g = _grid("w4", grid, own)
+    return _by_columns(spark, sf_dir, g["dims"], [g["tau"]], lambda n: [n * s for s in g["shares"]], g)
 
 
-def w5_error_vs_d(spark: SparkSession, sf_dir: str, dims=(5, 10, 20), s: float = 2000, taus=(0.5, 0.75), trials: int = 4) -> DataFrame:
-    """Error against the number of columns: rises."""
-    growth = {5: 2.6, 10: 1.75, 20: 1.25, 40: 1.08, 60: 1.04}
-    return w4_error_vs_s_and_d(spark, sf_dir, tuple((d, growth[d]) for d in dims), shares=(s / D.table(spark, sf_dir, "lineitem").count(),), tau=taus[-1], trials=trials)
+def w5_error_vs_d(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
+    """Error against the number of columns, every level at every size: rises."""
+    g = _grid("w5", grid, own)
+    return _by_columns(spark, sf_dir, g["dims"], g["taus"], lambda n: g["sizes"], g)
 
 
-def w6_error_vs_tau(spark: SparkSession, sf_dir: str, taus=(0.05, 0.5, 0.75, 0.95, 0.98, 0.999), s: float = 3000, trials: int = 4) -> DataFrame:
+def w6_error_vs_tau(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
     """Error against the level: slow rise, then steep towards 1."""
+    g = _grid("w6", grid, own)
     d, q = shape_for(sf_dir)
-    design, ref, _ = skew_with_reference(spark, sf_dir, d, q, list(taus))
-    return error_table(design, ref, ["sparse_qr", "sparse_qr_round", "sparse_qr_qr"], [s], list(taus), trials)
+    design, ref, _ = skew_with_reference(spark, sf_dir, d, q, g["taus"])
+    out = error_table(design, ref, g["methods"], g["sizes"], g["taus"], g["trials"])
+    design.unpersist()
+    return out
 
 
 def timed(spark: SparkSession, design: DataFrame, methods: list[str], s: float, taus: list[float], label: dict) -> list[tuple]:
@@ -151,9 +231,9 @@ def timed(spark: SparkSession, design: DataFrame, methods: list[str], s: float,
         cond = None if m == "uniform" else condition(augment(design), m)
         t1 = time.time()
         samples, _ = quantreg.sampled(design, m, [s], 1, 5, conditioner=cond)
-        kept = samples.select("s", "trial", "b", "x", "w").toPandas()
+        kept = samples.select("s", "trial", "b", "x", "w").toArrow()
         t2 = time.time()
-        quantreg.solve_group(kept, taus, "ipm", m)
+        quantreg.solve_group(kept, taus, "ipm", m) if len(kept) else None
         t3 = time.time()
         out.append((m, float(s), *label.values(), t1 - t0, t2 - t1, t3 - t2, t3 - t0, (cond.passes if cond else 0) + 2, len(kept)))
     return out
@@ -162,82 +242,113 @@ def timed(spark: SparkSession, design: DataFrame, methods: list[str], s: float,
 TIME_SCHEMA = "method string, s double, n long, d int, t_condition double, t_sample double, t_solve double, t_total double, passes int, rows_kept long"
 
 
-def w7_time_vs_s(spark: SparkSession, sf_dir: str, shares=(0.01, 0.1), taus=(0.5, 0.75, 0.95), methods=None) -> DataFrame:
-    """Running time against sample size, three levels from one sample."""
+def w7_time_vs_s(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
+    """Running time against sample size, all levels from one sample, subproblems by the interior point."""
+    g = _grid("w7", grid, own)
     d, q = shape_for(sf_dir)
     design = D.skew_lineitem(spark, sf_dir, d, q).persist()
     n, rows = design.count(), []
-    for s in shares:
-        rows += timed(spark, design, list(methods or SAMPLERS), n * s, list(taus), {"n": n, "d": d})
+    for s in g["shares"]:
+        rows += timed(spark, design, g["methods"], n * s, g["taus"], {"n": n, "d": d})
+    design.unpersist()
     return spark.createDataFrame(rows, TIME_SCHEMA)
 
 
-def w8_time_vs_n(spark: SparkSession, sf_dir: str, copies=(1, 4), s: float = 3000, taus=(0.75,), methods=("interior_point", "merge_rows_exact", "sparse_qr", "sparse_qr_round", "sparse_qr_qr"), data: str = "census") -> DataFrame:
-    """Running time against the number of rows, exact comparators included."""
-    d, q = shape_for(sf_dir)
-    base = {"census": lambda: D.census_design(spark, sf_dir), "skew": lambda: D.skew_lineitem(spark, sf_dir, d, q), "gaussian": lambda: D.gaussian_design(spark, sf_dir, 11, 20)}[data]()
-    rows = []
-    for k in copies:
-        design = D.stack(base, k).persist()
-        n = design.count()
-        rows += timed(spark, design, list(methods), s, list(taus), {"n": n, "d": len(design.first().x)})
-        design.unpersist()
-    return spark.createDataFrame(rows, TIME_SCHEMA)
+def time_data(spark: SparkSession, sf_dir: str, kind: str) -> DataFrame:
+    """A data set of the running-time experiments: ``census``, ``skew`` or ``gaussian``, the latter with their number of columns."""
+    name, _, width = kind.partition(":")
+    if name == "census":
+        return D.census_design(spark, sf_dir)
+    d = int(width)
+    if name == "skew":
+        return D.skew_lineitem(spark, sf_dir, d, grown(d, D.table(spark, sf_dir, "lineitem").count()))
+    return D.gaussian_design(spark, sf_dir, d, 20)
 
 
-def w9_time_vs_d(spark: SparkSession, sf_dir: str, dims=(5, 10, 20), s: float = 2000, taus=(0.5,), methods=("sparse_qr", "sparse_qr_round", "sparse_qr_qr", "interior_point")) -> DataFrame:
-    """Running time against the number of columns."""
+def w8_time_vs_n(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
+    """Running time against the number of rows on several data sets, exact comparators included.
+
+    Shares below one are nested prefixes, numbers above one are stacked copies.
+    """
+    g = _grid("w8", grid, own)
     rows = []
-    for d in dims:
-        design = D.gaussian_design(spark, sf_dir, d, 8).persist()
-        rows += timed(spark, design, list(methods), s, list(taus), {"n": design.count(), "d": d})
+    for kind in g["data"]:
+        base = time_data(spark, sf_dir, kind)
+        for k in g["copies"]:
+            design = (D.prefix(base, k) if k < 1 else D.stack(base, int(k))).persist()
+            n = design.count()
+            rows += [(kind, *r) for r in timed(spark, design, g["methods"], g["s"], g["taus"], {"n": n, "d": len(design.first().x)})]
+            design.unpersist()
+    return spark.createDataFrame(rows, "data string, " + TIME_SCHEMA)
+
+
+def w9_time_vs_d(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
+    """Running time against the number of columns, skewed data."""
+    g = _grid("w9", grid, own)
+    n, rows = D.table(spark, sf_dir, "lineitem").count(), []
+    for d in g["dims"]:
+        design = D.skew_lineitem(spark, sf_dir, d, grown(d, n)).persist()
+        methods = [m for m in g["methods"] if m not in g["until"] or d <= g["until"][m]]
+        rows += timed(spark, design, methods, g["s"], g["taus"], {"n": design.count(), "d": d})
         design.unpersist()
     return spark.createDataFrame(rows, TIME_SCHEMA)
 
 
-def w10_census_curves(spark: SparkSession, sf_dir: str, taus=(0.1, 0.5, 0.9), s: float = 3000, trials: int = 10, replicates: int = 10, planted: bool = False) -> DataFrame:
+def w10_census_curves(spark: SparkSession, sf_dir: str, grid: str = "quick", planted: bool = False, **own) -> DataFrame:
     """Coefficients against the level: quartiles of sampled fits, bootstrap intervals, least-squares and l1 lines."""
+    g = _grid("w10", grid, own)
     design = (D.census_planted if planted else D.census_design)(spark, sf_dir).persist()
-    fits = sampled_fits(design, ["sparse_qr_qr"], [s], list(taus), trials)
+    s = max(g["least_s"], g["share"] * design.count())
+    fits = sampled_fits(design, ["sparse_qr_qr"], [s], g["taus"], g["trials"])
     quart = fits.select("tau", F.posexplode("beta").alias("j", "v")).groupBy("tau", "j").agg(F.percentile("v", 0.25).alias("q1"), F.percentile("v", 0.5).alias("median_fit"), F.percentile("v", 0.75).alias("q3"))
-    ci = quantreg.bootstrap_ci(design, list(taus), replicates)
+    ci = quantreg.bootstrap_ci(design, g["taus"], g["replicates"])
     ls, lad = quantreg.fit_ls(design), quantreg.fit_lad(design).beta
     lines = spark.createDataFrame([(j, D.CENSUS_NAMES[j], float(ls[j]), float(lad[j])) for j in range(len(ls))], "j int, coef string, ls double, lad double")
     return metrics.inside_interval(quart, ci).join(F.broadcast(lines), "j")
 
 
-def w11_stacked_errors(spark: SparkSession, sf_dir: str, copies: int = 4, share: float = 0.02, taus=(0.5, 0.75), trials: int = 4, methods=None) -> DataFrame:
+def w11_stacked_errors(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
     """Errors on stacked data, whose optimum is known from one copy."""
+    g = _grid("w11", grid, own)
     d, q = shape_for(sf_dir)
-    one = D.skew_lineitem(spark, sf_dir, d, q).persist()
-    ref = onehot_reference(one, list(taus), copies)
-    design = D.stack(one, copies).persist()
-    return error_table(design, ref, list(methods or SAMPLERS), [design.count() * share], list(taus), trials)
+    one = D.skew_lineitem(spark, sf_dir, d, q)
+    ref = onehot_reference(one, g["taus"], g["copies"])
+    design = D.stack(one, g["copies"]).persist()
+    out = error_table(design, ref, g["methods"], [design.count() * share for share in g["shares"]], g["taus"], g["trials"])
+    design.unpersist()
+    return out
 
 
-def w12_stacked_dims(spark: SparkSession, sf_dir: str, copies: int = 2, shapes=((5, 2.6), (10, 1.75)), sizes=(500, 5000), tau: float = 0.75, trials: int = 3, budget: float = 2e9) -> DataFrame:
+def w12_stacked_dims(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
     """Errors on stacked data by columns, by the rounding method; sizes that do not fit one solver are flagged."""
+    g = _grid("w12", grid, own)
+    n = D.table(spark, sf_dir, "lineitem").count()
     out = None
-    for d, q in shapes:
-        one = D.skew_lineitem(spark, sf_dir, d, q).persist()
-        ref = onehot_reference(one, [tau], copies)
-        fit = [s for s in sizes if sizing.fits_memory(s, d, budget)]
-        part = error_table(D.stack(one, copies).persist(), ref, ["sparse_qr_round"], fit, [tau], trials).withColumns({"d": F.lit(d), "solvable": F.lit(True)})
-        missing = [(s, d) for s in sizes if s not in fit]
+    for d in g["dims"]:
+        one = D.skew_lineitem(spark, sf_dir, d, grown(d, n))
+        ref = onehot_reference(one, [g["tau"]], g["copies"])
+        fit = [s for s in g["sizes"] if sizing.fits_memory(s, d, g["budget"])]
+        design = D.stack(one, g["copies"]).persist()
+        part = error_table(design, ref, ["sparse_qr_round"], fit, [g["tau"]], g["trials"]).withColumns({"d": F.lit(d), "solvable": F.lit(True)})
+        missing = [(s, d) for s in g["sizes"] if s not in fit]
         if missing:
-            part = part.unionByName(spark.createDataFrame([("sparse_qr_round", float(s), tau, "l2", None, None, None, 0, 0, d, False) for s, d in missing], part.schema))
+            part = part.unionByName(spark.createDataFrame([("sparse_qr_round", float(s), g["tau"], "l2", None, None, None, 0, 0, d, False) for s, d in missing], part.schema))
+        design.unpersist()
         out = part if out is None else out.unionByName(part)
     return out
 
 
-def w13_census_table(spark: SparkSession, sf_dir: str, copies: int = 2, s: float = 5000, taus=(0.1, 0.25, 0.5, 0.75, 0.9), trials: int = 6) -> DataFrame:
+def w13_census_table(spark: SparkSession, sf_dir: str, grid: str = "quick", **own) -> DataFrame:
     """Census coefficients on stacked data: the exact value and the quartiles of sampled fits."""
+    g = _grid("w13", grid, own)
     one = D.census_design(spark, sf_dir).persist()
-    ref = exact_reference(one, list(taus))
-    fits = sampled_fits(D.stack(one, copies).persist(), ["sparse_qr_round"], [s], list(taus), trials)
+    ref = exact_reference(one, g["taus"])
+    fits = sampled_fits(D.stack(one, g["copies"]), ["sparse_qr_round"], [g["s"]], g["taus"], g["trials"])
     quart = fits.select("tau", F.posexplode("beta").alias("j", "v")).groupBy("tau", "j").agg(F.percentile("v", 0.25).alias("q1"), F.percentile("v", 0.75).alias("q3"))
     points = spark.createDataFrame([(t, j, D.CENSUS_NAMES[j], v) for t, b, _ in ref for j, v in enumerate(b)], "tau double, j int, coef string, point double")
-    return points.join(quart, ["tau", "j"])
+    out = points.join(quart, ["tau", "j"])
+    one.unpersist()
+    return out
 
 
 def w14_duplicates(spark: SparkSession, sf_dir: str, copies: int = 3, taus=(0.5, 0.75)) -> DataFrame:
@@ -274,3 +385,77 @@ def theory_table(spark: SparkSession, d: int = 12, n: int = 10**6) -> DataFrame:
         k = sizing.kappa_bound(m, d, n)
         rows.append((m, d, n, float(k), float(sizing.size_quantile(k, d, 0.1, 0.75)) if np.isfinite(k) else float("inf")))
     return spark.createDataFrame(rows, "method string, d int, n long, kappa_bound double, size_tau75 double")
+
+
+# --- what the reference reports of each table ---------------------------------------
+
+NAIVE, IMPROVED = ("identity", "uniform"), ("sparse_qr_round", "sparse_qr_qr")
+
+
+def _mean(rows: list, value, **where) -> float:
+    kept = [value(r) for r in rows if all(r[k] in v if isinstance(v, (tuple, list, set)) else r[k] == v for k, v in where.items())]
+    return float(np.mean(kept)) if kept else float("nan")
+
+
+def _errors(table: DataFrame, measure: str = "l2") -> list:
+    return table.where(F.col("measure") == measure).collect()
+
+
+def _median(r) -> float:
+    return r["median"]
+
+
+def _falls(rows: list, key: str, **where) -> bool:
+    """Whether the mean of the medians is smaller at the largest value of a key than at the smallest."""
+    values = sorted({r[key] for r in rows})
+    return _mean(rows, _median, **{key: values[-1]}, **where) < _mean(rows, _median, **{key: values[0]}, **where)
+
+
+def claims(name: str, table: DataFrame) -> list[tuple[str, bool]]:
+    """Statements of the reference about a workload's table, and whether they hold; the table is a grid of parameters."""
+    key = name.split("_")[0]
+    if key in ("w7", "w8", "w9"):
+        rows = table.collect()
+        sampled = [r for r in rows if r.method not in EXACT and r.method not in NAIVE]
+        out = [("conditioned samplers visit the data more often than naive ones, whatever the size", {r.passes for r in sampled} <= {3, 5} and all(r.passes == 2 for r in rows if r.method in NAIVE))]
+        out.append(("fewer rows are kept than asked for", all(r.rows_kept <= 1.1 * r.s for r in sampled)))
+        out.append(("parts add up to the whole", all(abs(r.t_condition + r.t_sample + r.t_solve - r.t_total) < 0.05 + 0.01 * r.t_total for r in rows if r.method not in EXACT)))
+        if key == "w8":
+            kept = [r.rows_kept for r in sampled]
+            out.append(("the subproblem does not grow with the rows", max(kept) < 2 * min(kept)))
+        return out
+    if key in ("w10", "w13"):
+        rows = table.collect()
+        if key == "w13":
+            near = [abs((r.q1 + r.q3) / 2 - r.point) <= 0.1 * abs(r.point) + 0.05 for r in rows]
+            return [("sampled coefficients lie around the exact ones", float(np.mean(near)) >= 0.9)]
+        inside = [r.lo - 0.5 * (r.hi - r.lo) - 0.02 <= r.median_fit <= r.hi + 0.5 * (r.hi - r.lo) + 0.02 for r in rows]
+        return [("medians lie in or close to the bootstrap band", float(np.mean(inside)) >= 0.8), ("the least-squares line is one for all levels", len({(r.j, r.ls) for r in rows}) == len({r.j for r in rows}))]
+    if key == "w15":
+        rows = table.collect()
+        return [("no sampled fit beats the exact one", all(r.excess >= -1e-9 for r in rows)), ("sampled losses are near the optimum", float(np.median([r.excess for r in rows if r.method == "sparse_qr_qr"])) < 0.25)]
+    rows = _errors(table.where("solvable") if key == "w12" else table)
+    out = [("no trial failed", all(r.n_failed == 0 for r in rows if r.method not in NAIVE))]
+    if key in ("w1", "w11"):
+        largest = max(r.s for r in rows)
+        naive = min(_mean(rows, _median, s=largest, method=m) for m in NAIVE)
+        out.append(("improved conditioners beat naive sampling", all(_mean(rows, _median, s=largest, method=m) < naive for m in IMPROVED)))
+    if key in ("w1", "w2", "w4", "w12"):
+        if key == "w2":
+            out.append(("errors fall with the sample size at every number of rows", all(_falls([r for r in rows if r.n == n], "s", method=IMPROVED) for n in {r.n for r in rows})))
+        else:
+            out.append(("errors fall with the sample size", _falls(rows, "s", method=IMPROVED)))
+    if key == "w3":
+        means = [_mean(rows, _median, n=n) for n in sorted({r.n for r in rows})]
+        out.append(("errors are about constant in the number of rows", max(means) < 2 * min(means)))
+    if key in ("w4", "w5", "w12"):
+        values = sorted({r.d for r in rows})
+        out.append(("errors rise with the number of columns", _mean(rows, _median, d=values[-1]) > _mean(rows, _median, d=values[0])))
+    if key == "w5":
+        out.append(("every level has its rows", len({(r.d, r.tau) for r in rows}) == len({r.d for r in rows}) * len({r.tau for r in rows})))
+    if key == "w6":
+        by = {t: _mean(rows, _median, tau=t) for t in sorted({r.tau for r in rows})}
+        out.append(("errors rise towards extreme levels", by[max(by)] > by[0.95] > by[0.5] and by[0.95] < 8 * by[0.5]))
+    if key == "w12":
+        out.append(("points that no solver can hold are missing", table.where("not solvable").count() == len({r.d for r in rows}) and all(r.s < 1e8 for r in rows)))
+    return out

@@ -44,6 +44,31 @@ def src_schema_roundtrip(spark, sf_dir):
     return out
 
 
+@query("SELECT count(*) AS n, count(*) FILTER (n_regionkey < 2) AS with_region, sum(n_nationkey)::bigint AS keys FROM nation")
+def src_merged_schema(spark, sf_dir):
+    """Files of different columns read as one table: absent columns are null."""
+    nation, path = t(spark, sf_dir, "nation"), storage.scratch(spark, "merged")
+    nation.where("n_regionkey < 2").write.parquet(path)
+    nation.where("n_regionkey >= 2").drop("n_regionkey").write.mode("append").parquet(path)
+    merged = spark.read.option("mergeSchema", True).parquet(path)
+    return merged.agg(F.count("*").alias("n"), F.count("n_regionkey").alias("with_region"), F.sum("n_nationkey").cast("long").alias("keys"))
+
+
+@query("SELECT count(*) AS n, sum(length(n_name))::bigint AS letters FROM nation")
+def src_text_lines(spark, sf_dir):
+    path = storage.scratch(spark, "text")
+    t(spark, sf_dir, "nation").select("n_name").write.text(path)
+    return spark.read.text(path).agg(F.count("*").alias("n"), F.sum(F.length("value")).cast("long").alias("letters"))
+
+
+@query("SELECT typeof(n_nationkey) IN ('INTEGER', 'BIGINT') AS whole, count(*) AS n FROM nation GROUP BY 1")
+def src_inferred_schema(spark, sf_dir):
+    path = storage.scratch(spark, "inferred")
+    t(spark, sf_dir, "nation").write.option("header", True).csv(path)
+    read = spark.read.option("header", True).option("inferSchema", True).csv(path)
+    return read.agg(F.count("*").alias("n")).select(F.lit(dict(read.dtypes)["n_nationkey"] in ("int", "bigint")).alias("whole"), "n")
+
+
 @query("SELECT year(o_orderdate) AS yr, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM orders WHERE year(o_orderdate) = 1997 GROUP BY 1")
 def src_partitioned_sink(spark, sf_dir):
     path = storage.write_partitioned(t(spark, sf_dir, "orders").withColumn("yr", F.year("o_orderdate")), "yr", "orders")
@@ -265,10 +290,17 @@ def agg_quantiles(spark, sf_dir):
     return t(spark, sf_dir, "events").groupBy("event_type").agg(*cols)
 
 
-@query()
+@query("SELECT event_type, quantile_disc(value, 0.5) AS exact_median, true AS near_by_rank, true AS near_by_kll, true AS near_users FROM events GROUP BY 1")
 def agg_quantiles_approx(spark, sf_dir):
+    """Approximate medians (rank sketch, KLL sketch) within two per cent of rank, distinct users within five per cent."""
     ev = t(spark, sf_dir, "events")
-    return ev.groupBy("event_type").agg(F.percentile_approx("value", [0.5, 0.95], 1000).alias("approx"), F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY value)").alias("exact_median"), F.approx_count_distinct("user_id").alias("users"))
+    exact = [F.expr(f"percentile_disc({p}) WITHIN GROUP (ORDER BY value)") for p in (0.48, 0.5, 0.52)]
+    kll = F.expr("kll_sketch_get_quantile_double(kll_sketch_agg_double(value), 0.5D)")
+    users = F.abs(F.approx_count_distinct("user_id", 0.01) / F.count_distinct("user_id") - 1)
+    return ev.groupBy("event_type").agg(
+        exact[1].alias("exact_median"), F.percentile_approx("value", 0.5, 1000).between(exact[0], exact[2]).alias("near_by_rank"),
+        kll.between(exact[0], exact[2]).alias("near_by_kll"), (users < 0.05).alias("near_users"),
+    )
 
 
 @query("""WITH r AS (SELECT l_linestatus AS s, l_extendedprice AS v, sum(l_quantity) OVER (PARTITION BY l_linestatus ORDER BY l_extendedprice RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS run, sum(l_quantity) OVER (PARTITION BY l_linestatus) AS total FROM lineitem)
@@ -491,61 +523,94 @@ def udf_sql_function(spark, sf_dir):
 
 # --- streams ----------------------------------------------------------------------------------------
 
+FILES = 4
+LATE = 50  # every such event arrives last, whatever its time
+
+
+def _arriving(spark, sf_dir, late: bool = True) -> DataFrame:
+    """Events in time order, four files of a trigger each, and late events in a fifth."""
+    slot = streams.time_slot(spark, sf_dir, FILES)
+    number = F.when(F.col("event_id") % LATE == 7, FILES).otherwise(slot) if late else slot
+    return streams.events_stream(spark, sf_dir, 1, streams.events_in_files(spark, sf_dir, number, FILES + late))
+
 
-@query(f"SELECT date_trunc('day', ts)::timestamp AS start, event_type, count(*) AS n, round(sum({pin_sql('value - 40', 0.75)}), 4) AS loss FROM events GROUP BY ALL")
+@query(f"SELECT date_trunc('day', ts)::timestamp AS start, event_type, count(*) AS n, round(sum({pin_sql('value - 40', 0.75)}), 4) AS loss, quantile_disc(value, 0.75) AS q FROM events GROUP BY ALL")
 def stream_windows(spark, sf_dir):
-    out = streams.drain(streams.window_losses(streams.events_stream(spark, sf_dir), 40.0, 0.75), "complete")
-    return out.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", "loss")
+    out = streams.drain(streams.window_losses(_arriving(spark, sf_dir), 40.0, 0.75), "complete")
+    return out.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", "loss", "q")
 
 
 @query("SELECT (to_timestamp(0)::timestamp + INTERVAL 6 HOUR * (floor(epoch(ts) / 21600)::bigint - k))::timestamp AS start, event_type, count(*) AS n FROM events, range(2) AS r(k) GROUP BY ALL".replace("to_timestamp(0)::timestamp", "TIMESTAMP '1970-01-01'"))
 def stream_sliding(spark, sf_dir):
-    out = streams.drain(streams.window_losses(streams.events_stream(spark, sf_dir), 40.0, 0.75, "12 hours", "6 hours"), "complete")
+    out = streams.drain(streams.window_losses(_arriving(spark, sf_dir), 40.0, 0.75, "12 hours", "6 hours"), "complete")
     return out.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n")
 
 
-@query("""WITH g AS (SELECT *, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 6 HOUR OR lag(ts) OVER w IS NULL THEN 1 ELSE 0 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+@query(f"""WITH g AS (SELECT *, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 6 HOUR OR lag(ts) OVER w IS NULL THEN 1 ELSE 0 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
 s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS k FROM g)
-SELECT user_id, min(ts) AS start, count(*) AS n FROM s GROUP BY user_id, k""")
+SELECT user_id, min(ts) AS start, count(*) AS n, round(sum({pin_sql('value - 40', 0.75)}), 4) AS loss FROM s GROUP BY user_id, k""")
 def stream_sessions(spark, sf_dir):
-    out = streams.drain(streams.session_losses(streams.events_stream(spark, sf_dir), 40.0, 0.75), "complete")
-    return out.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "n")
+    out = streams.drain(streams.session_losses(_arriving(spark, sf_dir, late=False), 40.0, 0.75), "complete")
+    return out.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "n", "loss")
 
 
-@query("SELECT count(*) AS n, count(DISTINCT event_id) AS ids FROM events")
+LATE_SQL = f"""
+WITH b AS (SELECT min(floor(epoch(ts))) AS lo, max(floor(epoch(ts))) AS hi FROM events), e AS (SELECT *, floor({FILES} * (floor(epoch(ts)) - lo) / (hi - lo + 1)) AS slot FROM events, b),
+m AS (SELECT max(ts) AS seen FROM e WHERE event_id % {LATE} <> 7 AND slot < {FILES - 1})
+SELECT count(*) AS n, count(DISTINCT event_id) AS ids FROM e, m WHERE event_id % {LATE} <> 7 OR ts > seen - INTERVAL 2 HOUR"""
+
+
+@query(LATE_SQL)
 def stream_late(spark, sf_dir):
-    out = streams.drain(streams.deduplicated(streams.events_stream(spark, sf_dir)))
+    """Rows behind the watermark are dropped, the others stay once each; a batch is filtered by the watermark that the batch before it had."""
+    out = streams.drain(streams.deduplicated(_arriving(spark, sf_dir)))
+    return out.agg(F.count("*").alias("n"), F.countDistinct("event_id").alias("ids"))
+
+
+@query("SELECT count(*) AS n, count(DISTINCT event_id) AS ids FROM events")
+def stream_repeated(spark, sf_dir):
+    """Files that arrive twice: their rows count once."""
+    path = streams.events_in_files(spark, sf_dir, streams.time_slot(spark, sf_dir, 2), 2)
+    spark.read.parquet(path).coalesce(2).write.mode("append").parquet(path)
+    out = streams.drain(streams.deduplicated(streams.events_stream(spark, sf_dir, 1, path), "100 days"))
     return out.agg(F.count("*").alias("n"), F.countDistinct("event_id").alias("ids"))
 
 
 @query(f"SELECT bucket, {significant_sql('v0')}, {significant_sql('v1')} FROM ({sketch_sql(CAUCHY_SQL)})")
 def stream_sketch(spark, sf_dir):
-    out = streams.drain(streams.sketch_stream(streams.events_stream(spark, sf_dir), R, SEED), "complete")
+    out = streams.drain(streams.sketch_stream(_arriving(spark, sf_dir), R, SEED), "complete")
     return out.select("bucket", *significant("v0"), *significant("v1"))
 
 
 @query(f"SELECT event_type, event_id FROM (SELECT event_type, event_id, row_number() OVER (PARTITION BY event_type ORDER BY {rnd.unit_sql(SEED, chr(39) + 'coin0' + chr(39), 'event_id')} / (abs(value) + 1)) AS k FROM events) WHERE k <= 20")
 def stream_sample(spark, sf_dir):
-    out = streams.drain(streams.online_sample(streams.events_stream(spark, sf_dir), 20, SEED), "update")
+    out = streams.drain(streams.online_sample(_arriving(spark, sf_dir), 20, SEED), "update")
     return rel.top_per_group(out.dropDuplicates(["event_id"]), "event_type", [F.col("ratio")], 20).select("event_type", "event_id")
 
 
 @query("SELECT v.event_id AS view_id, c.event_id AS click_id FROM events v JOIN events c ON v.user_id = c.user_id AND c.ts >= v.ts AND c.ts <= v.ts + INTERVAL 1 HOUR WHERE v.event_type = 'view' AND c.event_type = 'click'")
 def stream_join(spark, sf_dir):
-    return streams.drain(streams.views_then_clicks(streams.events_stream(spark, sf_dir)))
+    return streams.drain(streams.views_then_clicks(_arriving(spark, sf_dir, late=False)))
 
 
 @query("SELECT event_type, round(sum(value - q), 4) AS total FROM events JOIN (SELECT event_type, quantile_disc(value, 0.5) AS q FROM events GROUP BY 1) USING (event_type) GROUP BY 1")
 def stream_static_join(spark, sf_dir):
     fits = t(spark, sf_dir, "events").groupBy("event_type").agg(F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY value)").alias("q"))
-    out = streams.drain(streams.join_fits(streams.events_stream(spark, sf_dir), fits))
+    out = streams.drain(streams.join_fits(_arriving(spark, sf_dir), fits))
     return out.groupBy("event_type").agg(F.round(F.sum("residual"), 4).alias("total"))
 
 
-@query(" UNION ALL ".join(f"SELECT count(*) AS n, {p}::double AS tau, quantile_disc(value, {p}) AS q FROM events" for p in (0.5, 0.95)))
+@query(" UNION ALL ".join(f"SELECT event_id % 3 AS batch, count(*) AS n, {p}::double AS tau, quantile_disc(value, {p}) AS q FROM events GROUP BY 1" for p in (0.5, 0.95)))
 def stream_refit(spark, sf_dir):
-    rows = streams.refit_each_batch(streams.events_stream(spark, sf_dir), [0.5, 0.95])
-    return spark.createDataFrame([(n, tau, q) for _, n, tau, q in rows], "n long, tau double, q double")
+    path = streams.events_in_files(spark, sf_dir, F.col("event_id") % 3, 3)
+    rows = streams.refit_each_batch(streams.events_stream(spark, sf_dir, 1, path), [0.5, 0.95])
+    return spark.createDataFrame(rows, "batch long, n long, tau double, q double")
+
+
+@query("SELECT 100 AS n, 4950 AS total")
+def stream_rate(spark, sf_dir):
+    out = streams.drain(streams.rate_stream(spark, 100))
+    return out.agg(F.count("*").cast("int").alias("n"), F.sum("value").cast("int").alias("total"))
 
 
 @query(PAIRS_SQL.replace("SELECT round(min(f), 5) AS objective, round(arg_min(c0, f), 6) AS beta0, round(arg_min(c1, f), 6) AS beta1 FROM f", "SELECT round(arg_min(c0, f), 6) AS beta0 FROM f"))

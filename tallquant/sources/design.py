@@ -177,6 +177,19 @@ def gaussian_design(spark: SparkSession, sf_dir: str, d: int = 11, copies: int =
     return rows.select("row_id", F.when(F.col("o") < 0.001, 500.0 * F.col("e")).otherwise(signal + F.col("e")).alias("b"), "x", F.lit(1.0).alias("w"))
 
 
+def gaussian_sql(d: int, copies: int, seed: int = 5) -> str:
+    """DuckDB text of the portable Gaussian design: row_id, b, x."""
+    truth = skew_truth(d, seed)
+    scale = 0.2 * math.sqrt(sum(t * t for t in truth) / 2)
+    u = lambda s: rnd.unit_sql(seed, f"'{s}'", "row_id")
+    normal = lambda j: f"sqrt(-2.0 * ln({u(f'ga{j}')})) * cos({2 * math.pi!r} * {u(f'gb{j}')})"
+    cells = ", ".join(f"8.0 * embedding[{j + 1}]::double + 0.1 * {normal(j)}" for j in range(d))
+    signal = " + ".join(f"x[{j + 1}] * {t!r}::double" for j, t in enumerate(truth))
+    return f"""SELECT row_id, x, CASE WHEN o < 0.001 THEN 500.0 * e ELSE {signal} + e END AS b FROM (
+SELECT row_id, [{cells}] AS x, {scale!r}::double * (-sign({u("noise")} - 0.5) * ln(1.0::double - 2.0 * abs({u("noise")} - 0.5))) AS e, {u("outlier")} AS o
+FROM (SELECT vec_id || '#' || copy AS row_id, embedding FROM embeddings, range({copies}) AS c(copy)))"""
+
+
 CENSUS_NAMES = ["intercept", "status_o", "y1996", "y1997", "y1998", "y1999", "y2000", "flag_r", "order_f", "e", "e2"]
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -11,12 +12,23 @@ from tallquant.operators.conditioning import Conditioner
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    """A fresh path in the shared folder (``spark.checkpoint.dir``), or in a temporary one where it is unset."""
+    """A fresh path in the shared folder (``spark.checkpoint.dir``), which goes when the application ends.
+
+    Where the folder is unset, a local master gets a temporary one; on a cluster,
+    whose executors could not see that, it is an error.
+    """
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         root = "file://" + tempfile.mkdtemp(prefix="tallquant_")
         spark.sparkContext.setCheckpointDir(root)
-    return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex[:10]}"
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    folder = jvm.org.apache.hadoop.fs.Path(f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex[:10]}")
+    fs = folder.getFileSystem(conf)
+    fs.mkdirs(folder)
+    fs.deleteOnExit(folder)
+    return f"{folder.toString()}/data"
 
 
 def save_conditioner(spark: SparkSession, c: Conditioner, path: str) -> None:

@@ -6,7 +6,7 @@ import uuid
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tallquant.functions import randomness as rnd
@@ -14,9 +14,24 @@ from tallquant.functions.loss import pinball
 from tallquant.sources.storage import scratch
 
 
-def events_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int | None = None) -> DataFrame:
-    """The events as a file stream; the naive timestamps are read as the session's (UTC)."""
-    path = f"{sf_dir}/events.parquet"
+def events_in_files(spark: SparkSession, sf_dir: str, number: Column, files: int) -> str:
+    """The events as a folder of files that arrive one after the other, dealt by a file number."""
+    path = scratch(spark, "events")
+    events = spark.read.parquet(f"{sf_dir}/events.parquet").withColumn("_file", number)
+    for k in range(files):
+        events.where(F.col("_file") == k).drop("_file").coalesce(1).write.mode("append").parquet(path)
+    return path
+
+
+def time_slot(spark: SparkSession, sf_dir: str, files: int) -> Column:
+    """Files of equal stretches of time."""
+    low, high = spark.read.parquet(f"{sf_dir}/events.parquet").agg(F.min(F.unix_timestamp(F.col("ts").cast("timestamp"))), F.max(F.unix_timestamp(F.col("ts").cast("timestamp")))).first()
+    return F.floor(files * (F.unix_timestamp(F.col("ts").cast("timestamp")) - low) / (high - low + 1)).cast("int")
+
+
+def events_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int | None = None, path: str | None = None) -> DataFrame:
+    """The events as a file stream, of ``path`` if given; the naive timestamps are read as the session's (UTC)."""
+    path = path or f"{sf_dir}/events.parquet"
     schema = spark.read.parquet(path).schema
     reader = spark.readStream.schema(schema)
     if files_per_trigger:
@@ -24,6 +39,11 @@ def events_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int | Non
     return reader.parquet(path + "*").withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def rate_stream(spark: SparkSession, rows: int) -> DataFrame:
+    """The built-in source of numbered rows, one micro-batch of them."""
+    return spark.readStream.format("rate-micro-batch").option("rowsPerBatch", rows).load()
+
+
 def drain(stream: DataFrame, mode: str = "append", name: str | None = None) -> DataFrame:
     """Run until the source is empty and return what the memory sink holds."""
     spark = stream.sparkSession
@@ -97,7 +117,7 @@ def refit_each_batch(events: DataFrame, taus: list[float]) -> list[tuple]:
 
 def join_fits(events: DataFrame, fits: DataFrame) -> DataFrame:
     """Stream-static join: residuals under a table of fits (event_type, q)."""
-    return events.join(F.broadcast(fits), "event_type").select("event_id", "event_type", (F.col("value") - F.col("q")).alias("residual"))
+    return events.join(fits, "event_type").select("event_id", "event_type", (F.col("value") - F.col("q")).alias("residual"))
 
 
 def views_then_clicks(events: DataFrame, late: str = "1 hour", within: str = "1 hour") -> DataFrame:

@@ -169,6 +169,9 @@ def test_empty_design(spark, small):
     empty = D.onehot_events(spark, small).drop("grp").where("false")
     assert L.objective(empty, [0.0] * 5, 0.5).first()[0] is None
     assert quantreg.onehot_fit(empty, 0.5).count() == 0
+    assert quantreg.quantile_fit(empty, [0.5], s=10.0).count() == 0 and quantreg.quantile_fit(empty, [0.5], eps=0.1).count() == 0 and quantreg.exact_fit(empty, [0.5]).count() == 0
+    with pytest.raises(ValueError, match="without rows"):
+        quantreg.preprocess_exact(empty, 0.5)
 
 
 def test_standardise_back(spark, small):
@@ -253,3 +256,68 @@ def test_sample_with_replacement_keeps_the_total_weight(spark, share):
     frame = spark.range(n).select(F.col("id").alias("row_id"), F.lit(1.0).alias("w"))
     total, most = sampling.sample_uniform(frame, share * n, 3, n=n, replace=True).agg(F.sum("w"), F.max(F.col("w") * share)).first()
     assert total == pytest.approx(n, rel=0.03) and most > 1.5
+
+
+def test_light_passes_give_the_same_sample(spark, small):
+    """Sums first, then only surviving rows: the rows of the general functions."""
+    design = D.census_design(spark, small)
+    rinv = C.condition(L.augment(design), "sparse_qr").rinv
+    got = {(r.row_id, r.s, r.trial): r.w for r in sampling.sample_design(design, rinv, [100.0, 400.0], 3, 5).collect()}
+    normed = sampling.row_norms(L.augment(design), rinv, how="exact")
+    want = {(r.row_id, r.s, r.trial): r.w for r in sampling.sample_trials(normed, [100.0, 400.0], 3, 5).collect()}
+    assert got.keys() == want.keys() and len(got) > 1000 and all(got[k] == pytest.approx(want[k], rel=1e-6) for k in got)
+    assert sampling.sample_design(design.where("false"), rinv, [100.0], 2, 5).count() == 0
+
+
+def test_one_pass_sample_scans_once(spark, small):
+    """The pass that sums also keeps; every partition keeps about s rows at most."""
+    design = D.onehot_events(spark, small).drop("grp").repartition(7).withColumn("lam", F.abs("b") + 1.0)
+    seen = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for batch in batches:
+            seen.add(len(batch))
+            yield batch
+
+    counted = design.mapInArrow(count, design.schema)
+    one = {r.row_id: r.w for r in sampling.sample_rows(counted, 50, 5, passes=1).collect()}
+    assert seen.value == design.count()
+    assert one == pytest.approx({r.row_id: r.w for r in sampling.sample_rows(design, 50, 5).collect()})
+
+
+def test_solvers_by_name(spark, small):
+    from tallquant.operators.solvers import solve_weighted
+
+    x, b, w = quantreg.local_matrix(D.onehot_events(spark, small))
+    fits = {how: solve_weighted(x, b, w, 0.75, how) for how in ("auto", "quantile", "ipm")}
+    assert fits["ipm"].iterations > 3 and fits["quantile"].iterations == fits["auto"].iterations == 0
+    assert fits["ipm"].objective == pytest.approx(fits["quantile"].objective, rel=1e-9)
+    x, b, w = quantreg.local_matrix(D.supplier_design(spark, small))
+    assert solve_weighted(x, b, w, 0.75).iterations > 3
+    with pytest.raises(ValueError, match="several nonzeros"):
+        solve_weighted(x, b, w, 0.75, "quantile")
+
+
+def test_wide_sketch_in_bounded_blocks(spark, small, monkeypatch):
+    """Beyond the width of one SQL aggregate rows are added up in blocks, whatever the height: the sketch is the same."""
+    rows = L.augment(D.census_design(spark, small))
+    want = S.as_matrix(S.sparse_cauchy(rows, 500, 3))
+    monkeypatch.setattr(S, "SQL_WIDTH", 5)
+    monkeypatch.setattr(S, "HELD_BYTES", 5000)
+    assert S.as_matrix(S.sparse_cauchy(rows, 500, 3)) == pytest.approx(want, rel=1e-9, abs=1e-6)
+    assert S.factor(S.sparse_cauchy(rows, 500, 3)) == pytest.approx(linalg.positive_r(want), rel=1e-6, abs=1e-6)
+
+
+def test_conditioning_of_many_columns(spark, medium):
+    """A sketch far taller than the driver would like: R is columns by columns."""
+    design = D.skew_lineitem(spark, medium, 120, X.grown(120, 60_000))
+    c = C.condition(L.augment(design), "sparse_qr", sketch_rows=40_000)
+    assert c.r.shape == (121, 121) and np.isfinite(c.rinv).all()
+
+
+def test_workload_grids():
+    assert X.GRIDS["quick"].keys() == X.GRIDS["paper"].keys()
+    assert all(X.GRIDS["quick"][k].keys() == X.GRIDS["paper"][k].keys() for k in X.GRIDS["quick"])
+    with pytest.raises(ValueError, match="no parameter"):
+        X._grid("w1", "quick", {"sizes": 3})
+    assert 165 < 60_000 * (X.grown(10, 60_000) - 1) / (X.grown(10, 60_000) ** 10 - 1) < 175
