@@ -19,12 +19,20 @@ from pyspark.sql import functions as F  # noqa: E402
 from tallquant.functions.loss import augment, objective_many  # noqa: E402
 from tallquant.operators import quantreg, sampling  # noqa: E402
 from tallquant.operators import sketch as S  # noqa: E402
+from tallquant.operators import sparse  # noqa: E402
 from tallquant.operators.conditioning import condition  # noqa: E402
 from tallquant.plans import experiments as X  # noqa: E402
 from tallquant.session import local_session, ship  # noqa: E402
 from tallquant.sources import design as D  # noqa: E402
 
 TAUS = [0.5, 0.75, 0.95]
+#: Copies of the census rows in the comparison of sampled and exact fits at a size where sampling pays.
+STACK = 8
+
+
+def three_levels(x, b):
+    """All rows on the driver, one interior point a level, like the three levels of a sampled fit."""
+    return [quantreg.interior_point(x, b, tau) for tau in TAUS]
 
 
 def main() -> None:
@@ -39,19 +47,27 @@ def main() -> None:
     census.count()
     s = min(50_000.0, 0.1 * n)
 
-    def fit(design, method):
-        return quantreg.quantile_fit(design, TAUS, s=s, conditioning=method).collect()
+    big = D.stack(census, STACK)
+
+    def fit(design, method, size=s):
+        return quantreg.quantile_fit(design, TAUS, s=size, conditioning=method, solver="ipm").collect()
 
     queries = {
-        "sketch_sparse_cauchy": lambda: S.as_matrix(S.sparse_cauchy(augment(skew), S.practical_rows(d + 1), 1)),
+        "sketch_sparse_cauchy": lambda: S.factor(S.sparse_cauchy(augment(skew), S.practical_rows(d + 1), 1)),
         "row_norms_exact": lambda: sampling.row_norms(augment(skew), X.np.eye(d + 1), how="exact").agg(F.sum("lam")).collect(),
         "objective_150_candidates": lambda: objective_many(skew, [(k, [0.01 * k] * d, 0.75) for k in range(150)]).collect(),
         **{f"fit_skew_{m}": (lambda m=m: fit(skew, m)) for m in ("sparse_qr", "sparse_qr_round", "sparse_qr_qr", "dense_qr", "identity", "uniform")},
         "fit_census_sparse_qr_qr": lambda: fit(census, "sparse_qr_qr"),
-        "exact_census_merge_rows": lambda: quantreg.preprocess_exact(census, 0.75),
-        "exact_census_interior_point": lambda: quantreg.interior_point(*quantreg.local_matrix(census)[:2], 0.75),
+        "exact_census_merge_rows": lambda: [quantreg.preprocess_exact(census, tau) for tau in TAUS],
+        "exact_census_interior_point": lambda: three_levels(*quantreg.local_matrix(census)[:2]),
         "exact_onehot_bracket": lambda: quantreg.onehot_fit(skew, 0.75, how="bracket").collect(),
-        "condition_round_full": lambda: condition(augment(census), "round_fast"),
+        "exact_onehot_window": lambda: quantreg.onehot_fit(skew, 0.75, how="window").collect(),
+        "condition_round_fast": lambda: condition(augment(census), "round_fast"),
+        "condition_round_full": lambda: condition(augment(census), "round_full"),
+        "fit_skew_sparse_rows": lambda: sparse.quantile_fit(D.to_sparse(skew), d, TAUS, s=s, solver="ipm").collect(),
+        f"fit_census_x{STACK}_sparse_qr_qr": lambda: fit(big, "sparse_qr_qr", 50_000.0),
+        f"exact_census_x{STACK}_merge_rows": lambda: [quantreg.preprocess_exact(big, tau) for tau in TAUS],
+        f"exact_census_x{STACK}_interior_point": lambda: three_levels(*quantreg.local_matrix(big)[:2]),
         "samples_50_trials": lambda: sampling.sample_trials(skew.withColumn("lam", F.lit(1.0)), [s / 10], 50, 1).count(),
     }
     fit(D.prefix(skew, 0.05), "sparse_qr_qr")

@@ -31,7 +31,7 @@ class Conditioner:
         return [(self.method, i, j, float(self.r[i, j]), float(self.rinv[i, j]), float(self.kappa_bound)) for i in range(len(self.r)) for j in range(len(self.r))]
 
 
-def _usable(r: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def usable(r: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Columns without a pivot get a unit one, so R can be inverted; they are reported by rank_report."""
     keep = linalg.rank_report(r)
     r = r.copy()
@@ -42,7 +42,7 @@ def _usable(r: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _finish(method: str, r: np.ndarray, passes: int, start: float, n: int, **notes) -> Conditioner:
-    r, keep = _usable(r)
+    r, keep = usable(r)
     return Conditioner(method, r, np.linalg.inv(r), passes, time.time() - start, sizing.kappa_bound(method, len(r), n), {"independent": keep.tolist(), **notes})
 
 
@@ -78,7 +78,7 @@ def condition(
     first = sketch.factor(build(frame, r1, seed, column=column, **options), factor)
     if method in ("sparse_qr", "dense_qr", "fast_qr", "exponential_qr"):
         return _finish(method, first, 1, start, n, sketch_rows=r1)
-    first, _ = _usable(first)
+    first, _ = usable(first)
     s1 = l1_sample or max(2000, 20 * d * d)
     normed = sampling.row_norms(frame, np.linalg.inv(first), how="exact", column=column)
     part = sampling.sample_rows(normed, s1, seed + 1, engine=engine)
@@ -88,7 +88,7 @@ def condition(
         if method == "sparse_qr_qr":
             r = linalg.positive_r(a)
         else:
-            r0, _ = _usable(linalg.positive_r(a))
+            r0, _ = usable(linalg.positive_r(a))
             r, _ = linalg.round_slab(lambda rinv: linalg.local_slab_stats(a, rinv), r0) if rounding == "slab" else linalg.round_density(linalg.local_density_gram(a), r0.T @ r0 / np.sqrt(d))
     else:
         part = part.persist()

@@ -61,7 +61,8 @@ def quantile_fit(
 
     With ``eps`` the size comes from the guarantee; where that is as large as the
     data, the fit is exact instead.  Levels below one half need no reflection
-    here: probabilities do not depend on the level and the solver takes any.  A
+    here: probabilities do not depend on the level and the solver takes any.
+    ``conditioning="auto"`` leaves norms, conditioner and solver to the planner.  A
     design without rows has no fits.
     """
     spark, width = design.sparkSession, width_of(design, "x")
@@ -73,6 +74,13 @@ def quantile_fit(
         if s >= n:
             return exact_fit(design, taus)
     sizes = [float(v) for v in (s if isinstance(s, list) else [s])]
+    if conditioning == "auto":
+        from tallquant.plans import planner
+
+        plan = planner.choose(design.count(), width, max(sizes))
+        if plan.solver == "merge_rows_exact":
+            return exact_fit(design, taus)
+        conditioning, norms = plan.conditioning, plan.norms
     samples, cond = sampled(design, conditioning, sizes, trials, seed, engine, norms)
     passes = (cond.passes if cond else 0) + 2 + evaluate
     rows = [(*r, passes) for r in solve_grid(samples, taus, conditioning, solver).collect()]  # methods x sizes x trials x levels: a grid of parameters
@@ -426,12 +434,14 @@ def bootstrap_ci(design: DataFrame, taus: list[float], replicates: int = 50, lev
 
 
 def enumerate_pairs(design: DataFrame, tau: float) -> DataFrame:
-    """Brute-force optimum of two columns from all pairs of rows, in SQL operators: for tiny designs only."""
+    """Brute-force optimum of two columns from all pairs of rows, in SQL operators: for designs of a few thousand rows at most."""
+    if (n := design.count()) > 3000:
+        raise ValueError(f"{n} rows have too many pairs")
     i, j = design.select(F.col("b").alias("b1"), F.col("x").alias("x1"), F.col("row_id").alias("r1")), design.select(F.col("b").alias("b2"), F.col("x").alias("x2"), F.col("row_id").alias("r2"))
     det = F.col("x1")[0] * F.col("x2")[1] - F.col("x1")[1] * F.col("x2")[0]
     lines = i.join(j, F.col("r1") < F.col("r2")).where(F.abs(det) > 1e-12)
     lines = lines.select("r1", "r2", ((F.col("b1") * F.col("x2")[1] - F.col("b2") * F.col("x1")[1]) / det).alias("c0"), ((F.col("x1")[0] * F.col("b2") - F.col("x2")[0] * F.col("b1")) / det).alias("c1"))
-    rows = F.broadcast(design.select("b", "x", "w"))
+    rows = F.broadcast(design.select("b", "x", "w"))  # at most 3,000
     scored = lines.crossJoin(rows).groupBy("c0", "c1").agg(F.sum(F.col("w") * pinball(F.col("b") - F.col("c0") * F.col("x")[0] - F.col("c1") * F.col("x")[1], tau)).alias("f"))
     return scored.agg(F.min("f").alias("objective"), F.min_by("c0", "f").alias("beta0"), F.min_by("c1", "f").alias("beta1"))
 

@@ -83,7 +83,7 @@ def sample_design(design: DataFrame, rinv: np.ndarray, sizes: list[float], trial
         return sample_trials(design.where("false").withColumn("lam", F.lit(0.0)), sizes, trials, seed, total=0.0, engine=engine).drop("lam")
     factor, names = max(sizes) / total, design.columns
     b, x = names.index("b"), names.index("x")
-    least = F.least(*[_coin(seed, F.lit(t), engine) for t in range(trials)]) if trials > 1 else _coin(seed, F.lit(0), engine)
+    least = least_coin(seed, trials, engine)
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -177,6 +177,11 @@ def _coin(seed: int, trial: Column, engine: str) -> Column:
     return rnd.unit(seed, F.concat(F.lit("coin"), trial.cast("string")), F.col("row_id"), engine)
 
 
+def least_coin(seed: int, trials: int, engine: str) -> Column:
+    """The smallest coin of a row over all trials: no trial keeps the row if this one does not."""
+    return F.least(*[_coin(seed, F.lit(t), engine) for t in range(trials)]) if trials > 1 else _coin(seed, F.lit(0), engine)
+
+
 def sample_trials(frame: DataFrame, sizes: list[float], trials: int, seed: int, total: float | None = None, engine: str = "fast") -> DataFrame:
     """Samples of every size and trial in one pass: adds ``trial, s, p`` and divides ``w``; only survivors are exploded."""
     total = total if total is not None else total_norm(frame)

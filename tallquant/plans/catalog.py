@@ -19,6 +19,7 @@ from tallquant.functions import randomness as rnd
 from tallquant.operators import conditioning as C
 from tallquant.operators import metrics, quantreg, sampling, sizing
 from tallquant.operators import sketch as S
+from tallquant.operators import sparse as SP
 from tallquant.plans import experiments as X
 from tallquant.plans import planner
 from tallquant.sources import design as D
@@ -353,6 +354,36 @@ def basis_norms(spark, sf_dir):
     return C.basis_l1(event_rows(spark, sf_dir), np.eye(2)).select(F.col("j").cast("int").alias("j"), F.round("l1", 2).alias("l1"))
 
 
+ENTRY_SQL = f"""
+WITH e AS (SELECT event_id::varchar AS row_id, value, row_number() OVER () AS r, dense_rank() OVER (ORDER BY event_type) AS k FROM events),
+a AS (SELECT row_id, 0 AS j, value AS v FROM e UNION ALL SELECT row_id, k, -1.0 FROM e)
+SELECT floor({rnd.unit_sql(SEED, chr(39) + 'bucket' + chr(39), 'row_id')}::double * {R})::bigint AS bucket, j::int AS j, sum({CAUCHY_SQL} * v) AS v FROM a GROUP BY ALL"""
+
+
+@query(f"SELECT bucket, j, {significant_sql('v')} FROM ({ENTRY_SQL})")
+def sketch_of_sparse_rows(spark, sf_dir):
+    """The sketch of the sparse layout: work and output follow the nonzeros."""
+    rows = SP.augmented(D.to_sparse(D.onehot_events(spark, sf_dir).drop("grp")))
+    return SP.sparse_cauchy(rows, R, SEED, engine="portable").select("bucket", "j", *significant("v"))
+
+
+@query("SELECT tau, true AS within_guarantee FROM (VALUES (0.5::double), (0.75)) AS v(tau)")
+def fit_sparse_rows(spark, sf_dir):
+    design = D.onehot_orders(spark, sf_dir).drop("grp").persist()
+    ref = X.reference_frame(spark, X.onehot_reference(design, [0.5, 0.75]))
+    fits = SP.quantile_fit(D.to_sparse(design), 5, [0.5, 0.75], s=800.0).join(ref, "tau")
+    return fits.select("tau", (F.col("objective") <= F.col("f_ref") * sizing.guarantee(0.1)).alias("within_guarantee"))
+
+
+@query("SELECT 'sparse_qr_round' AS method, 0.75::double AS tau, true AS within_guarantee")
+def fit_planned(spark, sf_dir):
+    """Conditioner, norms and solver left to the planner."""
+    design = D.census_design(spark, sf_dir).withColumn("x", F.slice("x", 1, 2))
+    fit = quantreg.quantile_fit(design, [0.75], s=1000.0, conditioning="auto")
+    exact = quantreg.preprocess_exact(design, 0.75)[0].objective
+    return fit.select("method", "tau", (F.col("objective") <= exact * sizing.guarantee(0.1)).alias("within_guarantee"))
+
+
 # --- sampling ----------------------------------------------------------------------
 
 SIZE = 800

@@ -321,3 +321,33 @@ def test_workload_grids():
     with pytest.raises(ValueError, match="no parameter"):
         X._grid("w1", "quick", {"sizes": 3})
     assert 165 < 60_000 * (X.grown(10, 60_000) - 1) / (X.grown(10, 60_000) ** 10 - 1) < 175
+
+
+def test_sparse_rows_equal_dense_ones(spark, small):
+    from tallquant.operators import sparse
+
+    design = D.document_design(spark, small).persist()
+    rows = D.to_sparse(design)
+    dense = S.sparse_cauchy(L.augment(design), 300, 4)
+    assert sparse.factor(sparse.sparse_cauchy(sparse.augmented(rows), 300, 4), 17) == pytest.approx(S.factor(dense), rel=1e-6, abs=1e-6)
+    rinv = C.condition(L.augment(design), "sparse_qr").rinv
+    got = {(r.row_id, r.trial): r.w for r in sparse.sample(rows, rinv, [60.0], 2, 5).collect()}
+    want = {(r.row_id, r.trial): r.w for r in sampling.sample_design(design, rinv, [60.0], 2, 5).collect()}
+    assert got == pytest.approx(want) and len(got) > 30
+    cands = [(0, [1.0] * 16, 0.5), (1, [0.0] * 16, 0.9)]
+    assert {r.cand: r.objective for r in sparse.objective_many(rows, cands).collect()} == pytest.approx({r.cand: r.objective for r in L.objective_many(design, cands).collect()})
+    monkey = sparse.CELLS
+    sparse.CELLS = 40
+    try:
+        assert {(r.row_id, r.trial): r.w for r in sparse.sample(rows, rinv, [60.0], 2, 5).collect()} == pytest.approx(want)
+    finally:
+        sparse.CELLS = monkey
+
+
+def test_sparse_work_follows_the_nonzeros(spark, small):
+    """Entries that reach the sketch's exchange are those of the layout, not rows times columns."""
+    from tallquant.operators import sparse
+
+    rows = sparse.augmented(D.to_sparse(D.skew_lineitem(spark, small, 40, 1.1)))
+    out = sparse.sparse_cauchy(rows, 10**6, 1)
+    assert out.count() <= 2 * 6000 and rows.agg(F.sum(F.size("idx"))).first()[0] == 2 * 6000
