@@ -1,25 +1,27 @@
 """Licence scan by a positional rare-token index, in DataFrame functions only.
 
-The templates are short licence notices.  A word's IDF over the templates decides
-what is looked up: a text is opened only if it holds the highest-IDF word of some
-template as a whole word.  Its words then meet the postings ``(template,
-position)``; postings that agree on ``text position - template position`` fall
-into one alignment, whose set of matched template positions is one bit mask.  An
-alignment is accepted if every word of the template's mandatory key phrases is in
-its place and enough IDF weight matched.
-
-Rows are joined by (doc_id, hash of the text), so repeated rows and null
-identifiers get the result of their text each; null texts count as empty.  Extra
-columns are ignored.  Only masks and offsets are shuffled, never texts; nothing
-is gathered by source or by licence.
+The templates are licence notices (a parameter).  A word's IDF over the templates
+decides what is looked up: the index has the highest-IDF word of each template's
+mandatory key phrases, with the template and the place of the word in it.  The
+words of a text that are in the index, its highest-IDF licence words, name
+candidate alignments (template, start); a template that is really there has its
+indexed word in place, so none is lost.  A candidate then meets the other postings
+of its template at the same relative position: it is accepted if every word of the
+mandatory key phrases is in its place and enough IDF weight matched.
+
+A text is opened only if it holds an indexed word.  Everything happens within the
+row, so nothing is shuffled, gathered or joined, whatever rows repeat: each row has
+the result of its own text.  Null texts count as empty; extra columns are ignored.
+The index is part of the plan, so templates are limited to ``MOST_WORDS`` words in all.
 """
 
 from __future__ import annotations
 
 import math
+import re
 import string
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tallquant.llm.common import ALNUM_ANY_CASE, ALNUM_WORD
@@ -48,102 +50,115 @@ NOTICES = [
 SEPARATOR = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]"
 #: Least share of a template's IDF weight that an accepted alignment matches.
 LEAST_SHARE = 0.5
+#: Words of all templates together, at most.
+MOST_WORDS = 100_000
 
 
-def templates() -> list[dict]:
-    """All templates with words, weights, masks and the word by which a text is looked up."""
-    raw = [(text, label, [text], True) for text, label in BASE_PHRASES.items()] + [(t, label, keys, False) for t, label, keys in NOTICES]
+def templates(notices: list[tuple[str, str, list[str]]] = NOTICES) -> list[dict]:
+    """All templates with words, weights, the slots of their key phrases, and the word by which they are looked up."""
+    raw = [(text, label, [text], True) for text, label in BASE_PHRASES.items()] + [(t, label, keys, False) for t, label, keys in notices]
     lists = [t.split() for t, *_ in raw]
+    if sum(map(len, lists)) > MOST_WORDS:
+        raise ValueError(f"the templates have more than {MOST_WORDS} words")
     idf = {w: math.log(1 + len(lists) / sum(w in x for x in lists)) for x in lists for w in x}
     out = []
     for k, ((_, label, keys, base), words) in enumerate(zip(raw, lists, strict=True)):
-        need = 0
+        need: set[int] = set()
         for key in keys:
             part = key.split()
             at = next(i for i in range(len(words)) if words[i : i + len(part)] == part)
-            need |= ((1 << len(part)) - 1) << at
-        held = [w for i, w in enumerate(words) if need >> i & 1]
+            need.update(range(at, at + len(part)))
+        slots = sorted(need)
+        at = max(slots, key=lambda i: (idf[words[i]], len(words[i]), words[i], -i))
         weights = [round(idf[w], 6) for w in words]
-        out.append({"id": k, "label": label, "base": base, "words": words, "weights": weights, "need": need, "rare": max(held, key=lambda w: (idf[w], len(w), w))})
+        out.append({"id": k, "label": label, "base": base, "words": words, "weights": weights, "need": slots, "at": at, "rare": words[at]})
     return out
 
 
-def postings() -> list[tuple[str, int, int]]:
-    return [(w, t["id"], i) for t in templates() for i, w in enumerate(t["words"])]
-
-
-def lookup_pattern() -> str:
-    """Matches a text that holds a rare word as a whole word."""
-    words = "|".join(sorted({t["rare"] for t in templates()}))
+def lookup_pattern(ts: list[dict]) -> str:
+    """Matches a text that holds an indexed word as a whole word."""
+    words = "|".join(sorted({re.escape(t["rare"]) for t in ts}))
     return rf"(?i)(?:^|{SEPARATOR})(?:{words})(?:$|{SEPARATOR})"
 
 
-def _share(masks: str, ts: list[dict]) -> str:
-    """SQL for the matched share of IDF weight; runs on Spark and on DuckDB."""
-    cases = []
+def _index(ts: list[dict]) -> Column:
+    """Map from an indexed word to its postings; ``total`` is the IDF weight of the template."""
+    by_word: dict[str, list[Column]] = {}
     for t in ts:
-        total = round(sum(t["weights"]), 6)
-        parts = " + ".join(f"CASE WHEN {masks} & {1 << i} <> 0 THEN cast({w} AS double) ELSE cast(0 AS double) END" for i, w in enumerate(t["weights"]))
-        cases.append(f"WHEN {t['id']} THEN round(({parts}) / cast({total} AS double), 4)")
-    return f"CASE template {' '.join(cases)} END"
+        cells = {k: F.array(*map(F.lit, t[k])) for k in ("words", "weights", "need")} | {k: F.lit(t[k]) for k in ("id", "label", "base", "at")}
+        cells["total"] = F.lit(round(sum(t["weights"]), 6))
+        by_word.setdefault(t["rare"], []).append(F.struct(*[c.alias(k) for k, c in cells.items()]))
+    return F.create_map(*[x for w, posts in by_word.items() for x in (F.lit(w), F.array(*posts))])
 
 
-def _need(ts: list[dict]) -> str:
-    return f"CASE template {' '.join(f'WHEN {t["id"]} THEN {t["need"]}' for t in ts)} END"
+def _alignments(words: Column, place: Column, index: Column) -> Column:
+    """Candidates of the indexed word at a place whose key phrases are in place, with the matched share of IDF weight."""
+
+    def in_place(t: Column, slot: Column) -> Column:
+        return F.coalesce(F.get(words, place - t["at"] + slot) == F.get(t["words"], slot), F.lit(False))
+
+    def share(t: Column) -> Column:
+        matched = F.transform(t["weights"], lambda w, slot: F.when(in_place(t, slot), w).otherwise(F.lit(0.0)))
+        return F.round(F.aggregate(matched, F.lit(0.0), lambda a, x: a + x) / t["total"], 4)
 
+    posts = F.filter(index[F.get(words, place)], lambda t: F.forall(t["need"], lambda slot: in_place(t, slot)))
+    found = F.transform(posts, lambda t: F.struct(t["label"].alias("label"), (place - t["at"]).cast("long").alias("first_word"), share(t).alias("score"), t["base"].alias("base")))
+    return F.filter(found, lambda x: x["score"] >= LEAST_SHARE)
 
-def scan_licenses(spark: SparkSession, docs: DataFrame) -> DataFrame:
+
+def scan_licenses(spark: SparkSession, docs: DataFrame, *, notices: list[tuple[str, str, list[str]]] = NOTICES) -> DataFrame:
     """``doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, notices``.
 
-    ``notices`` has label, first word and score of every accepted alignment that
-    is not a base place, at most one for each place of a label.
+    ``notices`` of the result has label, first word and score of every accepted
+    alignment that is not a base place; its first word is negative where a
+    notice begins before the text does.
     """
-    ts = templates()
+    ts = templates(notices)
+    rare = sorted({t["rare"] for t in ts})
     text = F.coalesce(F.col("text"), F.lit(""))
-    rows = docs.select("doc_id", text.alias("text"), F.xxhash64(text).alias("h"))
-    words = F.regexp_extract_all(F.translate("text", string.ascii_uppercase, string.ascii_lowercase), F.lit(ALNUM_WORD), F.lit(0))
-    index = F.broadcast(spark.createDataFrame(postings(), "word string, template int, at int"))  # fixed size: one row for each template word
-    placed = rows.where(F.col("text").rlike(lookup_pattern())).select("doc_id", "h", F.posexplode(words).alias("pos", "word")).join(index, "word")
-    aligned = (
-        placed.groupBy("doc_id", "h", "template", (F.col("pos") - F.col("at")).cast("long").alias("start"))
-        .agg(F.bit_or(F.expr("shiftleft(1L, at)")).alias("mask"))
-        .withColumn("need", F.expr(_need(ts)).cast("long"))
-        .where("mask & need = need")
-        .withColumn("share", F.expr(_share("mask", ts)))
-        .where(F.col("share") >= LEAST_SHARE)
-    )
-    named = F.create_map(*[F.lit(x) for t in ts for x in (t["id"], t["label"])])[F.col("template")]
-    is_base = F.col("template") < len(BASE_PHRASES)
-    found = (
-        aligned.withColumn("label", named)
-        .groupBy("doc_id", "h")
-        .agg(
-            F.count(F.when(is_base, 1)).alias("n_base"),
-            F.min(F.when(is_base, F.col("start"))).alias("first_word"),
-            F.max(F.when(is_base, F.col("start"))).alias("last_word"),
-            F.array_join(F.sort_array(F.collect_set(F.when(is_base, F.col("label")))), ",").alias("base_labels"),
-            F.array_join(F.sort_array(F.collect_set("label")), ",").alias("labels"),
-            F.max("share").alias("score"),
-        )
-    )
-    counted = rows.select("doc_id", "h", F.regexp_count("text", F.lit(ALNUM_ANY_CASE)).cast("long").alias("n_words"))
-    both = counted.alias("c").join(found.alias("f"), F.expr("c.doc_id <=> f.doc_id AND c.h = f.h"), "left")
-    return both.select(
-        "c.doc_id",
+    low = F.translate(text, string.ascii_uppercase, string.ascii_lowercase)
+    opened = docs.select("doc_id", text.alias("text"), F.when(text.rlike(lookup_pattern(ts)), F.regexp_extract_all(low, F.lit(ALNUM_WORD), F.lit(0))).alias("words"))
+    words = F.col("words")
+    places = F.filter(F.sequence(F.lit(0), F.size(words) - 1), lambda i: F.get(words, i).isin(rare))
+    counted = F.when(words.isNotNull(), F.size(words)).otherwise(F.regexp_count("text", F.lit(ALNUM_ANY_CASE))).cast("long")
+    looked = opened.select("doc_id", counted.alias("n_words"), "words", F.when(words.isNotNull(), places).alias("places"))
+    found = F.flatten(F.transform("places", lambda p: _alignments(words, p, _index(ts))))
+    empty = F.array().cast("array<struct<label:string,first_word:bigint,score:double,base:boolean>>")
+    rows = looked.select("doc_id", "n_words", F.coalesce(found, empty).alias("found"))
+    base, other = F.filter("found", lambda x: x["base"]), F.filter("found", lambda x: ~x["base"])
+    starts = F.transform(base, lambda x: x["first_word"])
+    joined = lambda xs: F.array_join(F.array_sort(F.array_distinct(F.transform(xs, lambda x: x["label"]))), ",")
+    return rows.select(
+        "doc_id",
         "n_words",
-        F.coalesce("n_base", F.lit(0).cast("long")).alias("n_base"),
-        "first_word",
-        "last_word",
-        F.coalesce("base_labels", F.lit("")).alias("base_labels"),
-        F.coalesce("labels", F.lit("")).alias("labels"),
-        F.coalesce("score", F.lit(0.0)).alias("score"),
+        F.size(base).cast("long").alias("n_base"),
+        F.array_min(starts).alias("first_word"),
+        F.array_max(starts).alias("last_word"),
+        joined(base).alias("base_labels"),
+        joined(F.col("found")).alias("labels"),
+        F.coalesce(F.array_max(F.transform("found", lambda x: x["score"])), F.lit(0.0)).alias("score"),
+        F.transform(other, lambda x: F.struct(x["label"].alias("label"), x["first_word"].alias("first_word"), x["score"].alias("score"))).alias("notices"),
     )
 
 
+def _share(masks: str, ts: list[dict]) -> str:
+    """SQL for the matched share of IDF weight."""
+    cases = []
+    for t in ts:
+        total = round(sum(t["weights"]), 6)
+        parts = " + ".join(f"CASE WHEN {masks} & {1 << i} <> 0 THEN cast({w} AS double) ELSE cast(0 AS double) END" for i, w in enumerate(t["weights"]))
+        cases.append(f"WHEN {t['id']} THEN round(({parts}) / cast({total} AS double), 4)")
+    return f"CASE template {' '.join(cases)} END"
+
+
+def _need(ts: list[dict]) -> str:
+    return f"CASE template {' '.join(f'WHEN {t["id"]} THEN {sum(1 << i for i in t["need"])}' for t in ts)} END"
+
+
 def oracle_sql() -> str:
-    """The same scan as DuckDB SQL: postings joined with all words, without the lookup."""
+    """The same scan as DuckDB SQL: postings of every template word joined with all words, without the lookup; masks hold 62 slots."""
     ts = templates()
-    values = ", ".join(f"('{w}', {t}, {i})" for w, t, i in postings())
+    values = ", ".join(f"('{w}', {t['id']}, {i})" for t in ts for i, w in enumerate(t["words"]))
     labels = " ".join(f"WHEN {t['id']} THEN '{t['label']}'" for t in ts)
     n = len(BASE_PHRASES)
     return f"""

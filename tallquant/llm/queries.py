@@ -43,7 +43,7 @@ def op4_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return licenses.scan_licenses(spark, table(spark, sf_dir, "documents"))
+    return licenses.scan_licenses(spark, table(spark, sf_dir, "documents")).drop("notices")
 
 
 def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -118,7 +118,7 @@ SELECT doc_id, len(w)::bigint AS n_words, coalesce(n_hit, 0)::bigint AS n_hit, c
 FROM d LEFT JOIN c USING (rid) LEFT JOIN t USING (rid)"""
 
 OP9_SQL = f"""
-WITH r AS (SELECT page_id, coalesce(url, '') AS url, coalesce(html, '') AS body FROM pages),
+WITH r AS (SELECT page_id, replace(replace(coalesce(url, ''), chr(13), '%0D'), chr(10), '%0A') AS url, coalesce(html, '') AS body FROM pages),
 w AS (SELECT page_id, body, 'WARC/1.0' || chr(13) || chr(10) || 'WARC-Type: response' || chr(13) || chr(10) || 'WARC-Target-URI: ' || url || chr(13) || chr(10)
   || 'WARC-Record-ID: <urn:page:' || coalesce(page_id::varchar, '') || '>' || chr(13) || chr(10) || 'Content-Type: text/html' || chr(13) || chr(10)
   || 'Content-Length: ' || octet_length(encode(body)) || chr(13) || chr(10) || chr(13) || chr(10) || body || chr(13) || chr(10) || chr(13) || chr(10) AS rec FROM r),
