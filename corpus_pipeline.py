@@ -19,10 +19,23 @@ PASSAGE_WORDS = 30
 WINDOW_WORDS, LEAST_ITEM_WORDS = 10, 6
 
 
+def _boxed(docs: DataFrame) -> tuple[DataFrame, str]:
+    """``doc_id, text`` and the whole row as one struct, whose name no column has; so no column can clash with a result."""
+    name = "tallquant_row"
+    while name in {c.lower() for c in docs.columns}:
+        name += "_"
+    return docs.select("doc_id", "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(name)), name
+
+
+def _unboxed(frame: DataFrame, name: str) -> DataFrame:
+    return frame.select(f"{name}.*")
+
+
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language is recognised; rejected ones (no letter, or far from every centroid) go."""
     model = langid.learn(spark, docs, F.lit(True))
-    return langid.identify(spark, docs, model, keep=docs.columns).where("not rejected").select(*docs.columns)
+    boxed, name = _boxed(docs)
+    return _unboxed(langid.identify(spark, boxed, model, keep=[name]).where("not rejected"), name)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,25 +49,28 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     members = groups.where("n_shingles > 0")
     heads = members.groupBy("component").agg(first.alias("h")).select("h.key")
     stay = heads.union(groups.where("n_shingles = 0").select("key").distinct())
-    keyed = docs.withColumn("tallquant_key", F.xxhash64("doc_id", "text")).withColumn("tallquant_words", F.col("text").rlike(r"[^\x20\x09-\x0D]"))
-    left = keyed.join(stay.withColumnRenamed("key", "tallquant_key").hint("shuffle_hash"), "tallquant_key", "left_semi")
-    whole = left.where("tallquant_words").dropDuplicates(["tallquant_key"])
-    empty = left.where(F.coalesce(~F.col("tallquant_words"), F.lit(True)))
-    return whole.union(empty).select(*docs.columns)
+    boxed, name = _boxed(docs)
+    keyed = boxed.select(name, F.xxhash64("doc_id", "text").alias("key"), F.col("text").rlike(r"[^\x20\x09-\x0D]").alias("words"))
+    left = keyed.join(stay.hint("shuffle_hash"), "key", "left_semi")
+    whole = left.where("words").dropDuplicates(["key"])
+    empty = left.where(F.coalesce(~F.col("words"), F.lit(True)))
+    return _unboxed(whole.union(empty), name)
 
 
 def substring_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages that an earlier document holds are cut out; documents emptied by that go."""
-    kept = substring.dedup_substrings(spark, docs, width=PASSAGE_WORDS, keep=[c for c in docs.columns if c != "text"])
-    kept = kept.where("n_removed < n_words or n_words = 0").withColumnRenamed("kept_text", "text")
-    return kept.withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns) if "n_chars" in docs.columns else kept.select(*docs.columns)
+    boxed, name = _boxed(docs)
+    kept = substring.dedup_substrings(spark, boxed, width=PASSAGE_WORDS, keep=[name]).where("n_removed < n_words or n_words = 0")
+    new = {"text": F.col("kept_text"), "n_chars": F.length("kept_text")}
+    return kept.select(*[(new[c].cast(kind) if c in new else F.col(name)[c]).alias(c) for c, kind in docs.dtypes])
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a window of a benchmark item go."""
     benchmark = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
-    found = decontaminate.decontaminate(spark, docs, benchmark, width=WINDOW_WORDS, least_words=LEAST_ITEM_WORDS, keep=docs.columns)
-    return found.where("not contaminated").select(*docs.columns)
+    boxed, name = _boxed(docs)
+    found = decontaminate.decontaminate(spark, boxed, benchmark, width=WINDOW_WORDS, least_words=LEAST_ITEM_WORDS, keep=[name])
+    return _unboxed(found.where("not contaminated"), name)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

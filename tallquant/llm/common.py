@@ -76,24 +76,82 @@ def window_hashes(words: np.ndarray, width: int, seed: int = 0) -> np.ndarray:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share (``spark.checkpoint.dir``)."""
+    """The folder that driver and executors share (``spark.checkpoint.dir``).
+
+    Where it is unset, a local master gets a temporary folder of this machine; on
+    a cluster its executors could not see that, so it is an error.
+    """
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not where:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         where = "file://" + tempfile.mkdtemp(prefix="tallquant_shared_")
         spark.sparkContext.setCheckpointDir(where)
     return where.rstrip("/")
 
 
+def filesystem(uri: str):
+    """The file system of a folder or file, and the path in it."""
+    import pyarrow.fs as pafs
+
+    return pafs.FileSystem.from_uri(uri)
+
+
+def publish(fs, temp: str, path: str) -> None:
+    """Give a finished file its name; of repeated attempts, which write the same bytes, any one may stay.
+
+    Some file systems rename onto an existing file, others refuse.
+    """
+    import pyarrow.fs as pafs
+
+    try:
+        fs.move(temp, path)
+    except OSError:
+        if fs.get_file_info(path).type != pafs.FileType.File:
+            raise
+        fs.delete_file(temp)
+
+
+def carried(keep: list[str], results: list[str]) -> dict[str, str]:
+    """Names under which columns are carried: one that a result column has as well gets ``_in`` behind it."""
+    taken, out = {r.lower() for r in results}, {}
+    for c in keep:
+        name = c
+        while name.lower() in taken:
+            name += "_in"
+        taken.add(name.lower())
+        out[c] = name
+    return out
+
+
+def row_of(keep: list[str]):
+    """The columns to carry, as one struct whose fields are numbered, so that no name can clash."""
+    return F.struct(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(keep)])
+
+
+def unfold(frame: DataFrame, keep: list[str], own: str = "own") -> DataFrame:
+    """The carried columns of :func:`row_of`, then the others."""
+    results = [c for c in frame.columns if c != own]
+    names = carried(keep, results)
+    return frame.select(*[F.col(own)[f"c{i}"].alias(names[c]) for i, c in enumerate(keep)], *results)
+
+
 class Workspace:
     """Intermediate tables in the shared folder.
 
     A saved table cuts the lineage: a lost executor costs the re-reading of
-    files, not the recomputation of what led to them.
+    files, not the recomputation of what led to them.  The folder goes when the
+    application ends.
     """
 
     def __init__(self, spark: SparkSession, name: str):
         ship(spark)
         self.spark, self.root = spark, f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex[:12]}"
+        jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+        folder = jvm.org.apache.hadoop.fs.Path(self.root)
+        fs = folder.getFileSystem(conf)
+        fs.mkdirs(folder)
+        fs.deleteOnExit(folder)  # results are read from here until the application ends
 
     def path(self, name: str) -> str:
         return f"{self.root}/{name}"

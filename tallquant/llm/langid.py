@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tallquant.llm.common import as_bytes, ship, text_slices, worker_cache
+from tallquant.llm.common import as_bytes, row_of, ship, text_slices, unfold, worker_cache
 
 _LETTERS = bytes(b if b >= 128 or 97 <= b <= 122 else b + 32 if 65 <= b <= 90 else 32 for b in range(256))
 #: Upper ends of the length bands (in trigrams) that have a rejection floor each.
@@ -136,13 +136,14 @@ def learn(spark: SparkSession, docs: DataFrame, learns, *, dims: int = 4096, cen
     total = counted.pop(-1, 0)
     idf = np.array([np.log((1 + total) / (1 + counted.get(j, 0))) + 0.05 for j in range(dims)], dtype=np.float32)
 
-    # about ``sample`` rows of each language, by a hash of the identifier: the scan drops the others
-    fine, sizes = 1 << 30, {r.lang: r.n for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}
-    limits = F.create_map(*[F.lit(x) for lang, n in sorted(sizes.items()) for x in (lang, int(min(fine, fine * sample // n)))]) if sizes else F.create_map(F.lit(""), F.lit(0))
-    chosen = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(fine)) < limits[F.col("lang")])
+    # about ``sample`` different rows of each language, by a hash: the scan drops the others, and repeated rows are one
+    fine, key = 1 << 30, F.xxhash64("doc_id", "text")
+    sizes = rows.groupBy("lang").agg(F.approx_count_distinct(key, 0.02).alias("size"))
+    chosen = rows.select("doc_id", "text", "lang", F.pmod(key, F.lit(fine)).alias("coin")).join(sizes, "lang")
+    chosen = chosen.where(F.col("coin") * F.col("size") < fine * sample).select("doc_id", "text", "lang").distinct()
 
     def fit(part: pd.DataFrame) -> pd.DataFrame:
-        part = part.sort_values("doc_id", kind="stable").head(2 * sample)
+        part = part.sort_values(["doc_id", "text"], kind="stable").head(2 * sample)
         counts = np.concatenate([trigram_counts([t.encode() for t in part.text[i : i + 128]], dims) for i in range(0, len(part), 128)])
         vectors = unit_vectors(counts, idf)
         centers = cluster(vectors, centroids)
@@ -151,13 +152,13 @@ def learn(spark: SparkSession, docs: DataFrame, learns, *, dims: int = 4096, cen
         floors = [margin * float(best.min()) * (0.5 if b < 2 else 1.0) for b in range(len(BANDS) + 1)]
         return pd.DataFrame({"lang": part.lang.iloc[0], "center": [c.tolist() for c in centers], "floors": [floors] * len(centers)})
 
-    fitted = chosen.select("doc_id", "text", "lang").groupBy("lang").applyInPandas(fit, "lang string, center array<float>, floors array<double>").collect()
+    fitted = chosen.groupBy("lang").applyInPandas(fit, "lang string, center array<float>, floors array<double>").collect()
     fitted.sort(key=lambda r: (r.lang, r.center))
     return Model([r.lang for r in fitted], np.array([r.center for r in fitted], dtype=np.float32).reshape(len(fitted), dims), np.array([r.floors for r in fitted]).reshape(len(fitted), len(BANDS) + 1), idf)
 
 
 def identify(spark: SparkSession, docs: DataFrame, model: Model, *, keep: list[str]) -> DataFrame:
-    """The columns in ``keep`` with ``lang_pred, score, rejected``."""
+    """The columns in ``keep`` with ``lang_pred, score, rejected``; a kept column of one of these names gets ``_in`` behind it."""
     ship(spark)
     cast = spark.sparkContext.broadcast(model)
 
@@ -171,6 +172,6 @@ def identify(spark: SparkSession, docs: DataFrame, model: Model, *, keep: list[s
                         out += x
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(rejected, pa.bool_())], names=["own", "lang_pred", "score", "rejected"])
 
-    frame = docs.select(F.struct(*keep).alias("own"), "text")
+    frame = docs.select(row_of(keep).alias("own"), "text")
     schema = T.StructType([frame.schema["own"], *T._parse_datatype_string("lang_pred string, score double, rejected boolean").fields])
-    return frame.mapInArrow(run, schema).select("own.*", "lang_pred", "score", "rejected")
+    return unfold(frame.mapInArrow(run, schema), keep)

@@ -29,15 +29,15 @@ import numpy as np
 import pyarrow as pa
 import zstandard
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from tallquant.llm.common import Workspace, as_bytes, default_tokenizer, text_slices, word_encoder
+from tallquant.llm.common import Workspace, as_bytes, default_tokenizer, filesystem, publish, text_slices, word_encoder
 
 MAGIC = b"TQSST\x00\x01\n"
 FOOTER = struct.Struct("<6Q8s")
 RESTART = 16
-MANIFEST = "part int, piece int, file string, n_docs long, n_tokens long, n_bytes long"
+MANIFEST = "part int, piece int, file string, n_docs long, n_tokens long, n_bytes long, first_key binary, last_key binary"
 
 
 def key_bytes(key: int | str | None) -> bytes:
@@ -83,17 +83,11 @@ def _bloom_slots(key: bytes, n_bits: int, n_hashes: int = 7) -> list[int]:
     return [(a + i * b) % n_bits for i in range(n_hashes)]
 
 
-def _filesystem(uri: str):
-    import pyarrow.fs as pafs
-
-    return pafs.FileSystem.from_uri(uri)
-
-
 class ShardWriter:
     """Writes one shard; entries must come in ascending key order."""
 
     def __init__(self, uri: str, width: int, block_bytes: int = 65_536):
-        self.fs, self.path = _filesystem(uri)
+        self.fs, self.path = filesystem(uri)
         self.temp = f"{self.path}.{uuid.uuid4().hex}.tmp"
         self.out = self.fs.open_output_stream(self.temp)
         self.width, self.block_bytes = width, block_bytes
@@ -147,7 +141,7 @@ class ShardWriter:
             self.at += len(part)
         self.out.write(FOOTER.pack(*places, MAGIC))
         self.out.close()
-        self.fs.move(self.temp, self.path)  # a repeated attempt puts the same bytes in the same place
+        publish(self.fs, self.temp, self.path)
         return self.at + FOOTER.size
 
 
@@ -155,7 +149,7 @@ class Shard:
     """Reads one shard: ``get`` by binary search, ``scan`` in key order."""
 
     def __init__(self, uri: str):
-        self.fs, self.path = _filesystem(uri)
+        self.fs, self.path = filesystem(uri)
         self.file = self.fs.open_input_file(self.path)
         size = self.file.size()
         *places, magic = FOOTER.unpack(self.file.read_at(FOOTER.size, size - FOOTER.size))
@@ -228,7 +222,7 @@ def write_shards(docs: DataFrame, work: Workspace, *, tokenizer: str | None = No
         part, piece, writer, rows = TaskContext.get().partitionId(), 0, None, []
 
         def done() -> None:
-            rows.append((part, piece, f"part-{part:06d}-{piece:04d}.sst", writer.n_docs, writer.n_tokens, writer.close()))
+            rows.append((part, piece, f"part-{part:06d}-{piece:04d}.sst", writer.n_docs, writer.n_tokens, writer.close(), writer.keys[0], writer.keys[-1]))
 
         for batch in batches:
             keys, texts = batch.column(0).to_pylist(), as_bytes(batch.column(1))
@@ -242,10 +236,10 @@ def write_shards(docs: DataFrame, work: Workspace, *, tokenizer: str | None = No
         if writer:
             done()
         names = [f.split()[0] for f in MANIFEST.split(", ")]
-        kinds = [pa.int32(), pa.int32(), pa.string(), pa.int64(), pa.int64(), pa.int64()]
+        kinds = [pa.int32(), pa.int32(), pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary()]
         yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], names=names)
 
-    fs, path = _filesystem(root)
+    fs, path = filesystem(root)
     fs.create_dir(path, recursive=True)
     tie = F.xxhash64("text")
     ranged = docs.select("doc_id", "text").repartitionByRange("doc_id", tie).sortWithinPartitions("doc_id", tie)
@@ -255,13 +249,14 @@ def write_shards(docs: DataFrame, work: Workspace, *, tokenizer: str | None = No
 def read_shards(spark: SparkSession, work: Workspace, manifest: DataFrame, with_ids: bool = False) -> DataFrame:
     """Every document of the shards: ``doc_id, start, n_tokens, ids_crc32`` and, if asked for, ``ids``.
 
-    ``start`` counts the ids of all documents before it; the driver holds one
-    manifest row for each shard (64 MB of ids by default) to add up the shards.
+    ``start`` counts the ids of all documents before it: those of the parts before,
+    one row a part, and of the shards before in its part.
     """
-    root, base, rows = work.path("shards"), 0, []
-    for r in manifest.select("file", "n_tokens").orderBy("part", "piece").collect():
-        rows.append((f"{root}/{r.file}", base))
-        base += r.n_tokens
+    root = work.path("shards")
+    parts = manifest.groupBy("part").agg(F.sum("n_tokens").alias("n"))
+    before = parts.select("part", (F.sum("n").over(Window.orderBy("part")) - F.col("n")).alias("base"))
+    here = F.sum("n_tokens").over(Window.partitionBy("part").orderBy("piece")) - F.col("n_tokens")
+    files = manifest.select("part", F.concat(F.lit(f"{root}/"), "file").alias("file"), here.alias("here")).join(before, "part").select("file", (F.col("here") + F.col("base")).alias("start"))
     kinds = [("doc_id", pa.int64()), ("start", pa.int64()), ("n_tokens", pa.int64()), ("ids_crc32", pa.int64())] + [("ids", pa.list_(pa.int32()))] * with_ids
     schema = "doc_id long, start long, n_tokens long, ids_crc32 long" + ", ids array<int>" * with_ids
 
@@ -281,13 +276,14 @@ def read_shards(spark: SparkSession, work: Workspace, manifest: DataFrame, with_
                 if out:
                     yield batch(out)
 
-    files = spark.createDataFrame(rows, "file string, start long")
-    return files.repartition(max(1, len(rows)), "file").mapInArrow(read, schema)
+    return files.repartition(max(1, min(manifest.count(), 100_000)), "file").mapInArrow(read, schema)
 
 
 def lookup(work: Workspace, manifest: DataFrame, key: int | str | None) -> list[np.ndarray]:
-    """Ids of the documents with a key, by the footers, Bloom filters and indexes of the shards."""
-    return [ids for r in manifest.orderBy("part", "piece").collect() for ids in Shard(f"{work.path('shards')}/{r.file}").get(key)]
+    """Ids of the documents with a key: the key ranges of the manifest name the shards, whose Bloom filters and indexes find the block."""
+    want = F.lit(key_bytes(key))
+    near = manifest.where((F.col("first_key") <= want) & (F.col("last_key") >= want)).select("part", "piece", "file").collect()
+    return [ids for r in sorted(near) for ids in Shard(f"{work.path('shards')}/{r.file}").get(key)]
 
 
 def encode_to_shards(spark: SparkSession, docs: DataFrame, *, tokenizer: str | None = None) -> DataFrame:

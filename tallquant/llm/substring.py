@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tallquant.llm.common import BLANK_WORD, Workspace, as_bytes, blank_words, release, text_slices, window_hashes, word_hashes, worker_cache
+from tallquant.llm.common import BLANK_WORD, Workspace, as_bytes, blank_words, release, row_of, text_slices, unfold, window_hashes, word_hashes, worker_cache
 
 # Perfect difference sets, period to remainders.
 COVERS = {
@@ -261,7 +261,7 @@ def remove(width: int):
 
 
 def dedup_substrings(spark: SparkSession, docs: DataFrame, *, width: int = 13, keep: list[str] | None = None, bucket_bytes: int = 8 << 20) -> DataFrame:
-    """``n_words, n_removed, kept_sha256, kept_text`` beside the columns that ``keep`` names."""
+    """``n_words, n_removed, kept_sha256, kept_text`` beside the columns that ``keep`` names; one of these names gets ``_in`` behind it."""
     work, keep, period = Workspace(spark, "substring"), keep or ["doc_id"], choose_period(width)
     total = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     n = max(64, -(-total // bucket_bytes))
@@ -273,7 +273,7 @@ def dedup_substrings(spark: SparkSession, docs: DataFrame, *, width: int = 13, k
     dealt = rows.withColumn("dest", unsigned)
     flags = work.save(dealt.groupBy("dest").cogroup(shared.groupBy("dest")).applyInArrow(extend(width, period, n), PACKED).groupBy("dest").applyInArrow(decide(n), PACKED), "flags")
     work.free("shared")
-    whole = docs.select(key.alias("key"), F.struct(*keep).alias("own"), "text").withColumn("dest", unsigned)
+    whole = docs.select(key.alias("key"), row_of(keep).alias("own"), "text").withColumn("dest", unsigned)
     schema = T.StructType([whole.schema["own"], *T._parse_datatype_string("n_words long, n_removed long, kept_sha256 string, kept_text string").fields])
     out = whole.groupBy("dest").cogroup(flags.groupBy("dest")).applyInArrow(remove(width), schema)
-    return out.select("own.*", "n_words", "n_removed", "kept_sha256", "kept_text")
+    return unfold(out, keep)

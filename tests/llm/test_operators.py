@@ -220,6 +220,39 @@ def test_hmm_small_lists_and_edges(spark):
     assert hmm.score_texts(spark, frame(spark, []), F.lit(True)).count() == 0
 
 
+def test_hmm_scores_of_documents(spark, small):
+    """Every document's score against the forward recursion in plain Python, one long text included."""
+    rng = random.Random(3)
+    docs = spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "text").limit(40).union(spark.createDataFrame([(10**6, words(rng, 60_000, 700))], "doc_id long, text string"))
+    kept = {}
+    original = hmm.train
+    try:
+        hmm.train = lambda *a, **k: kept.setdefault("chain", original(*a, **k | {"passes": 2}))
+        rows = hmm.score_texts(spark, docs, F.lit(True), states=3, symbols=50, classes=4).collect()
+    finally:
+        hmm.train = original
+    chain, texts = kept["chain"], {r.doc_id: r.text for r in docs.collect()}
+    counts = Counter(w for t in texts.values() for w in blank_words(t.encode(), lower=True))
+    listed = [w for w, _ in sorted(counts.items(), key=lambda x: (-x[1], x[0].decode()))][:50]
+    total, types = Counter(), Counter()
+    for w, c in counts.items():
+        if w not in listed:
+            total[hmm.ending_class(w, 4)] += c
+            types[hmm.ending_class(w, 4)] += 1
+    assert len(rows) == 41
+    for r in rows:
+        state, score = [0.0, 0.0, 0.0, 1.0], 0.0
+        for w in [*blank_words(texts[r.doc_id].encode(), lower=True), None]:
+            k = 54 if w is None else listed.index(w) if w in listed else 50 + hmm.ending_class(w, 4)
+            if 50 <= k < 54:
+                score += math.log10((counts[w] + 0.1) / (total[k - 50] + 0.1 * (types[k - 50] + 1)))
+            state = [sum(state[i] * chain.move[i, j] for i in range(4)) * chain.emit[k, j] for j in range(4)]
+            norm = sum(state)
+            score += math.log10(norm)
+            state = [x / norm for x in state]
+        assert r.score == pytest.approx(score, rel=1e-9)
+
+
 # --- 3 shards --------------------------------------------------------------------------
 
 
@@ -350,6 +383,17 @@ def test_licences_edges(spark):
     assert licenses.scan_licenses(spark, frame(spark, [])).count() == 0
 
 
+def test_licences_of_long_texts_notices_and_own_templates(spark):
+    long = "word " * 50_000 + "Permission is hereby granted, free of charge, to any person " + "word " * 50_000 + "under the MIT license"
+    rows = {r.doc_id: r for r in licenses.scan_licenses(spark, frame(spark, [long, "may be used by zebras under no terms"])).collect()}
+    assert (rows[0].n_words, rows[0].n_base, rows[0].first_word) == (100_014, 1, 100_010)
+    assert {(n.label, n.first_word) for n in rows[0].notices} == {("mit", 50_000), ("mit", 100_009)} and rows[1].notices == []
+    own = [("may be used by zebras under " + "these " * 80 + "terms", "zebra", ["used by zebras"])]
+    text = "x may be used by zebras under " + "these " * 80 + "terms"
+    rows = licenses.scan_licenses(spark, frame(spark, [text, "used by zebras"]), notices=own).collect()
+    assert sorted((r.doc_id, r.labels, r.score) for r in rows) == [(0, "zebra", 1.0), (1, "", 0.0)]
+
+
 # --- 6 language ------------------------------------------------------------------------------
 
 
@@ -370,6 +414,50 @@ def test_language_edges(spark):
     assert langid.identify(spark, frame(spark, []), model, keep=["doc_id"]).count() == 0
 
 
+def brute_vector(text, idf):
+    """The TF-IDF trigram vector of a text, one trigram at a time."""
+    bits, counts = int(math.log2(len(idf))), Counter()
+    line = "  ".encode() + bytes(b if b >= 128 or 97 <= b <= 122 else b + 32 if 65 <= b <= 90 else 32 for b in (text or "").encode()) + b"  "
+    for i in range(len(line) - 2):
+        if line[i : i + 3] != b"   ":
+            counts[(int.from_bytes(line[i : i + 3], "big") * 2654435761) % 2**32 >> (32 - bits)] += 1
+    v = np.zeros(len(idf))
+    for k, c in counts.items():
+        v[k] = math.log1p(c) * idf[k]
+    return v / max(np.linalg.norm(v), 1e-12), counts
+
+
+def test_language_against_brute_force(spark, medium):
+    """Document frequencies, cosines, nearest centroid and rejection; repeated rows, ties and very long texts included."""
+    docs = spark.read.parquet(f"{medium}/documents.parquet").limit(300)
+    model = langid.learn(spark, docs.union(docs.limit(50)).union(docs.limit(50)), F.lit(True))
+    raw = [r.text for r in docs.collect()]
+    seen = Counter(k for t in raw + 2 * [r.text for r in docs.limit(50).collect()] for k in brute_vector(t, np.ones(4096))[1])
+    assert model.idf == pytest.approx([math.log(401 / (1 + seen[j])) + 0.05 for j in range(4096)], rel=1e-5)
+    texts = raw[:60] + odd_texts() + ["der die und " * 30_000, raw[0], raw[0]]
+    rows = langid.identify(spark, frame(spark, texts), model, keep=["doc_id", "key"]).collect()
+    assert len(rows) == len(texts)
+    for r in rows:
+        text = texts[r.doc_id]
+        v, counts = brute_vector(text, model.idf)
+        if not any(ch.isalpha() for ch in text or ""):
+            assert (r.lang_pred, r.score, r.rejected) == ("und", 0.0, True)
+            continue
+        cosine = model.centers @ v
+        best = int(np.argmax(cosine))
+        assert r.score == pytest.approx(min(1.0, max(0.0, cosine[best])), abs=1e-5)
+        assert cosine[model.langs.index(r.lang_pred) :][: model.langs.count(r.lang_pred)].max() == pytest.approx(cosine[best], abs=1e-5)
+        floor = model.floors[best, np.searchsorted(langid.BANDS, sum(counts.values()), side="right")]
+        assert abs(cosine[best] - floor) < 1e-5 or r.rejected == (cosine[best] < floor)
+
+
+def test_language_of_one_repeated_row(spark):
+    docs = frame(spark, ["ein Haus und ein Hof"] * 900 + ["a house and a yard"], [7] * 900 + [8]).withColumn("lang", F.when(F.col("doc_id") == 7, "de").otherwise("en"))
+    model = langid.learn(spark, docs, F.lit(True))
+    assert sorted(set(model.langs)) == ["de", "en"]
+    assert {(r.doc_id, r.lang_pred) for r in langid.identify(spark, docs, model, keep=["doc_id"]).collect()} == {(7, "de"), (8, "en")}
+
+
 # --- 7 substrings -----------------------------------------------------------------------------
 
 
@@ -423,7 +511,7 @@ def test_decontamination_spans_and_slices(spark):
     bench = spark.createDataFrame([(1, item), (2, "short one"), (3, None), (None, "..."), (4, "  ")], "item_id long, text string").withColumn("own", F.lit(1))
     texts = ["Intro: which OF these sir is the longest River in all of, the rest.", "a Short-One here", "", None, "nothing to see", "short shortone one short"]
     one = decontaminate.decontaminate(spark, frame(spark, texts), bench, keep=["doc_id", "own"]).collect()
-    many = decontaminate.decontaminate(spark, frame(spark, texts), bench, keep=["doc_id", "own"], automaton_bytes=8).collect()
+    many = decontaminate.decontaminate(spark, frame(spark, texts), bench, keep=["doc_id", "own"], automaton_nodes=60, segment_words=3).collect()
     assert sorted(map(str, one)) == sorted(map(str, many))
     rows = {r.doc_id: r for r in one}
     assert texts[0][rows[0].spans[0].start : rows[0].spans[0].end] == "which OF these sir is the longest River in all of, the"
@@ -432,6 +520,17 @@ def test_decontamination_spans_and_slices(spark):
     assert not decontaminate.decontaminate(spark, frame(spark, texts), bench.where("false")).where("contaminated").count()
 
 
+def test_decontamination_of_long_texts_and_clashing_columns(spark):
+    rng = random.Random(6)
+    item = words(rng, 30, 10**6)
+    long = words(rng, 150_000, 900) + " " + item + " " + words(rng, 1000, 900)
+    bench = spark.createDataFrame([("a", item), ("b", item + " tail")], "item_id string, text string")
+    docs = frame(spark, [long, "clean"]).withColumns({"n_hit": F.lit("mine"), "Contaminated": F.lit("also")})
+    rows = {r.doc_id: r for r in decontaminate.decontaminate(spark, docs, bench, keep=["doc_id", "n_hit", "Contaminated"]).collect()}
+    assert (rows[0].n_words, rows[0].n_hit, rows[0].item_ids, rows[0].n_hit_in, rows[0].Contaminated_in) == (151_030, 30, ["a", "b"], "mine", "also") and not rows[1].contaminated
+    assert long[rows[0].spans[0].start : rows[0].spans[0].end] == item
+
+
 # --- 9 fixity --------------------------------------------------------------------------------------
 
 
@@ -461,6 +560,20 @@ def test_audit_of_equal_and_odd_replicas(spark):
     assert warc_audit.audit_report(spark, empty).count() == 0
 
 
+def test_audit_of_line_breaks_and_crowded_identifiers(spark):
+    rows = [(i, f"http://a\r\n\r\n{i}\nx", f"<p>{i}\r\n\r\n") for i in range(30)] + [(None, "http://n", f"page {k}") for k in range(2500)] + [(7, None, f"seven {k % 1500}") for k in range(3000)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumns({"record": F.lit(1), "digest": F.lit("x"), "file": F.lit(0), "slot": F.lit(0)})
+    out = warc_audit.audit_report(spark, pages).collect()
+    assert len(out) == 30 + 2500 + 1500 and {r.status for r in out} == {"ok"}
+    held = Counter(r.warc_file for r in out)
+    assert max(held.values()) < 1400 and len(held) >= 5
+    urls = [r.url for r in warc_audit.warc_records(pages).where("record_id = 3").collect()]
+    assert urls == ["http://a%0D%0A%0D%0A3%0Ax"]
+    lose = lambda r: r.where("not (record_id is null and body = 'page 9') and not (record_id = 7 and body = 'seven 5')").withColumn("record", F.when(F.col("body") == "seven 4", F.replace("record", F.lit("seven 4"), F.lit("seven !"))).otherwise(F.col("record")))
+    bad = [(r.page_id, r.status) for r in warc_audit.audit_report(spark, pages, lose).collect() if r.status != "ok"]
+    assert sorted(bad, key=str) == [(7, "corrupt"), (7, "missing"), (None, "missing")]
+
+
 # --- 10 packing ---------------------------------------------------------------------------------------
 
 
@@ -494,6 +607,17 @@ def test_packing_is_a_partition(spark, width, windows, fan):
     assert share < (0.3 if width == 2048 else 0.15)
 
 
+def test_packing_of_repeated_identifiers(spark):
+    docs = frame(spark, ["one two three"] * 40 + ["four"], [5] * 40 + [None])
+    rows = packing.pack(spark, docs, width=16).collect()
+    assert sum(r.length for r in rows) == 40 * rows[0].doc_tokens + next(r.doc_tokens for r in rows if r.doc_id is None)
+    used = Counter()
+    for r in sorted(rows, key=lambda r: (r.sequence_id, r.offset)):
+        assert r.offset == used[r.sequence_id]
+        used[r.sequence_id] += r.length
+    assert max(used.values()) <= 16
+
+
 def test_packing_of_nothing(spark):
     assert packing.pack(spark, frame(spark, [])).count() == 0
 

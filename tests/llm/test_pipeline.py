@@ -75,3 +75,29 @@ def test_entry_registers_everything():
 
     names = entry.queries()
     assert "pipeline" in names and all(any(n.startswith(f"op{k}_") for n in names) for k in range(1, 11))
+
+
+CLASHES = ["score", "rejected", "lang_pred", "n_words", "n_removed", "kept_text", "kept_sha256", "spans", "contaminated", "n_hit", "own", "key", "words", "component", "node", "tallquant_row", "a.b"]
+
+
+def test_stages_with_clashing_columns_repeated_rows_and_nulls(spark, small):
+    """Columns of any name come through; repeated rows, null identifiers and null texts have a defined result in each stage."""
+    docs, rows, _ = planted(spark, small)
+    odd = [(None, rows[5][1], "en", "s", 1), (None, None, None, None, None), (7, "", "de", None, 0), rows[3], rows[3]]
+    docs = docs.union(spark.createDataFrame(odd, SCHEMA))
+    plain = docs
+    for c in CLASHES:
+        docs = docs.withColumn(c, F.concat(F.lit(f"{c}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit("none"))))
+    for name, stage in P.STAGES[:-1]:
+        out = stage(spark, docs, small)
+        assert out.columns == docs.columns, name
+        got = out.collect()
+        assert all(r[c] == f"{c}:{'none' if r.doc_id is None else r.doc_id}" for r in got for c in CLASHES), name
+        want = stage(spark, plain, small).collect()
+        assert sorted(((r.doc_id, r.text) for r in got), key=str) == sorted(((r.doc_id, r.text) for r in want), key=str), name
+        if name in ("language_id", "decontamination"):
+            assert sum((r.doc_id, r.text) == rows[3][:2] for r in got) == 3, name
+        if name == "near_duplicates":
+            assert sum(r.text == rows[3][1] for r in got) == 1 and sum(r.text == rows[5][1] for r in got) == 1 and any(r.text is None for r in got), name
+    packed = P.STAGES[-1][1](spark, docs, small)
+    assert packed.where("doc_id is null").select("doc_tokens").distinct().count() == 2
