@@ -190,15 +190,19 @@ def components(spark: SparkSession, edges: DataFrame, work: Workspace, tag: str
     edges = edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()
     edges = work.save(edges, f"{tag}-0")
     before, k = None, 0
+
+    def meet(some: DataFrame, least: DataFrame) -> DataFrame:
+        """Join on the node and a second key, so that both sides have exchanges of their own and a hub's partition can be split."""
+        near = F.shiftright("u", 5).alias("near")
+        return some.select("u", "v", near).join(least.select("u", "m", near), ["u", "near"]).drop("near")
+
     while True:
         both = edges.union(edges.select("v", "u"))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-        large = (
-            both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        )
+        large = meet(both.where("v > u"), least).select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = (
-            large.join(least, "u")
+            meet(large, least)
             .select(F.explode(F.array(F.struct(F.col("u").alias("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e"))
             .select("e.u", "e.v")
             .where("u <> v")
