@@ -6,15 +6,24 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
-def asof_join(left: DataFrame, right: DataFrame, by: str, time: str, value: str, out: str) -> DataFrame:
+def asof_join(left: DataFrame, right: DataFrame, by: str, time: str, value: str, out: str, seconds: int = 86_400) -> DataFrame:
     """For each left row the latest right value at or before it, by one union and a running last.
 
-    Both sides are shuffled once by the key; no pairs are formed.
+    The running last stays within a bin of ``seconds``, so a hot key is dealt by
+    time; what a bin starts with is the last value of the bins before it, one row
+    a key and bin.  No pairs are formed.
     """
+    bin_of = F.floor(F.unix_timestamp(F.col(time).cast("timestamp")) / seconds)
     l = left.select(by, time, F.lit(1).alias("_side"), F.lit(None).cast(dict(right.dtypes)[value]).alias("_v"), F.struct(*left.columns).alias("_row"))  # noqa: E741
     r = right.select(by, time, F.lit(0).alias("_side"), F.col(value).alias("_v"), F.lit(None).cast(l.schema["_row"].dataType).alias("_row"))
-    w = Window.partitionBy(by).orderBy(time, "_side").rowsBetween(Window.unboundedPreceding, 0)
-    return l.union(r).withColumn(out, F.last("_v", ignorenulls=True).over(w)).where("_side = 1").select("_row.*", out)
+    both = l.union(r).withColumn("_bin", bin_of)
+    here = Window.partitionBy(by, "_bin").orderBy(time, "_side").rowsBetween(Window.unboundedPreceding, 0)
+    inside = both.withColumn("_here", F.last("_v", ignorenulls=True).over(here)).where("_side = 1")
+    ends = both.groupBy(by, "_bin").agg(F.max_by("_v", F.when(F.col("_v").isNotNull(), F.col(time))).alias("_end"))
+    before = Window.partitionBy(by).orderBy("_bin").rowsBetween(Window.unboundedPreceding, -1)
+    carried = ends.select(F.col(by).alias("_by"), F.col("_bin").alias("_at"), F.last("_end", ignorenulls=True).over(before).alias("_carried"))
+    rows = inside.join(carried, F.col(by).eqNullSafe(F.col("_by")) & F.col("_bin").eqNullSafe(F.col("_at")), "left")
+    return rows.select("_row.*", F.coalesce("_here", "_carried").alias(out))
 
 
 def range_join(rows: DataFrame, value: str, bands: DataFrame, low: str, high: str) -> DataFrame:

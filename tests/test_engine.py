@@ -351,3 +351,19 @@ def test_sparse_work_follows_the_nonzeros(spark, small):
     rows = sparse.augmented(D.to_sparse(D.skew_lineitem(spark, small, 40, 1.1)))
     out = sparse.sparse_cauchy(rows, 10**6, 1)
     assert out.count() <= 2 * 6000 and rows.agg(F.sum(F.size("idx"))).first()[0] == 2 * 6000
+
+
+def test_asof_join_across_bins(spark):
+    """A value is carried over bins that hold none, for every key, null included."""
+    from datetime import datetime, timedelta
+
+    from tallquant.operators.relational import asof_join
+
+    t0 = datetime(2024, 1, 1)
+    left = [(k, t0 + timedelta(hours=h), h) for k in (1, 2, None) for h in range(0, 200, 9)]
+    right = [(1, t0 + timedelta(hours=5), 10.0), (1, t0 + timedelta(hours=30), None), (1, t0 + timedelta(hours=90), 20.0), (None, t0 + timedelta(hours=9), 7.0), (2, t0 + timedelta(hours=500), 1.0)]
+    out = asof_join(spark.createDataFrame(left, "k int, ts timestamp, h int"), spark.createDataFrame(right, "k int, ts timestamp, v double"), "k", "ts", "v", "got").collect()
+    for r in out:
+        seen = [(t, v) for k, t, v in right if k == r.k and t <= r.ts and v is not None]
+        assert r.got == (max(seen)[1] if seen else None)
+    assert len(out) == len(left)
