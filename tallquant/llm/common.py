@@ -9,7 +9,7 @@ import re
 import tempfile
 import time
 import uuid
-from itertools import chain
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -251,52 +251,76 @@ class WordEncoder:
         self.flat, self.size = np.empty(1 << 20, dtype=np.uint32), 0
         self.at, self.length = np.empty(1 << 18, dtype=np.int64), np.empty(1 << 18, dtype=np.int64)
 
-    def _store(self, ids: list[list[int]], first: int) -> None:
-        """Append the ids of the chunks numbered first, first + 1, ..."""
-        n = np.fromiter(map(len, ids), dtype=np.int64, count=len(ids))
-        total = int(n.sum())
-        while self.size + total > len(self.flat):
+    def _store(self, ids: np.ndarray, n: np.ndarray, first: int) -> None:
+        """Append the ids of the chunks numbered first, first + 1, ..., of n ids each."""
+        while self.size + len(ids) > len(self.flat):
             self.flat = np.resize(self.flat, 2 * len(self.flat))
-        while first + len(ids) > len(self.at):
+        while first + len(n) > len(self.at):
             self.at, self.length = np.resize(self.at, 2 * len(self.at)), np.resize(self.length, 2 * len(self.length))
-        if ids:
-            self.flat[self.size : self.size + total] = np.fromiter(chain.from_iterable(ids), dtype=np.uint32, count=total)
-        self.at[first : first + len(ids)] = self.size + np.cumsum(n) - n
-        self.length[first : first + len(ids)] = n
-        self.size += total
+        self.flat[self.size : self.size + len(ids)] = ids
+        self.at[first : first + len(n)] = self.size + np.cumsum(n) - n
+        self.length[first : first + len(n)] = n
+        self.size += len(ids)
+
+    def _encode_names(self, names: list[bytes]) -> tuple[list[int], list[int]]:
+        """All ids of some lower-case chunks one after the other, and how many each has."""
+        found: dict[bytes, list[int]] = {}
+        # lower-case Latin-1 letters are one pre-token that the normaliser leaves alone: straight to the library's model
+        plain = [n for n in names if n.isalpha() or _PLAIN(n)]
+        if plain:
+            words = b"\n".join(plain).decode("latin-1").translate(_BYTE_LEVEL).split(chr(_BYTE_LEVEL[10]))
+            found = dict(zip(plain, [[t.id for t in tokens] for tokens in map(self.lib.model.tokenize, words)], strict=True))
+        other = [n for n in names if n not in found]
+        for name in [n for n in other if b"\0" in n]:
+            found[name] = self.lib.encode(name.decode(), add_special_tokens=False).ids
+        other = [n for n in other if n not in found]
+        for start in range(0, len(other), 1024):
+            some = other[start : start + 1024]
+            got = self.lib.encode_batch_fast(b"\0".join(some).decode().split("\0"), add_special_tokens=False)
+            found.update(zip(some, [e.ids for e in got], strict=True))
+        lists = [found[n] for n in names]
+        return list(chain.from_iterable(lists)), list(map(len, lists))
 
-    def _encode_chunks(self, chunks: list[bytes]) -> list[list[int]]:
-        """Ids of distinct chunks; one library call serves a word in either case and before a full stop or comma.
+    def _encode_chunks(self, chunks: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of distinct chunks one after the other, and how many each has; a word in either case and before a full stop or comma is encoded once.
 
         The normaliser lowers letters, and a boundary always lies between a
         letter and a stop, so both steps give the ids of the chunk itself.  Chunks
         with ``<|`` may hold a special token, which is case-sensitive.
         """
-        parts = [
-            (c, b"") if b"<|" in c or b"\0" in c else (c[:-1].lower(), c[-1:]) if c[-1] in b".," and c[-2:-1].isalpha() else (c.lower(), b"")
-            for c in chunks
-        ]
-        bases: dict[bytes, list[int]] = dict.fromkeys([b for b, _ in parts] + [b".", b","])
-        names = list(bases)
-        for name in [n for n in names if b"\0" in n]:
-            bases[name] = self.lib.encode(name.decode(), add_special_tokens=False).ids
-        names = [n for n in names if b"\0" not in n]
-        for name in names:
-            k = self.known.get(name)
-            if k is not None:
-                a = self.at[k]
-                bases[name] = self.flat[a : a + self.length[k]].tolist()
-        names = [n for n in names if bases[n] is None]
-        # lower-case Latin-1 letters are one pre-token that the normaliser leaves alone: straight to the library's model
-        plain, one = [n for n in names if _PLAIN(n)], self.lib.model.tokenize
-        for name in plain:
-            bases[name] = [t.id for t in one(name.decode("latin-1").translate(_BYTE_LEVEL))]
-        names = [n for n in names if bases[n] is None]
-        for start in range(0, len(names), 1024):
-            some = names[start : start + 1024]
-            got = self.lib.encode_batch_fast(b"\0".join(some).decode().split("\0"), add_special_tokens=False)
-            bases.update(zip(some, [e.ids for e in got], strict=True))
-        return [bases[b] + bases[t] if t else bases[b] for b, t in parts]
+        size = np.fromiter(map(len, chunks), dtype=np.int64, count=len(chunks))
+        line = b"\n".join(chunks).lower()
+        lows, raw, ends = line.split(b"\n"), np.frombuffer(line, dtype=np.uint8), np.cumsum(size + 1) - 1
+        last, before = raw[ends - 1], raw[np.maximum(ends - 2, 0)]
+        stop = ((last == 46) | (last == 44)) & (size > 1) & (before >= 97) & (before <= 122)
+        if b"<|" in line or b"\0" in line:
+            for i in [i for i, c in enumerate(chunks) if b"<|" in c or b"\0" in c]:
+                lows[i], stop[i] = chunks[i], False
+        bases = [x[:-1] if cut else x for x, cut in zip(lows, stop.tolist(), strict=True)]
+        names = list(dict.fromkeys(chain(bases, (b".", b","))))
+        at, n = np.empty(len(names), dtype=np.int64), np.empty(len(names), dtype=np.int64)
+        number = np.fromiter(map(self.known.get, names, repeat(-1)), dtype=np.int64, count=len(names))
+        old, new = np.flatnonzero(number >= 0), np.flatnonzero(number < 0)
+        at[old], n[old] = self.at[number[old]], self.length[number[old]]
+        ids, counts = self._encode_names([names[i] for i in new.tolist()])
+        n[new] = counts
+        at[new] = self.size + np.cumsum(n[new]) - n[new]
+        source = np.concatenate((self.flat[: self.size], np.array(ids, dtype=np.uint32)))
+        where = dict(zip(names, range(len(names)), strict=True))
+        base = np.fromiter(map(where.__getitem__, bases), dtype=np.int64, count=len(bases))
+        length, marks = n[base], {m: source[at[where[c]] : at[where[c]] + n[where[c]]] for m, c in ((46, b"."), (44, b","))}
+        total = length.copy()
+        for m, own in marks.items():
+            total += np.where(stop & (last == m), len(own), 0)
+        starts = np.cumsum(total) - total
+        out = np.empty(int(total.sum()), dtype=np.uint32)
+        step = np.arange(int(length.sum())) - np.repeat(np.cumsum(length) - length, length)
+        out[np.repeat(starts, length) + step] = source[np.repeat(at[base], length) + step]
+        for m, own in marks.items():
+            there = np.flatnonzero(stop & (last == m))
+            for j, one in enumerate(own.tolist()):
+                out[starts[there] + length[there] + j] = one
+        return out, total
 
     def encode(self, texts: list[bytes | None]) -> list[np.ndarray]:
         """Ids of each text as uint32; null as the empty text."""
@@ -309,22 +333,23 @@ class WordEncoder:
     def _encode(self, texts: list[bytes | None]) -> list[np.ndarray]:
         chunks = [t.split() if t else [] for t in texts]
         counts = np.fromiter(map(len, chunks), dtype=np.int64, count=len(chunks))
-        flat = [c for cs in chunks for c in cs]
+        flat = list(chain.from_iterable(chunks))
         get = self.known.get
-        index = np.fromiter([get(c, -1) for c in flat], dtype=np.int64, count=len(flat))
+        index = np.fromiter(map(get, flat, repeat(-1)), dtype=np.int64, count=len(flat))
         size, missing = self.size, np.flatnonzero(index < 0)
         if len(missing):
             absent = [flat[i] for i in missing]
             names = list(dict.fromkeys(absent))
             first = len(self.known)
             numbers = dict(zip(names, range(first, first + len(names)), strict=True))
-            ids = self._encode_chunks(names)
-            room = max(0, self.limit - first)
-            self._store(ids[:room], first)
-            self.known.update(zip(names[:room], range(first, first + len(names)), strict=False))
+            ids, n = self._encode_chunks(names)
+            room = min(len(names), max(0, self.limit - first))
+            cut = int(n[:room].sum())
+            self._store(ids[:cut], n[:room], first)
+            self.known.update(zip(names[:room], range(first, first + room), strict=True))
             size = self.size
-            self._store(ids[room:], first + min(room, len(names)))
-            index[missing] = [numbers[c] for c in absent]
+            self._store(ids[cut:], n[room:], first + room)
+            index[missing] = np.fromiter(map(numbers.__getitem__, absent), dtype=np.int64, count=len(absent))
         length = self.length[index]
         ends = np.cumsum(length)
         total = int(ends[-1]) if len(ends) else 0
