@@ -138,9 +138,9 @@ def learn(spark: SparkSession, docs: DataFrame, learns, *, dims: int = 4096, cen
 
     # about ``sample`` different rows of each language, by a hash: the scan drops the others, and repeated rows are one
     fine, key = 1 << 30, F.xxhash64("doc_id", "text")
-    sizes = rows.groupBy("lang").agg(F.approx_count_distinct(key, 0.02).alias("size"))
-    chosen = rows.select("doc_id", "text", "lang", F.pmod(key, F.lit(fine)).alias("coin")).join(sizes, "lang")
-    chosen = chosen.where(F.col("coin") * F.col("size") < fine * sample).select("doc_id", "text", "lang").distinct()
+    sizes = {r.lang: r.size for r in rows.groupBy("lang").agg(F.approx_count_distinct(key, 0.02).alias("size")).collect()}
+    limits = F.create_map(*[F.lit(x) for lang, n in sorted(sizes.items()) for x in (lang, int(min(fine, fine * sample // n)))]) if sizes else F.create_map(F.lit(""), F.lit(0))
+    chosen = rows.where(F.pmod(key, F.lit(fine)) < limits[F.col("lang")]).select("doc_id", "text", "lang").distinct()
 
     def fit(part: pd.DataFrame) -> pd.DataFrame:
         part = part.sort_values(["doc_id", "text"], kind="stable").head(2 * sample)

@@ -493,6 +493,17 @@ def test_substrings_equal_brute_force(spark, width):
         assert hashlib.sha256(b" ".join((r.kept_text or "").encode().split())).hexdigest() == r.kept_sha256
 
 
+def test_substrings_of_a_row_that_repeats(spark):
+    texts = odd_texts() + near_copies()
+    ids = list(range(len(texts)))
+    texts, ids = texts + 20 * [texts[7]] + 5 * [None], ids + 20 * [7] + 5 * [None]
+    own = [f"row {k}" for k in range(len(texts))]
+    docs = spark.createDataFrame(list(zip(ids, texts, own, strict=True)), "doc_id long, text string, kept_text string")
+    got = substring.dedup_substrings(spark, docs, keep=["doc_id", "kept_text"], copies=3).collect()
+    assert sorted((r.doc_id if r.doc_id is not None else -1, r.n_words, r.n_removed, r.kept_sha256) for r in got) == brute_removed(texts, ids, 13)
+    assert sorted(r.kept_text_in for r in got) == sorted(own)
+
+
 @pytest.mark.parametrize("period", sorted(substring.COVERS))
 def test_covers_are_difference_covers(period):
     cover = set(substring.COVERS[period])
