@@ -47,7 +47,8 @@ def main() -> None:
     census.count()
     s = min(50_000.0, 0.1 * n)
 
-    big = D.stack(census, STACK)
+    big, entries = D.stack(census, STACK), D.to_sparse(skew).persist()
+    entries.count()
 
     def fit(design, method, size=s):
         return quantreg.quantile_fit(design, TAUS, s=size, conditioning=method, solver="ipm").collect()
@@ -64,7 +65,7 @@ def main() -> None:
         "exact_onehot_window": lambda: quantreg.onehot_fit(skew, 0.75, how="window").collect(),
         "condition_round_fast": lambda: condition(augment(census), "round_fast"),
         "condition_round_full": lambda: condition(augment(census), "round_full"),
-        "fit_skew_sparse_rows": lambda: sparse.quantile_fit(D.to_sparse(skew), d, TAUS, s=s, solver="ipm").collect(),
+        "fit_skew_sparse_rows": lambda: sparse.quantile_fit(entries, d, TAUS, s=s, solver="ipm").collect(),
         f"fit_census_x{STACK}_sparse_qr_qr": lambda: fit(big, "sparse_qr_qr", 50_000.0),
         f"exact_census_x{STACK}_merge_rows": lambda: [quantreg.preprocess_exact(big, tau) for tau in TAUS],
         f"exact_census_x{STACK}_interior_point": lambda: three_levels(*quantreg.local_matrix(big)[:2]),

@@ -51,9 +51,10 @@ def _products(b: pa.Array, x: pa.Array, matrix: np.ndarray) -> Iterator[np.ndarr
     while start < len(b):
         stop = max(start + 1, int(np.searchsorted(ends, ends[start] + most, side="right")) - 1)
         stop = min(stop, start + most)
-        out = b[start:stop, None] * matrix[0]
-        owner = np.repeat(np.arange(stop - start), np.diff(ends[start : stop + 1]))
-        np.subtract.at(out, owner, v[ends[start] : ends[stop], None] * matrix[1 + at[ends[start] : ends[stop]]])
+        out, first, last = b[start:stop, None] * matrix[0], ends[start], ends[stop]
+        some = np.flatnonzero(np.diff(ends[start : stop + 1]))
+        if len(some):
+            out[some] -= np.add.reduceat(v[first:last, None] * matrix[1 + at[first:last]], ends[start + some] - first, axis=0)
         yield out
         start = stop
 
