@@ -160,12 +160,16 @@ class Workspace:
         df.write.mode("overwrite").parquet(self.path(name))
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
-    def free(self, *names: str) -> None:
-        """Delete saved tables that no later step reads, and the shuffle files of jobs that ended."""
+    def drop(self, *names: str) -> None:
+        """Delete saved tables that no later step reads."""
         jvm, conf = self.spark.sparkContext._jvm, self.spark.sparkContext._jsc.hadoopConfiguration()
         for name in names:
             p = jvm.org.apache.hadoop.fs.Path(self.path(name))
             p.getFileSystem(conf).delete(p, True)
+
+    def free(self, *names: str) -> None:
+        """Delete saved tables, and the shuffle files of jobs that ended."""
+        self.drop(*names)
         release(self.spark)
 
 
@@ -214,7 +218,7 @@ def components(spark: SparkSession, edges: DataFrame, work: Workspace, tag: str
         if now == before:
             break
         before = now
-        work.free(f"{tag}-{k - 1}")
+        work.drop(f"{tag}-{k - 1}")
     leaves = edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
     return leaves.union(leaves.select(F.col("component").alias("node"), "component").distinct())
 

@@ -254,26 +254,43 @@ def remove(width: int):
                 n_removed.append(0)
                 kept.append(text.decode() if text is not None else None)
             digests.append(hashlib.sha256(b" ".join(words)).hexdigest())
-        arrays = [docs.column("own"), pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(digests, pa.string()), pa.array(kept, pa.string())]
-        return pa.Table.from_arrays(arrays, names=["own", "n_words", "n_removed", "kept_sha256", "kept_text"])
+        arrays = [docs.column("key"), docs.column("own"), pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(digests, pa.string()), pa.array(kept, pa.string())]
+        return pa.Table.from_arrays(arrays, names=["key", "own", "n_words", "n_removed", "kept_sha256", "kept_text"])
 
     return run
 
 
-def dedup_substrings(spark: SparkSession, docs: DataFrame, *, width: int = 13, keep: list[str] | None = None, bucket_bytes: int = 8 << 20) -> DataFrame:
-    """``n_words, n_removed, kept_sha256, kept_text`` beside the columns that ``keep`` names; one of these names gets ``_in`` behind it."""
-    work, keep, period = Workspace(spark, "substring"), keep or ["doc_id"], choose_period(width)
-    total = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    n = max(64, -(-total // bucket_bytes))
+def dedup_substrings(spark: SparkSession, docs: DataFrame, *, width: int = 13, keep: list[str] | None = None, bucket_bytes: int = 8 << 20, copies: int = 256) -> DataFrame:
+    """``n_words, n_removed, kept_sha256, kept_text`` beside the columns that ``keep`` names; one of these names gets ``_in`` behind it.
+
+    A row (identifier and text) that occurs more than ``copies`` times goes through
+    once, and its result is joined to all of them.
+    """
+    work, keep = Workspace(spark, "substring"), keep or ["doc_id"]
     key = F.xxhash64("doc_id", "text")
-    rows = docs.select(key.alias("key"), F.col("doc_id").cast("long").alias("doc_id"), "text")
-    shared = work.save(rows.mapInArrow(find_anchors(width, period, n), PACKED).groupBy("dest").applyInArrow(match_anchors(n), PACKED), "shared")
+    rows = docs.select(key.alias("key"), F.col("doc_id").cast("long").alias("doc_id"), "text", row_of(keep).alias("own"))
+    crowded = work.save(rows.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > copies).select("key"), "crowded")
+    if crowded.isEmpty():
+        return unfold(_remove_all(work, rows, width, bucket_bytes).drop("key"), keep)
+    often = rows.join(crowded, "key", "left_semi")
+    one = often.groupBy("key").agg(F.first("doc_id").alias("doc_id"), F.first("text").alias("text")).withColumn("own", F.lit(None).cast(rows.schema["own"].dataType))
+    done = work.save(_remove_all(work, rows.join(crowded, "key", "left_anti").unionByName(one), width, bucket_bytes), "done")
+    again = often.select("key", "own").join(done.where("own is null").drop("own"), "key")
+    return unfold(done.where("own is not null").unionByName(again).drop("key"), keep)
+
+
+def _remove_all(work: Workspace, rows: DataFrame, width: int, bucket_bytes: int) -> DataFrame:
+    """``key, own`` with the results, for ``rows(key, doc_id, text, own)``."""
+    spark, period = rows.sparkSession, choose_period(width)
+    total = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    n = max(64, -(-total // bucket_bytes))
+    texts = rows.select("key", "doc_id", "text")
+    shared = work.save(texts.mapInArrow(find_anchors(width, period, n), PACKED).groupBy("dest").applyInArrow(match_anchors(n), PACKED), "shared")
     release(spark)
     unsigned = F.expr(f"cast(pmod(cast(key as decimal(20,0)) + case when key < 0 then 18446744073709551616BD else 0BD end, {n}BD) as long)")
-    dealt = rows.withColumn("dest", unsigned)
+    dealt = texts.withColumn("dest", unsigned)
     flags = work.save(dealt.groupBy("dest").cogroup(shared.groupBy("dest")).applyInArrow(extend(width, period, n), PACKED).groupBy("dest").applyInArrow(decide(n), PACKED), "flags")
     work.free("shared")
-    whole = docs.select(key.alias("key"), row_of(keep).alias("own"), "text").withColumn("dest", unsigned)
-    schema = T.StructType([whole.schema["own"], *T._parse_datatype_string("n_words long, n_removed long, kept_sha256 string, kept_text string").fields])
-    out = whole.groupBy("dest").cogroup(flags.groupBy("dest")).applyInArrow(remove(width), schema)
-    return unfold(out, keep)
+    whole = rows.select("key", "own", "text").withColumn("dest", unsigned)
+    schema = T.StructType([rows.schema["key"], T.StructField("own", rows.schema["own"].dataType), *T._parse_datatype_string("n_words long, n_removed long, kept_sha256 string, kept_text string").fields])
+    return whole.groupBy("dest").cogroup(flags.groupBy("dest")).applyInArrow(remove(width), schema)
