@@ -242,7 +242,9 @@ def write_shards(docs: DataFrame, work: Workspace, *, tokenizer: str | None = No
     fs, path = filesystem(root)
     fs.create_dir(path, recursive=True)
     tie = F.xxhash64("text")
-    ranged = docs.select("doc_id", "text").repartitionByRange("doc_id", tie).sortWithinPartitions("doc_id", tie)
+    # equal rows come in any order, so where they came from splits a row that repeats without end
+    keyed = docs.select("doc_id", "text", F.spark_partition_id().alias("origin"))
+    ranged = keyed.repartitionByRange("doc_id", tie, "origin").sortWithinPartitions("doc_id", tie).select("doc_id", "text")
     return work.save(ranged.mapInArrow(write, MANIFEST), "manifest")
 
 
