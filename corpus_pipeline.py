@@ -20,22 +20,23 @@ WINDOW_WORDS, LEAST_ITEM_WORDS = 10, 6
 
 
 def _boxed(docs: DataFrame) -> tuple[DataFrame, str]:
-    """``doc_id, text`` and the whole row as one struct, whose name no column has; so no column can clash with a result."""
+    """``doc_id, text`` and the other columns as one struct, whose name no column has; so none can clash with a result, and texts travel once."""
     name = "tallquant_row"
     while name in {c.lower() for c in docs.columns}:
         name += "_"
-    return docs.select("doc_id", "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(name)), name
+    return docs.select("doc_id", "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns if c != "text"]).alias(name)), name
 
 
-def _unboxed(frame: DataFrame, name: str) -> DataFrame:
-    return frame.select(f"{name}.*")
+def _unboxed(frame: DataFrame, name: str, docs: DataFrame, **new) -> DataFrame:
+    """The columns of ``docs`` again, some of them new."""
+    return frame.select(*[(new[c].cast(kind) if c in new else F.col("text") if c == "text" else F.col(name)[c]).alias(c) for c, kind in docs.dtypes])
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language is recognised; rejected ones (no letter, or far from every centroid) go."""
     model = langid.learn(spark, docs, F.lit(True))
     boxed, name = _boxed(docs)
-    return _unboxed(langid.identify(spark, boxed, model, keep=[name]).where("not rejected"), name)
+    return _unboxed(langid.identify(spark, boxed, model, keep=[name, "text"]).where("not rejected"), name, docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,27 +51,26 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     heads = members.groupBy("component").agg(first.alias("h")).select("h.key")
     stay = heads.union(groups.where("n_shingles = 0").select("key").distinct())
     boxed, name = _boxed(docs)
-    keyed = boxed.select(name, F.xxhash64("doc_id", "text").alias("key"), F.col("text").rlike(r"[^\x20\x09-\x0D]").alias("words"))
+    keyed = boxed.select(name, "text", F.xxhash64("doc_id", "text").alias("key"), F.col("text").rlike(r"[^\x20\x09-\x0D]").alias("words"))
     left = keyed.join(stay.hint("shuffle_hash"), "key", "left_semi")
     whole = left.where("words").dropDuplicates(["key"])
     empty = left.where(F.coalesce(~F.col("words"), F.lit(True)))
-    return _unboxed(whole.union(empty), name)
+    return _unboxed(whole.union(empty), name, docs)
 
 
 def substring_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages that an earlier document holds are cut out; documents emptied by that go."""
     boxed, name = _boxed(docs)
     kept = substring.dedup_substrings(spark, boxed, width=PASSAGE_WORDS, keep=[name]).where("n_removed < n_words or n_words = 0")
-    new = {"text": F.col("kept_text"), "n_chars": F.length("kept_text")}
-    return kept.select(*[(new[c].cast(kind) if c in new else F.col(name)[c]).alias(c) for c, kind in docs.dtypes])
+    return _unboxed(kept, name, docs, text=F.col("kept_text"), n_chars=F.length("kept_text"))
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a window of a benchmark item go."""
     benchmark = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
     boxed, name = _boxed(docs)
-    found = decontaminate.decontaminate(spark, boxed, benchmark, width=WINDOW_WORDS, least_words=LEAST_ITEM_WORDS, keep=[name])
-    return _unboxed(found.where("not contaminated"), name)
+    found = decontaminate.decontaminate(spark, boxed, benchmark, width=WINDOW_WORDS, least_words=LEAST_ITEM_WORDS, keep=[name, "text"])
+    return _unboxed(found.where("not contaminated"), name, docs)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

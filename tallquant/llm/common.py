@@ -125,15 +125,15 @@ def carried(keep: list[str], results: list[str]) -> dict[str, str]:
 
 
 def row_of(keep: list[str]):
-    """The columns to carry, as one struct whose fields are numbered, so that no name can clash."""
-    return F.struct(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(keep)])
+    """The columns to carry but the text, as one struct whose fields are numbered, so that no name can clash."""
+    return F.struct(F.lit(None).cast("int").alias("none"), *[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(keep) if c != "text"])
 
 
-def unfold(frame: DataFrame, keep: list[str], own: str = "own") -> DataFrame:
-    """The carried columns of :func:`row_of`, then the others."""
-    results = [c for c in frame.columns if c != own]
+def unfold(frame: DataFrame, keep: list[str]) -> DataFrame:
+    """The carried columns of :func:`row_of` and the text, if it is one of them, then the results."""
+    results = [c for c in frame.columns if c not in ("own", "own_text")]
     names = carried(keep, results)
-    return frame.select(*[F.col(own)[f"c{i}"].alias(names[c]) for i, c in enumerate(keep)], *results)
+    return frame.select(*[(F.col("own_text") if c == "text" else F.col("own")[f"c{i}"]).alias(names[c]) for i, c in enumerate(keep)], *results)
 
 
 class Workspace:

@@ -122,10 +122,10 @@ def decontaminate(
         own = items if parts == 1 else items.where(F.expr(f"pmod(xxhash64(item_id, text), {parts}) = {k}"))
         return spark.sparkContext.broadcast([(r.item_id, r.text.encode()) for r in own.collect()])
 
-    frame = docs.select(row_of(keep).alias("own"), "text")
-    schema = T.StructType([frame.schema["own"], *T._parse_datatype_string(FOUND).fields])
+    frame, with_text = docs.select(row_of(keep).alias("own"), "text"), "text" in keep
+    schema = T.StructType([frame.schema["own"], *T._parse_datatype_string(FOUND + ", own_text string" * with_text).fields])
     if parts == 1:
-        return unfold(frame.mapInArrow(_scanner(part(0), uuid.uuid4().hex, width), schema), keep)
+        return unfold(frame.mapInArrow(_scanner(part(0), uuid.uuid4().hex, width, with_text), schema), keep)
     # the text alone decides what is found in it, so texts are told apart by 128 bits of hash
     work, key = Workspace(spark, "decontaminate"), [F.xxhash64("text").alias("k1"), F.xxhash64("text", F.lit(1)).alias("k2")]
     texts = docs.where("text is not null").select(*key, "text")
@@ -134,7 +134,7 @@ def decontaminate(
         found[0] = found[0].union(other)
     hits = found[0].groupBy("k1", "k2").agg(F.flatten(F.collect_set("hit")).alias("hit"), F.flatten(F.collect_set("found")).alias("found"))
     both = docs.select(row_of(keep).alias("own"), "text", *key).join(hits, ["k1", "k2"], "left").select("own", "text", "hit", "found")
-    return unfold(both.mapInArrow(_reporter, schema), keep)
+    return unfold(both.mapInArrow(_reporter(with_text), schema), keep)
 
 
 def _machine(items, token: str, width: int):
@@ -146,15 +146,15 @@ def _machine(items, token: str, width: int):
     return kept[token]
 
 
-def _report(own: pa.Array, texts: list[bytes | None], counts: list[int], hits: list[np.ndarray], founds: list[list[str]]) -> pa.RecordBatch:
+def _report(batch: pa.RecordBatch, with_text: bool, texts: list[bytes | None], counts: list[int], hits: list[np.ndarray], founds: list[list[str]]) -> pa.RecordBatch:
     spans = [word_spans(t, h) if len(h) else [] for t, h in zip(texts, hits, strict=True)]
     digest = [hashlib.sha256(",".join(f).encode()).hexdigest() for f in founds]
     n_hit = [len(h) for h in hits]
-    out = [own, pa.array(counts, pa.int64()), pa.array(n_hit, pa.int64()), pa.array(map(len, founds), pa.int64()), pa.array(digest, pa.string()), pa.array([n > 0 for n in n_hit], pa.bool_()), pa.array(founds, pa.list_(pa.string())), pa.array(spans, pa.list_(_SPAN))]
-    return pa.RecordBatch.from_arrays(out, names=["own", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", "item_ids", "spans"])
+    out = [batch.column(0), pa.array(counts, pa.int64()), pa.array(n_hit, pa.int64()), pa.array(map(len, founds), pa.int64()), pa.array(digest, pa.string()), pa.array([n > 0 for n in n_hit], pa.bool_()), pa.array(founds, pa.list_(pa.string())), pa.array(spans, pa.list_(_SPAN)), *[batch.column(1)] * with_text]
+    return pa.RecordBatch.from_arrays(out, names=["own", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", "item_ids", "spans", *["own_text"] * with_text])
 
 
-def _scanner(items, token: str, width: int):
+def _scanner(items, token: str, width: int, with_text: bool):
     """One automaton for the whole benchmark: ``own, text`` to results."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -162,7 +162,7 @@ def _scanner(items, token: str, width: int):
         for batch in batches:
             texts = as_bytes(batch.column(1))
             counts, hits, founds = zip(*[scan(machine, t) for t in texts], strict=True) if texts else ([], [], [])
-            yield _report(batch.column(0), texts, list(counts), list(hits), [sorted(f) for f in founds])
+            yield _report(batch, with_text, texts, list(counts), list(hits), [sorted(f) for f in founds])
 
     return run
 
@@ -180,10 +180,14 @@ def _finder(items, token: str, width: int):
     return run
 
 
-def _reporter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _reporter(with_text: bool):
     """``own, text, hit, found`` to results."""
-    for batch in batches:
-        texts = as_bytes(batch.column(1))
-        hits = [np.unique(np.array(h or [], dtype=np.int64)) for h in batch.column(2).to_pylist()]
-        founds = [sorted(set(f or [])) for f in batch.column(3).to_pylist()]
-        yield _report(batch.column(0), texts, [len(alnum_words(t)) for t in texts], hits, founds)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = as_bytes(batch.column(1))
+            hits = [np.unique(np.array(h or [], dtype=np.int64)) for h in batch.column(2).to_pylist()]
+            founds = [sorted(set(f or [])) for f in batch.column(3).to_pylist()]
+            yield _report(batch, with_text, texts, [len(alnum_words(t)) for t in texts], hits, founds)
+
+    return run

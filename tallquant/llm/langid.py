@@ -160,7 +160,7 @@ def learn(spark: SparkSession, docs: DataFrame, learns, *, dims: int = 4096, cen
 def identify(spark: SparkSession, docs: DataFrame, model: Model, *, keep: list[str]) -> DataFrame:
     """The columns in ``keep`` with ``lang_pred, score, rejected``; a kept column of one of these names gets ``_in`` behind it."""
     ship(spark)
-    cast = spark.sparkContext.broadcast(model)
+    cast, with_text = spark.sparkContext.broadcast(model), "text" in keep
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -170,8 +170,9 @@ def identify(spark: SparkSession, docs: DataFrame, model: Model, *, keep: list[s
                 for start in range(a, b, 512):
                     for out, x in zip((langs, scores, rejected), cast.value.predict(texts[start : min(b, start + 512)]), strict=True):
                         out += x
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(rejected, pa.bool_())], names=["own", "lang_pred", "score", "rejected"])
+            out = [batch.column(0), pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(rejected, pa.bool_()), *[batch.column(1)] * with_text]
+            yield pa.RecordBatch.from_arrays(out, names=["own", "lang_pred", "score", "rejected", *["own_text"] * with_text])
 
     frame = docs.select(row_of(keep).alias("own"), "text")
-    schema = T.StructType([frame.schema["own"], *T._parse_datatype_string("lang_pred string, score double, rejected boolean").fields])
+    schema = T.StructType([frame.schema["own"], *T._parse_datatype_string("lang_pred string, score double, rejected boolean" + ", own_text string" * with_text).fields])
     return unfold(frame.mapInArrow(run, schema), keep)

@@ -261,12 +261,14 @@ def remove(width: int):
 
 
 def dedup_substrings(spark: SparkSession, docs: DataFrame, *, width: int = 13, keep: list[str] | None = None, bucket_bytes: int = 8 << 20, copies: int = 256) -> DataFrame:
-    """``n_words, n_removed, kept_sha256, kept_text`` beside the columns that ``keep`` names; one of these names gets ``_in`` behind it.
+    """``n_words, n_removed, kept_sha256, kept_text`` beside the columns that ``keep`` names (any but the text); one of these names gets ``_in`` behind it.
 
     A row (identifier and text) that occurs more than ``copies`` times goes through
     once, and its result is joined to all of them.
     """
     work, keep = Workspace(spark, "substring"), keep or ["doc_id"]
+    if "text" in keep:
+        raise ValueError("what is left of the text is kept_text")
     key = F.xxhash64("doc_id", "text")
     rows = docs.select(key.alias("key"), F.col("doc_id").cast("long").alias("doc_id"), "text", row_of(keep).alias("own"))
     crowded = work.save(rows.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > copies).select("key"), "crowded")
