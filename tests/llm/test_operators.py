@@ -346,6 +346,14 @@ def test_groups_equal_brute_force(spark, size, num, den, chunk):
     assert rows == brute_groups(texts, ids, size, num, den)
 
 
+def test_groups_of_a_row_that_repeats(spark):
+    """More copies of one row than tasks want to see: one text stands for them, every row has its group."""
+    texts = near_copies()
+    texts, ids = texts + 300 * [texts[0]], list(range(len(texts))) + 300 * [0]
+    got = jaccard.similar_groups(spark, frame(spark, texts, ids), shingle=3, similarity=(90, 100), chunk=6)
+    assert sorted((r.doc_id, r.n_shingles, r.component_id) for r in got.collect()) == brute_groups(texts, ids, 3, 90, 100)
+
+
 def test_count_tree_loses_nothing():
     rng = np.random.default_rng(3)
     base = np.unique(rng.integers(0, 2**60, 300).astype(np.uint64))
