@@ -17,6 +17,8 @@ from tallquant.llm.common import Workspace
 PASSAGE_WORDS = 30
 #: Words of a benchmark window, and of the shortest item that can condemn a document.
 WINDOW_WORDS, LEAST_ITEM_WORDS = 10, 6
+#: Chunks whose ids a worker keeps: earlier stages leave an executor more workers than cores, and each keeps its own.
+CACHED_CHUNKS = 200_000
 
 
 def _boxed(docs: DataFrame) -> tuple[DataFrame, str]:
@@ -75,7 +77,7 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Sequences of at most 2048 tokens: one row for each piece."""
-    return packing.pack(spark, docs, width=2048)
+    return packing.pack(spark, docs, width=2048, cached=CACHED_CHUNKS)
 
 
 STAGES = [

@@ -382,21 +382,46 @@ def worker_cache(operator: str) -> dict:
     return CACHES.setdefault(operator, {})
 
 
-def trim() -> None:
-    """Return freed memory to the system where the C library can."""
-    gc.collect()
+def relax() -> None:
+    """Return freed memory of Arrow and the C library to the system, where that can."""
+    pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
     except (OSError, AttributeError):  # another C library
         pass
 
 
-def word_encoder(path: str) -> WordEncoder:
-    """One encoder for each file and Python worker."""
+def trim() -> None:
+    """Collect garbage, then :func:`relax`."""
+    gc.collect()
+    relax()
+
+
+def relaxed(function):
+    """A function of Arrow tables after which the worker gives freed memory back: workers outlive their tasks."""
+
+    def one(table: pa.Table) -> pa.Table:
+        try:
+            return function(table)
+        finally:
+            relax()
+
+    def two(left: pa.Table, right: pa.Table) -> pa.Table:
+        try:
+            return function(left, right)
+        finally:
+            relax()
+
+    return two if function.__code__.co_argcount == 2 else one
+
+
+def word_encoder(path: str, limit: int = 700_000) -> WordEncoder:
+    """One encoder for each file, cache size and Python worker."""
     kept = worker_cache("encoder")
-    if path not in kept:
-        kept[path] = WordEncoder(path)
-    return kept[path]
+    if (path, limit) not in kept:
+        kept.clear()
+        kept[path, limit] = WordEncoder(path, limit)
+    return kept[path, limit]
 
 
 def default_tokenizer() -> str:

@@ -103,12 +103,16 @@ def pack(
     open_windows: int = 32,
     least_cut: int = 32,
     fan_in: int = 64,
+    cached: int = 700_000,
 ) -> DataFrame:
-    """One row for each piece: ``doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset``."""
+    """One row for each piece: ``doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset``.
+
+    A worker keeps the ids of ``cached`` chunks (some 200 octets each).
+    """
     tokenizer, work = tokenizer or default_tokenizer(), Workspace(spark, "packing")
 
     def fill(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, part = word_encoder(tokenizer), TaskContext.get().partitionId()
+        encoder, part = word_encoder(tokenizer, cached), TaskContext.get().partitionId()
         windows = OpenWindows(width, open_windows, least_cut, part << 36)
 
         def batch(rows: list[tuple], closed: bool) -> pa.RecordBatch:

@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tallquant.llm.common import BLANK_WORD, Workspace, as_bytes, blank_words, release, row_of, text_slices, unfold, window_hashes, word_hashes, worker_cache
+from tallquant.llm.common import BLANK_WORD, Workspace, as_bytes, blank_words, relaxed, release, row_of, text_slices, unfold, window_hashes, word_hashes, worker_cache
 
 # Perfect difference sets, period to remainders.
 COVERS = {
@@ -149,6 +149,7 @@ def find_anchors(width: int, period: int, n_buckets: int):
 def match_anchors(n_buckets: int):
     """Reduce side of the first pass: anchors that more than one document holds."""
 
+    @relaxed
     def run(table: pa.Table) -> pa.Table:
         done, blobs, dests = table.column("done").to_pylist(), table.column("blob").to_pylist(), table.column("dest").to_pylist()
         rows = [(d, True, x) for d, ok, x in zip(dests, done, blobs, strict=True) if ok]
@@ -183,6 +184,7 @@ def extend(width: int, period: int, n_buckets: int):
     """Second pass, with the texts: hash the long windows around shared anchors."""
     reach = period - 1  # window length less anchor length
 
+    @relaxed
     def run(docs: pa.Table, shared: pa.Table) -> pa.Table:
         keys, pos = _by_key(shared)
         own, ids, texts = docs.column("key").to_numpy(), _ids(docs.column("doc_id").combine_chunks()), as_bytes(docs.column("text").combine_chunks())
@@ -213,6 +215,7 @@ def extend(width: int, period: int, n_buckets: int):
 def decide(n_buckets: int):
     """Windows that a smaller identifier holds too."""
 
+    @relaxed
     def run(table: pa.Table) -> pa.Table:
         done, blobs, dests = table.column("done").to_pylist(), table.column("blob").to_pylist(), table.column("dest").to_pylist()
         rows = [(d, True, x) for d, ok, x in zip(dests, done, blobs, strict=True) if ok]
@@ -238,6 +241,7 @@ def _cut(text: bytes, gone: np.ndarray) -> str:
 def remove(width: int):
     """Last pass, with the texts: drop covered words."""
 
+    @relaxed
     def run(docs: pa.Table, flags: pa.Table) -> pa.Table:
         keys, pos = _by_key(flags)
         own, texts = docs.column("key").to_numpy(), as_bytes(docs.column("text").combine_chunks())
