@@ -14,3 +14,15 @@ def test_pairs_beyond_brute_force(spark, small):
     copies = D.stack(design, 3001)
     assert copies.count() > 3000
     assert quantreg.enumerate_pairs(copies, 0.75).first().objective == pytest.approx(3001 * brute.objective, rel=1e-9)
+
+
+@pytest.mark.parametrize("name", ["stream_late", "stream_repeated", "stream_sessions", "stream_static_join"])
+def test_streams_gather_nothing(spark, small, name, monkeypatch):
+    """Rows of a stream go to files, not to the driver's memory sink."""
+    from tallquant.plans import relational
+    from tallquant.streaming import streams
+
+    drained, drain = [], streams.drain
+    monkeypatch.setattr(streams, "drain", lambda *a: drained.append(drain(*a)) or drained[-1])
+    getattr(relational, name)(spark, small).collect()
+    assert drained and all(d.inputFiles() for d in drained)
