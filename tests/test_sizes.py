@@ -1,7 +1,6 @@
 """Queries at sizes where they failed: the whole job with the same result, in bounded memory and disk."""
 
 import pytest
-from pyspark.sql import functions as F
 
 from tallquant.operators import quantreg
 from tallquant.sources import design as D
@@ -26,3 +25,24 @@ def test_streams_gather_nothing(spark, small, name, monkeypatch):
     monkeypatch.setattr(streams, "drain", lambda *a: drained.append(drain(*a)) or drained[-1])
     getattr(relational, name)(spark, small).collect()
     assert drained and all(d.inputFiles() for d in drained)
+
+
+def test_interior_point_keeps_one_iterate(spark, small, tmp_path, monkeypatch):
+    """Iterates of rows go when the next one is written."""
+    from tallquant.operators import distributed_ipm
+
+    monkeypatch.setattr(distributed_ipm, "scratch", lambda spark, name: str(tmp_path / name))
+    assert distributed_ipm.distributed_interior_point(D.onehot_events(spark, small), 0.5).iterations > 3
+    assert len([p for p in (tmp_path / "ipm").iterdir() if p.is_dir()]) == 1
+
+
+def test_timed_interior_point_over_the_cluster(spark, small, monkeypatch):
+    """A design beyond what the driver may hold is not gathered there."""
+    from tallquant.plans import experiments
+
+    design = D.onehot_events(spark, small).drop("grp")
+    n = design.count()
+    monkeypatch.setattr(quantreg, "DRIVER_CELLS", 10)
+    monkeypatch.setattr(quantreg, "local_matrix", lambda design: pytest.fail("gathered"))
+    (row,) = experiments.timed(spark, design, ["interior_point"], 100.0, [0.5], {"n": n, "d": 5})
+    assert row[0] == "interior_point" and row[-1] == n
