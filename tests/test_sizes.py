@@ -46,3 +46,29 @@ def test_timed_interior_point_over_the_cluster(spark, small, monkeypatch):
     monkeypatch.setattr(quantreg, "local_matrix", lambda design: pytest.fail("gathered"))
     (row,) = experiments.timed(spark, design, ["interior_point"], 100.0, [0.5], {"n": n, "d": 5})
     assert row[0] == "interior_point" and row[-1] == n
+
+
+def test_exact_fits_read_the_design_once(spark, small, monkeypatch):
+    """All levels and passes visit packed blocks, and a band of too many rows needs no fit over the cluster."""
+    from pyspark.sql import functions as F
+
+    from tallquant.operators import distributed_ipm
+    from tallquant.sources import blocks
+
+    design = D.census_planted(spark, small)
+    want = {r.tau: r.objective for r in quantreg.exact_fit(design, [0.25, 0.75]).collect()}
+    monkeypatch.setattr(quantreg, "DRIVER_CELLS", 12_000)
+    monkeypatch.setattr(distributed_ipm, "distributed_interior_point", lambda *a: pytest.fail("whole design"))
+    read = spark.sparkContext.accumulator(0)
+
+    def seen(batches):
+        for batch in batches:
+            read.add(len(batch))
+            yield batch
+
+    counted = design.select("row_id", "b", "x", "w").mapInArrow(seen, "row_id string, b double, x array<double>, w double")
+    packed = quantreg.packed_rows(counted)
+    for tau in want:
+        fit, info = quantreg.preprocess_exact(packed, tau, middle_rows=1500)
+        assert fit.objective == pytest.approx(want[tau], rel=1e-9) and info["middle"] <= 1502
+    assert read.value == blocks.height(packed) == packed.agg(F.sum("n")).first()[0]
