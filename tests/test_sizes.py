@@ -72,3 +72,17 @@ def test_exact_fits_read_the_design_once(spark, small, monkeypatch):
         fit, info = quantreg.preprocess_exact(packed, tau, middle_rows=1500)
         assert fit.objective == pytest.approx(want[tau], rel=1e-9) and info["middle"] <= 1502
     assert read.value == blocks.height(packed) == packed.agg(F.sum("n")).first()[0]
+
+
+def test_large_samples_stay_in_a_table(spark, small, monkeypatch):
+    """A timed sample beyond what the driver may hold is solved by merging its rows, to the same number of rows kept."""
+    from tallquant.plans import experiments
+
+    design, label = D.onehot_events(spark, small).drop("grp"), {"n": 100, "d": 5}
+    (want,) = experiments.timed(spark, design, ["identity"], 60.0, [0.5, 0.75], label)
+    fits, exact = [], quantreg.preprocess_exact
+    monkeypatch.setattr(quantreg, "DRIVER_CELLS", 10)
+    monkeypatch.setattr(quantreg, "solve_group", lambda *a: pytest.fail("gathered"))
+    monkeypatch.setattr(quantreg, "preprocess_exact", lambda *a, **k: fits.append(exact(*a, **k)) or fits[-1])
+    (row,) = experiments.timed(spark, design, ["identity"], 60.0, [0.5, 0.75], label)
+    assert row[-1] == want[-1] and len(fits) == 2
