@@ -74,6 +74,29 @@ def test_exact_fits_read_the_design_once(spark, small, monkeypatch):
     assert read.value == blocks.height(packed) == packed.agg(F.sum("n")).first()[0]
 
 
+def test_rounding_reads_the_rows_once(spark, small, monkeypatch):
+    """Rounds of the slab method visit packed blocks, with the same R as rounds over rows gathered on the driver."""
+    import numpy as np
+
+    from tallquant.functions.loss import augment, batch_matrix
+    from tallquant.operators import linalg
+    from tallquant.sources import blocks
+
+    rows = augment(D.onehot_events(spark, small)).select("a")
+    read = spark.sparkContext.accumulator(0)
+
+    def seen(batches):
+        for batch in batches:
+            read.add(len(batch))
+            yield batch
+
+    a = batch_matrix(rows.toArrow().column(0))
+    packed = blocks.pack(rows.mapInArrow(seen, "a array<double>"), "a")
+    r, rounds = linalg.round_full(packed, "a", "slab")
+    want, local = linalg.round_slab(lambda rinv: linalg.local_slab_stats(a, rinv), linalg.positive_r(a))
+    assert rounds == local and np.allclose(r, want) and read.value == len(a)
+
+
 def test_large_samples_stay_in_a_table(spark, small, monkeypatch):
     """A timed sample beyond what the driver may hold is solved by merging its rows, to the same number of rows kept."""
     from tallquant.plans import experiments
