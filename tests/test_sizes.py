@@ -109,3 +109,13 @@ def test_large_samples_stay_in_a_table(spark, small, monkeypatch):
     monkeypatch.setattr(quantreg, "preprocess_exact", lambda *a, **k: fits.append(exact(*a, **k)) or fits[-1])
     (row,) = experiments.timed(spark, design, ["identity"], 60.0, [0.5, 0.75], label)
     assert row[-1] == want[-1] and len(fits) == 2
+
+
+def test_planned_fit_joins_once(spark, small, monkeypatch):
+    """The passes of the planned fit read the kept design, not the tables it is joined from."""
+    from tallquant.plans import catalog
+
+    read, fit = [], quantreg.quantile_fit
+    monkeypatch.setattr(quantreg, "quantile_fit", lambda design, *a, **k: read.extend(design.inputFiles()) or fit(design, *a, **k))
+    assert catalog.QUERIES["fit_planned"](spark, small).first().within_guarantee
+    assert read and not any("lineitem" in f or "orders" in f for f in read)
