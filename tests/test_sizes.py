@@ -119,3 +119,16 @@ def test_planned_fit_joins_once(spark, small, monkeypatch):
     monkeypatch.setattr(quantreg, "quantile_fit", lambda design, *a, **k: read.extend(design.inputFiles()) or fit(design, *a, **k))
     assert catalog.QUERIES["fit_planned"](spark, small).first().within_guarantee
     assert read and not any("lineitem" in f or "orders" in f for f in read)
+
+
+def test_arrivals_in_pieces(spark, small, monkeypatch):
+    """A large arrival is written and read in pieces, all of them in its own batch."""
+    from tallquant.plans import relational
+    from tallquant.streaming import streams
+
+    paths, write = [], streams.events_in_files
+    monkeypatch.setattr(relational, "PIECE_ROWS", 400)
+    monkeypatch.setattr(streams, "events_in_files", lambda *a: paths.append(write(*a)) or paths[-1])
+    n = spark.read.parquet(f"{small}/events.parquet").count()
+    assert tuple(relational.stream_repeated(spark, small).first()) == (n, n)
+    assert len(spark.read.parquet(paths[0]).inputFiles()) == 4 * (1 + n // 400)
