@@ -132,3 +132,23 @@ def test_arrivals_in_pieces(spark, small, monkeypatch):
     n = spark.read.parquet(f"{small}/events.parquet").count()
     assert tuple(relational.stream_repeated(spark, small).first()) == (n, n)
     assert len(spark.read.parquet(paths[0]).inputFiles()) == 4 * (1 + n // 400)
+
+
+def test_levels_share_passes(spark, small, monkeypatch):
+    """Exact fits of all levels come from the same passes over blocks, with the losses of one fit after the other."""
+    from tallquant.operators import packed
+
+    design, taus = D.census_design(spark, small), [0.1, 0.5, 0.9]
+    want = [r.objective for r in quantreg.exact_fit(design, taus).collect()]
+    rows = packed.pack(design, 2)
+    monkeypatch.setattr(quantreg, "preprocess_exact", lambda *a, **k: pytest.fail("one level after the other"))
+    found = packed.fit_many(rows, taus, most=2500, rough_rows=1500)
+    assert found.objective[:, 0] == pytest.approx([2 * f for f in want], rel=1e-9) and found.passes <= 13
+    assert rows.rows == found.kept[0] == 2 * rows.n
+
+
+def test_census_table_stores_one_copy(spark, small, monkeypatch):
+    from tallquant.plans import catalog
+
+    monkeypatch.setattr(D, "stack", lambda *a: pytest.fail("copies written out"))
+    assert all(r.holds for r in catalog.QUERIES["w13_census_table"](spark, small).collect())
