@@ -152,3 +152,19 @@ def test_census_table_stores_one_copy(spark, small, monkeypatch):
 
     monkeypatch.setattr(D, "stack", lambda *a: pytest.fail("copies written out"))
     assert all(r.holds for r in catalog.QUERIES["w13_census_table"](spark, small).collect())
+
+
+def test_replicates_share_passes(spark, small, monkeypatch):
+    """Resamples solved by merging rows are those solved with all rows, and the curves fit none on its own."""
+    from tallquant.operators import packed
+    from tallquant.plans import catalog
+
+    monkeypatch.setattr(quantreg, "preprocess_exact", lambda *a, **k: pytest.fail("one replicate after the other"))
+    rows = packed.pack(D.census_design(spark, small))
+    centres = packed.fit_many(rows, [0.5, 0.9]).beta[:, 0]
+    draws = packed.poisson(rows, [0, 1, 2])
+    every = packed.fit_many(rows, [0.5, 0.9], draws, centres.copy(), most=10**6)
+    few = packed.fit_many(rows, [0.5, 0.9], draws, centres.copy(), most=4000)
+    assert few.own == pytest.approx(every.own, rel=1e-9) and (few.weight == every.weight).all()
+    assert few.weight == pytest.approx([rows.n] * 3, rel=0.1)
+    assert all(r.holds for r in catalog.QUERIES["w10_census_curves"](spark, small).collect())
