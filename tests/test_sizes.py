@@ -168,3 +168,23 @@ def test_replicates_share_passes(spark, small, monkeypatch):
     assert few.own == pytest.approx(every.own, rel=1e-9) and (few.weight == every.weight).all()
     assert few.weight == pytest.approx([rows.n] * 3, rel=0.1)
     assert all(r.holds for r in catalog.QUERIES["w10_census_curves"](spark, small).collect())
+
+
+def test_stacked_samples(spark, small, monkeypatch):
+    """Copies have coins of their own though rows are stored once, and merged samples are solved as with all their rows."""
+    from tallquant.operators import packed
+    from tallquant.plans import experiments
+
+    design = D.skew_lineitem(spark, small, 4, 2.0)
+    rows = packed.pack(design, 3)
+    centres = packed.onehot_quantiles(rows, [0.5, 0.75])
+    for method in ("uniform", "dense_qr"):
+        rinv = None if method == "uniform" else packed.condition(rows, method).rinv
+        draws = packed.importance(rows, rinv, [(3000.0, 0), (3000.0, 1)], 5)
+        every = packed.fit_many(rows, [0.5, 0.75], draws, centres.copy(), most=10**6)
+        few = packed.fit_many(rows, [0.5, 0.75], draws, centres.copy(), most=2500)
+        assert few.own == pytest.approx(every.own, rel=1e-9) and few.kept[0] != few.kept[1]
+        assert few.weight == pytest.approx([rows.rows] * 2, rel=0.1) and max(few.kept) <= 3300
+    monkeypatch.setattr(D, "stack", lambda *a: pytest.fail("copies written out"))
+    table = experiments.w11_stacked_errors(spark, small, methods=["sparse_qr", "identity"])
+    assert {r.n_trials for r in table.collect()} == {4}
