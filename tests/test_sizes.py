@@ -188,3 +188,17 @@ def test_stacked_samples(spark, small, monkeypatch):
     monkeypatch.setattr(D, "stack", lambda *a: pytest.fail("copies written out"))
     table = experiments.w11_stacked_errors(spark, small, methods=["sparse_qr", "identity"])
     assert {r.n_trials for r in table.collect()} == {4}
+
+
+def test_onehot_quantiles_by_brackets(spark, small):
+    """Quantiles of packed columns equal grouped quantiles: from a bracket, from a whole column."""
+    from tallquant.operators import packed
+    from tallquant.plans import experiments
+
+    design, taus = D.skew_lineitem(spark, small, 4, 2.0), [0.0005, 0.5, 0.95]
+    want = [tuple(b) for _, b, _ in experiments.onehot_reference(design, taus)]
+    rows = packed.pack(design)
+    for rough in (400_000, 4000):
+        assert [tuple(b) for b in packed.onehot_quantiles(rows, taus, rough)] == want
+    (half, whole) = ([loss for *_, loss in experiments.packed_reference(r, [0.5])][0] for r in (rows, packed.Packed(rows.frame, rows.n, rows.d, 2)))
+    assert whole == pytest.approx(2 * half, rel=1e-12)
