@@ -202,3 +202,25 @@ def test_onehot_quantiles_by_brackets(spark, small):
         assert [tuple(b) for b in packed.onehot_quantiles(rows, taus, rough)] == want
     (half, whole) = ([loss for *_, loss in experiments.packed_reference(r, [0.5])][0] for r in (rows, packed.Packed(rows.frame, rows.n, rows.d, 2)))
     assert whole == pytest.approx(2 * half, rel=1e-12)
+
+
+def test_interior_point_reads_the_design_once(spark, small):
+    """Iterations visit packed blocks, given or made once, with the loss of the fit that merges rows."""
+    from tallquant.operators import distributed_ipm
+    from tallquant.plans import catalog
+
+    design, read = D.census_design(spark, small), spark.sparkContext.accumulator(0)
+
+    def seen(batches):
+        for batch in batches:
+            read.add(len(batch))
+            yield batch
+
+    counted = design.select("row_id", "b", "x", "w").mapInArrow(seen, "row_id string, b double, x array<double>, w double")
+    packed = quantreg.packed_rows(design)
+    want = quantreg.preprocess_exact(packed, 0.75)[0].objective
+    for rows in (counted, packed):
+        fit = distributed_ipm.distributed_interior_point(rows, 0.75)
+        assert fit.optimal and fit.objective == pytest.approx(want, rel=1e-7)
+    assert read.value == design.count()
+    assert catalog.QUERIES["fit_distributed_interior_point"](spark, small).first().seven_digits
