@@ -224,3 +224,47 @@ def test_interior_point_reads_the_design_once(spark, small):
         assert fit.optimal and fit.objective == pytest.approx(want, rel=1e-7)
     assert read.value == design.count()
     assert catalog.QUERIES["fit_distributed_interior_point"](spark, small).first().seven_digits
+
+
+def test_timed_methods_share_packed_rows(spark, small):
+    """All timed methods visit the blocks of one design, which is read once; samples keep about the rows asked for."""
+    from tallquant.plans import experiments
+
+    design, read = D.onehot_events(spark, small).drop("grp"), spark.sparkContext.accumulator(0)
+
+    def seen(batches):
+        for batch in batches:
+            read.add(len(batch))
+            yield batch
+
+    n = design.count()
+    counted = design.select("row_id", "b", "x", "w").mapInArrow(seen, "row_id string, b double, x array<double>, w double")
+    rows = experiments.timed(spark, counted, ["sparse_qr", "uniform", "interior_point", "merge_rows_exact"], 200.0, [0.5], {"n": n, "d": 5})
+    assert read.value == n and [r[-2] for r in rows[:2]] == [3, 2]
+    assert all(100 < r[-1] < 300 for r in rows[:2]) and rows[2][-1] == n
+
+
+def test_blocks_of_one_task_are_dealt_to_all_cores(spark):
+    import numpy as np
+
+    from tallquant.sources import blocks
+
+    packed = blocks.pack(spark.range(0, 45_000, 1, 1).selectExpr("cast(id as double) as v", "1.0D as u"), "rows")
+    assert len(packed.inputFiles()) >= 4 and blocks.height(packed) == 45_000
+    assert (np.sort(blocks.gathered(packed, "rows")[:, 0]) == np.arange(45_000)).all()
+
+
+def test_rounding_without_rows_of_a_column():
+    """A column that the sample missed stays out of the rounding, as it does out of the second QR."""
+    import numpy as np
+
+    from tallquant.operators import conditioning, linalg
+
+    a = np.random.default_rng(0).normal(size=(200, 3))
+    want, gap = conditioning.rounded(a), np.insert(a, 1, 0.0, axis=1)
+    for rounding in ("density", "slab"):
+        r = conditioning.rounded(gap, rounding)
+        assert not r[1].any() and not r[:, 1].any() and np.isfinite(conditioning._finish("sparse_qr_round", r, 3, 0.0, 200).rinv).all()
+    assert np.allclose(conditioning.rounded(gap)[np.ix_([0, 2, 3], [0, 2, 3])], want)
+    r0 = linalg.positive_r(a)
+    assert np.allclose(want, linalg.round_density(linalg.local_density_gram(a), r0.T @ r0 / np.sqrt(3))[0])
